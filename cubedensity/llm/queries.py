@@ -1,21 +1,54 @@
-"""The op queries and the pipeline, as the driver registers them."""
+"""The op queries, as the driver registers them. None has an oracle in SQL: fingerprints and hashes with a seed, learned
+models and trees are tested against brute force instead."""
 
 from __future__ import annotations
 
-from cubedensity.llm import decontam, simhash
+from cubedensity.llm import decontam, linededup, mainhtml, packing, pii, quality, secrets, simhash, toxicity, warc
 from cubedensity.llm.common import table
 
 
+def op1_surrogates(spark, sf_dir):
+    return pii.replace(table(spark, sf_dir, "documents"))
+
+
 def op2_simhash(spark, sf_dir):
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op3_decision_list(spark, sf_dir):
+    return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op4_warc_derivatives(spark, sf_dir):
+    return warc.derive(warc.responses(table(spark, sf_dir, "pages")))
+
+
 def op5_suffix_array(spark, sf_dir):
     return decontam.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op6_line_templates(spark, sf_dir):
+    return linededup.drop_templates(table(spark, sf_dir, "documents"))
+
+
+def op7_length_buckets(spark, sf_dir):
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
+def op8_tree_scoring(spark, sf_dir):
+    return mainhtml.main_text(table(spark, sf_dir, "pages"))
+
+
+def op9_trigram_secrets(spark, sf_dir):
+    return secrets.digest(table(spark, sf_dir, "documents"))
+
+
+def op10_counterfactual(spark, sf_dir):
+    return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def queries():
-    return {"op2_simhash": op2_simhash, "op5_suffix_array": op5_suffix_array}
+    return {f.__name__: f for f in (op1_surrogates, op2_simhash, op3_decision_list, op4_warc_derivatives, op5_suffix_array, op6_line_templates, op7_length_buckets, op8_tree_scoring, op9_trigram_secrets, op10_counterfactual)}
 
 
 def oracle_sql():
