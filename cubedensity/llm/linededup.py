@@ -7,8 +7,8 @@ where one token stands in at least half of the leaf's texts; a line belongs to i
 agree. A template recurs if it stands in ``LEAST_TEXTS`` or more unrelated texts; all its lines are dropped.
 
 Texts that are copies of each other do not make a line boilerplate (near-duplicate removal is for those): each text
-has a family, the least hash over its distinct words, which copies share and unrelated texts mostly do not, and the
-families of a template must number at least LEAST_TEXTS and a third of its texts.
+has a family, the two least hashes over its distinct words, which copies share and unrelated texts mostly do not, and
+the families of a template must number at least LEAST_TEXTS and a third of its texts.
 
 Inputs: null texts stay null and have no lines; empty lines and shorter lines are kept; a text whose lines are all
 dropped stays as an empty text; repeated rows count as one text and are treated alike; other columns are untouched.
@@ -16,6 +16,7 @@ dropped stays as an empty text; repeated rows count as one text and are treated
 
 from __future__ import annotations
 
+import heapq
 import re
 from zlib import crc32
 
@@ -64,8 +65,8 @@ def lines_of(text: str):
         else:
             short = np.array([crc32(t.encode()) & 0xFFFF for t in tokens], ">u2").tobytes()
             found[mask] = [_hash([str(len(tokens)), *tokens[:LEAD]]), mask, [number], short]
-    family = min((crc32(w.encode()) for w in words), default=0)
-    return family, list(found.values())
+    low = heapq.nsmallest(2, (crc32(w.encode()) for w in words))
+    return (low[0] << 31 ^ low[-1] if low else 0), list(found.values())
 
 
 def line_table(docs: DataFrame) -> DataFrame:

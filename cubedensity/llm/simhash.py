@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import durable
+from cubedensity.llm.common import content_key, durable
 from cubedensity.llm.components import components
 
 HOT_KEY = 64
@@ -189,3 +189,18 @@ def wide_duplicates(docs: DataFrame, shingle: int = 5, most: int = 24) -> DataFr
     return fps.withColumn("node", F.xxhash64("fp", "fp2")).join(naming, F.col("node") == F.col("nn")).select(
         "doc_id", "fp", "fp2", "component_id", "group"
     )
+
+
+def keep_one(docs: DataFrame) -> DataFrame:
+    """``docs`` with one row of each group of near duplicates: the least by id, then by hash of the text.
+
+    Repeated rows are one group; the columns stay as they are. Ids need not be unique or set.
+    """
+    columns = docs.columns
+    keyed = docs.select(F.struct(*columns).alias("row"), *content_key(), F.col("text"))
+    # groups are found for (id, text hash) pairs, so the join below tells rows with one id apart
+    marked = wide_duplicates(keyed.select(F.struct(F.col("_kid").isNull().alias("z"), "_kid", "_kh").alias("doc_id"), "text"))
+    first = durable(marked.groupBy("group").agg(F.min("doc_id").alias("k")).select(F.col("k._kid").alias("_fid"), F.col("k._kh").alias("_fh")))
+    kept = keyed.join(first, F.col("_kid").eqNullSafe(F.col("_fid")) & (F.col("_kh") == F.col("_fh")))
+    repeated = kept.groupBy("_kid", "_kh").agg(F.first("row").alias("row"))  # rows that are equal in id and text
+    return repeated.select("row.*")
