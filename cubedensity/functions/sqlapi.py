@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
-from pyspark.sql.types import IntegerType, LongType, StructField, StructType
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, StructType
 
 from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
 from cubedensity.operators.relational import VOXEL, accumulate, box, centre
@@ -83,7 +83,7 @@ def user_scatter(events: DataFrame, grid: GridSpec, bw: Bandwidth, function, opt
     return accumulate(near.select(*VOXEL, term.alias("term")), options)
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(ArrayType(LongType()))
 def sum_arrays(blocks: pd.Series) -> list:
     """Element-wise sum of blocks of one length, as an aggregate."""
     return np.sum(np.stack([np.asarray(b, np.int64) for b in blocks]), axis=0).tolist()

@@ -257,18 +257,23 @@ add(
 )
 
 # windows, sorts, sets ----------------------------------------------------------------------------------------------
-_rank = Window.orderBy(F.desc("load"), "tile_id")  # over tiles: a bounded number of rows
+def _rank():
+    return Window.orderBy(F.desc("load"), "tile_id")  # over tiles: a bounded number of rows
+
+
 add(
     "op_rank_tiles",
-    lambda spark, sf: _loads(spark, sf).select("tile_id", "load", F.row_number().over(_rank).alias("row"), F.rank().over(Window.orderBy(F.desc("load"))).alias("rank"), F.dense_rank().over(Window.orderBy(F.desc("load"))).alias("dense")),
+    lambda spark, sf: _loads(spark, sf).select("tile_id", "load", F.row_number().over(_rank()).alias("row"), F.rank().over(Window.orderBy(F.desc("load"))).alias("rank"), F.dense_rank().over(Window.orderBy(F.desc("load"))).alias("dense")),
     f"select tile_id, load, row_number() over (order by load desc, tile_id)::int as row, rank() over (order by load desc)::int as rank, dense_rank() over (order by load desc)::int as dense from ({_LOADS})",
 )
 add(
     "op_ntile",
-    lambda spark, sf: _loads(spark, sf).select("tile_id", F.ntile(4).over(_rank).alias("quarter"), F.percent_rank().over(_rank).alias("percent"), F.cume_dist().over(_rank).alias("share")),
+    lambda spark, sf: _loads(spark, sf).select("tile_id", F.ntile(4).over(_rank()).alias("quarter"), F.percent_rank().over(_rank()).alias("percent"), F.cume_dist().over(_rank()).alias("share")),
     f"select tile_id, ntile(4) over (order by load desc, tile_id)::int as quarter, percent_rank() over (order by load desc, tile_id) as percent, cume_dist() over (order by load desc, tile_id) as share from ({_LOADS})",
 )
-_column = Window.partitionBy("vx", "vy").orderBy("vt")
+def _column():
+    return Window.partitionBy("vx", "vy").orderBy("vt")
+
 
 
 def _city(spark, sf):
@@ -278,7 +283,7 @@ def _city(spark, sf):
 _CITY_SQL = oracles.cube(_CSQL, CITY, Bandwidth(3, 1))
 add(
     "op_lag_growth",
-    lambda spark, sf: _city(spark, sf).select(*VOXEL, (F.col("mass") - F.lag("mass").over(_column)).alias("growth"), F.lead("mass").over(_column).alias("next"), F.first("mass").over(_column).alias("first"), F.nth_value("mass", 2).over(_column).alias("second")),
+    lambda spark, sf: _city(spark, sf).select(*VOXEL, (F.col("mass") - F.lag("mass").over(_column())).alias("growth"), F.lead("mass").over(_column()).alias("next"), F.first("mass").over(_column()).alias("first"), F.nth_value("mass", 2).over(_column()).alias("second")),
     f"select vx, vy, vt, mass - lag(mass) over w as growth, lead(mass) over w as next, first_value(mass) over w as first, nth_value(mass, 2) over w as second from ({_CITY_SQL}) window w as (partition by vx, vy order by vt)",
 )
 add(
