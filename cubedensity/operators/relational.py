@@ -139,31 +139,24 @@ def bar_scatter(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanO
     return accumulate(full.select(*VOXEL, (F.col("kt") * _exact(spatial(options.kernel, dx, dy, hx), options)).alias("term")), options)
 
 
-def tables(grid: GridSpec, bw: Bandwidth, options: PlanOptions) -> tuple[Column, Column]:
-    """The two invariants of an event as arrays: places of the disk, times of the bar, each with its factor."""
-    hs, half = bw.whole
-    hx, ht = map(_long, bw.lattice(grid))
-    o = options.offset(grid)
-    at = lambda v, c: v.cast("long") * grid.sub + o - F.col(c)
-
-    def place(vx):
-        return F.transform(
-            box("y", hs, grid.gy, grid.sub),
-            lambda vy: F.when(in_disk(at(vx, "x"), at(vy, "y"), hx), F.struct(vx.alias("vx"), vy.alias("vy"), _exact(spatial(options.kernel, at(vx, "x"), at(vy, "y"), hx), options).alias("ks"))),
-        )
-
-    disk = F.filter(F.flatten(F.transform(box("x", hs, grid.gx, grid.sub), place)), lambda c: c.isNotNull())
-    times = F.filter(box("t", half, grid.gt, grid.sub), lambda vt: in_bar(options.edge, at(vt, "t"), ht))
-    bar = F.transform(times, lambda vt: F.struct(vt.alias("vt"), _exact(temporal(options.kernel, at(vt, "t"), ht), options).alias("kt")))
-    return disk, bar
+def bar_table(grid: GridSpec, bw: Bandwidth, options: PlanOptions) -> Column:
+    """The temporal invariant of an event as an array: times of the bar, each with its factor."""
+    ht = _long(bw.lattice(grid)[1])
+    at = lambda v: v.cast("long") * grid.sub + options.offset(grid) - F.col("t")
+    times = F.filter(box("t", bw.whole[1], grid.gt, grid.sub), lambda vt: in_bar(options.edge, at(vt), ht))
+    return F.transform(times, lambda vt: F.struct(vt.alias("vt"), _exact(temporal(options.kernel, at(vt), ht), options).alias("kt")))
 
 
 def product_scatter(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanOptions = PlanOptions()) -> DataFrame:
-    """Both factors tabulated once per event; only their products are made at the voxels."""
-    disk, bar = tables(grid, bw, options)
-    rows = _ready(events, grid, bw, options).select("w", disk.alias("disk"), bar.alias("bar"))
-    full = rows.select("w", "bar", F.inline("disk")).select("w", "vx", "vy", "ks", F.inline("bar"))
-    return accumulate(full.select(*VOXEL, (F.col("ks") * F.col("kt") * _exact(F.col("w"), options)).alias("term")), options)
+    """Both factors once per event: the bar as an array beside the event, the disk as its rows; voxels only take products."""
+    hs, _ = bw.whole
+    hx, _ = map(_long, bw.lattice(grid))
+    dx, dy, _ = _difference(grid, options)
+    rows = _ready(events, grid, bw, options).select("x", "y", "w", bar_table(grid, bw, options).alias("bar"))
+    rows = rows.select("*", F.explode(box("x", hs, grid.gx, grid.sub)).alias("vx")).select("*", F.explode(box("y", hs, grid.gy, grid.sub)).alias("vy"))
+    disk = rows.filter(in_disk(dx, dy, hx)).select("bar", "vx", "vy", (_exact(spatial(options.kernel, dx, dy, hx), options) * _exact(F.col("w"), options)).alias("ks"))
+    full = disk.select("vx", "vy", "ks", F.inline("bar"))
+    return accumulate(full.select(*VOXEL, (F.col("ks") * F.col("kt")).alias("term")), options)
 
 
 def two_pass(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanOptions = PlanOptions()) -> DataFrame:
