@@ -132,63 +132,89 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, k: int = 2) -> DataFrame:
     )
 
 
-def wide_masks() -> list[tuple[str, int]]:
-    """60 keys of 21 bits over a 128-bit fingerprint: 3 of 6 blocks of 7 bits, in three stretches of 42 bits.
+def wide_masks(width: int = 7) -> list[tuple[str, int]]:
+    """80 keys over a 128-bit fingerprint: 3 of 6 blocks of ``width`` bits, in two stretches of each half.
 
-    A stretch is 42 bits of one half; the third takes the upper 21 bits of both halves' rest and is folded from them.
+    Unrelated texts crowd a key by their number over 2^(3 * width): 21 bits serve some 16 million distinct texts before a
+    key has more of them than the rows that are looked back at; larger corpora take wider blocks.
     """
-    return [(col, m) for col in ("fp", "fp2", "fp3") for m in block_masks(42, 6, 3)]
+    out = []
+    for col in ("fp", "fp2"):
+        for start in (0, 25):
+            blocks = [sum(1 << (start + width * i + j) % 64 for j in range(width)) for i in range(6)]
+            masks = (sum(chosen) for chosen in combinations(blocks, 3))
+            out += [(col, m - (1 << 64) if m >> 63 else m) for m in masks]
+    return out
+
+
+def _bits(words: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(words.astype(np.uint64))
+
+
+def _link(most: int, near: int):
+    """Links among the rows of each key, which come sorted: to the key's first row, else to the rows just before."""
+
+    def links(key, fp, fp2, first):
+        """``first``: per row, the place of its key's first row."""
+        here = np.arange(len(key))
+        close = lambda i, j: _bits(fp[i] ^ fp[j]) + _bits(fp2[i] ^ fp2[j]) <= most
+        star = (first < here) & close(here, first)
+        pairs = [(here[star], first[star])]
+        for lag in range(1, near + 1):
+            i = here[lag:][~star[lag:] & (first[lag:] <= here[:-lag])]
+            i = i[close(i, i - lag)]
+            pairs.append((i, i - lag))
+        return (np.concatenate(p) for p in zip(*pairs))
+
+    def run(batches):
+        head = None  # the first row of the key that the last batch ended in, and the last rows of that batch
+        for batch in batches:
+            key, fp, fp2, node = (batch.column(c).to_numpy() for c in ("key", "fp", "fp2", "node"))
+            if head is not None:
+                key, fp, fp2, node = (np.concatenate([h, x]) for h, x in zip(head, (key, fp, fp2, node)))
+            if not len(key):
+                continue
+            new = np.ones(len(key), bool)
+            new[1:] = key[1:] != key[:-1]
+            first = np.maximum.accumulate(np.where(new, np.arange(len(key)), 0))
+            a, b = links(key, fp, fp2, first)
+            yield pa.RecordBatch.from_arrays([pa.array(node[a]), pa.array(node[b])], names=["u", "v"])
+            back = np.unique(np.concatenate([first[-1:], np.arange(max(int(first[-1]), len(key) - near), len(key))]))
+            head = tuple(x[back].copy() for x in (key, fp, fp2, node))
+
+    return run
+
+
+def wide_edges(nodes: DataFrame, most: int = 24, near: int = 8) -> DataFrame:
+    """Links ``(u, v)`` among distinct 128-bit fingerprints ``(node, fp, fp2)`` that share a key and differ in ``most`` bits at most.
+
+    Rows are dealt and sorted by key and streamed: each is verified against the first row of its key, and where that
+    is not close, against the ``near`` rows before it. So a key gives a number of links in proportion to its rows,
+    whatever its size, and a group of near copies stays connected through its many keys.
+    """
+    keys = F.array(*(F.xxhash64(F.lit(i), F.col(col).bitwiseAND(F.lit(m))) for i, (col, m) in enumerate(wide_masks())))
+    keyed = nodes.select("node", "fp", "fp2", F.explode(keys).alias("key"))
+    return keyed.repartition("key").sortWithinPartitions("key", "fp", "fp2").mapInArrow(_link(most, near), "u bigint, v bigint").distinct()
 
 
 def wide_duplicates(docs: DataFrame, shingle: int = 5, most: int = 24) -> DataFrame:
-    """Near duplicates of five-word shingle similarity about 0.8 or more: ``(doc_id, fp, fp2, component_id)``.
+    """Near duplicates of five-word shingle similarity about 0.8 or more: ``(doc_id, component_id, group)``.
 
     128-bit fingerprints; similarity 0.8 stands for about 19 differing bits, ``most`` allows for its spread, and
-    unrelated texts differ in 64 +- 6. Keys are 3 of 6 blocks in each of three 42-bit stretches: a pair that differs
-    in no more than 3 blocks of any stretch is found for certain (11 bits or fewer in every case), more distant
-    pairs with falling chance. In a key of more than HOT_KEY members each member is verified against three members
-    of the key (least, and two by hash), so a hot group stays connected through many keys without all pairs.
-    Texts without words form one group. The component is named by its least row key; ``keep`` marks that row.
+    unrelated texts differ in 64 +- 6. A pair that differs in at most 3 bits of some stretch of 42 is found for
+    certain, a more distant one with a chance that falls with its distance. Texts without words form one group.
     """
     fps = durable(fingerprints(docs, shingle, wide=True))
-    nodes = fps.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least")).withColumn(
-        "node", F.xxhash64("fp", "fp2")
-    )
-    third = F.shiftrightunsigned("fp", 43).bitwiseOR(F.shiftleft(F.shiftrightunsigned("fp2", 43), 21))
-    nodes = durable(nodes.withColumn("fp3", third))
-    carry = ["node", "fp", "fp2"]
-    keyed = _keyed(nodes, wide_masks(), [*carry, "fp3"]).drop("fp3")
-    sizes = durable(
-        keyed.groupBy("c", "k")
-        .agg(
-            F.count("*").alias("n"),
-            F.min(F.struct(*carry)).alias("r0"),
-            F.min(F.struct(F.xxhash64("node", "c"), *carry)).alias("r1"),
-            F.max(F.struct(F.xxhash64("node", "c"), *carry)).alias("r2"),
-        )
-        .filter("n > 1")
-    )
-    members = durable(keyed.join(sizes.filter(F.col("n") <= HOT_KEY).select("c", "k", "n"), ["c", "k"]))
-    apart = hamming("a_fp", "b_fp") + hamming("a_fp2", "b_fp2")
-    light = _pairs(members, carry, (F.col("a_node") < F.col("b_node")) & (apart <= most)).select(
-        F.col("a_node").alias("u"), F.col("b_node").alias("v")
-    )
-    hot = keyed.join(sizes.filter(F.col("n") > HOT_KEY), ["c", "k"]).select(
-        "node", "fp", "fp2", F.explode(F.array(*(F.struct(*(F.col(f"{r}.{x}").alias(x) for x in carry)) for r in ("r0", "r1", "r2")))).alias("r")
-    )
-    far = F.bit_count(F.col("fp").bitwiseXOR(F.col("r.fp"))) + F.bit_count(F.col("fp2").bitwiseXOR(F.col("r.fp2")))
-    star = hot.filter(far <= most).select(F.col("node").alias("u"), F.col("r.node").alias("v"))
-    linked = components(light.union(star).filter("u <> v"))
+    nodes = durable(fps.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least")).withColumn("node", F.xxhash64("fp", "fp2")))
+    linked = components(wide_edges(nodes, most))
     rooted = durable(
         nodes.join(linked.withColumnRenamed("node", "n2"), F.col("node") == F.col("n2"), "left").select(
             "node", "least", F.coalesce("root", "node").alias("root")
         )
     )
-    named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
+    named = durable(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
     naming = durable(rooted.join(named, "root").select(F.col("node").alias("nn"), "component_id", F.col("root").alias("group")))
-    return fps.withColumn("node", F.xxhash64("fp", "fp2")).join(naming, F.col("node") == F.col("nn")).select(
-        "doc_id", "fp", "fp2", "component_id", "group"
-    )
+    return fps.withColumn("node", F.xxhash64("fp", "fp2")).join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
