@@ -9,6 +9,7 @@ that the tables stay mostly full, and only touched voxels leave as rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -19,6 +20,9 @@ from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
 from cubedensity.spec import DOUBLE_LIMIT, LONG_LIMIT, Bandwidth, GridSpec, PlanOptions, largest_term
 
 BATCH = 4096
+#: events that a cell should hold, and products an event may cost at most for it
+CELL_EVENTS = 48
+CELL_PRODUCTS = 8192
 ROWS_OUT = 65_536
 
 
@@ -60,10 +64,21 @@ class Kernel:
                 mass += (ks.T @ kt).reshape(shape)
             hits += (disk.T.astype(np.float32) @ bar.astype(np.float32)).reshape(shape).astype(np.int64)
 
-    def cells(self):
-        """Edge of the cells that a box is cut into."""
+    def cells(self, box, events: int):
+        """Edges of the cells that a box is cut into: about two bandwidths, and larger where a cell would hold few events,
+        since each cell costs some calls and each event the products of its cell and halo."""
         hs, ht = self.bw.whole
-        return [max(4, min(32, 2 * h)) for h in (hs, hs, ht)]
+        halo = (2 * hs, 2 * hs, 2 * ht)
+        edge = [min(b - a, max(4, min(32, h))) for (a, b), h in zip(box, halo)]
+        while True:
+            count = math.prod(-(-(b - a) // e) for (a, b), e in zip(box, edge))
+            grow = [k for k, (a, b) in enumerate(box) if edge[k] < b - a]
+            if events >= CELL_EVENTS * count or not grow:
+                return edge
+            k = min(grow, key=lambda k: (edge[k] / halo[k], k))
+            if math.prod((2 * e if j == k else e) + h for j, (e, h) in enumerate(zip(edge, halo))) > CELL_PRODUCTS:
+                return edge
+            edge[k] = min(2 * edge[k], box[k][1] - box[k][0])
 
     def fill(self, mass, hits, box, x, y, t, w) -> None:
         """Add events, cell by cell, to dense arrays over a box; what falls outside the box is clipped."""
@@ -74,7 +89,7 @@ class Kernel:
         if mass.dtype != np.float64 and largest_term(self.grid, self.bw, self.options) * bound * len(x) > LONG_LIMIT:
             raise OverflowError("masses of this box may not fit 64 bits: use mass='double' or smaller groups")
         own = [np.floor_divide(c, s) for c in (x, y, t)]
-        size = self.cells()
+        size = self.cells(box, len(x))
         key = [(o - a) // c for o, (a, _), c in zip(own, box, size)]
         order = np.lexsort(key)
         key = [k[order] for k in key]
