@@ -131,15 +131,16 @@ def labelled(docs: DataFrame, labels: DataFrame, target: str = "quality", rows:
     )
     joined = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("_lid"))
     fold = F.pmod(F.xxhash64("doc_id", F.lit("fold")), F.lit(3)) == 0
-    return statistics(joined).filter(~F.col("base_failed")).select(
-        (F.col("_good") == 0).alias("low"), fold.alias("prune"), *(F.expr(e).alias(f) for f, e in FEATURES.items())
+    made = statistics(joined).select(
+        "base_failed", (F.col("_good") == 0).alias("low"), fold.alias("prune"), *(F.expr(e).alias(f) for f, e in FEATURES.items())
     )
+    # cut here, else the filter would be pushed below the join and the statistics be made for every row
+    return durable(made).filter(~F.col("base_failed")).drop("base_failed")
 
 
 def learn(sample: DataFrame, cuts: int = CUTS, most_rules: int = MOST_RULES) -> list[tuple[Condition, ...]]:
     """Rules for the low class, in order. Thresholds are quantiles of the sample."""
     names = list(FEATURES)
-    sample = durable(sample)
     points = [i / (cuts + 1) for i in range(1, cuts + 1)] + [0.005, 0.995]
     got = sample.agg(*(F.percentile_approx(f, points, 10_000).alias(f) for f in names)).first()
     edges = {f: sorted({0.0, *(got[f] or [])} if f.endswith(("per_word", "share", "lines", "words")) else set(got[f] or [])) for f in names}
