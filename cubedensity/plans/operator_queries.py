@@ -371,6 +371,24 @@ add(
     lambda spark, sf: output.pyramid(_posts(spark, sf)),
     " union all ".join(f"select {k}::int as size, (vx // {k})::int as vx, (vy // {k})::int as vy, (vt // {k})::int as vt, sum(hits)::bigint as hits, sum(mass)::bigint as mass from ({_POSTS_SQL}) group by all" for k in (1, 2, 4)),
 )
+
+
+def _occupied(spark, sf):
+    """Voxels of tiles that hold events: empty tiles are skipped by their key before any voxel is made."""
+    loads = _loads(spark, sf).filter("load >= 100").select("a", "b", "c")
+    steps = [F.explode(F.sequence(F.ceil(F.col(k) * g / n).cast("int"), (F.ceil((F.col(k) + 1) * g / n) - 1).cast("int"))).alias(v) for k, v, g, n in zip("abc", VOXEL, EVENTS.shape, TILES.counts)]
+    voxels = loads
+    for step in steps:
+        voxels = voxels.select("*", step)
+    return voxels.groupBy("a", "b", "c").agg(F.count("*").alias("voxels"))
+
+
+add(
+    "op_skip_empty_tiles",
+    _occupied,
+    f"with l as ({_LOADS}) select a, b, c, count(*) as voxels from l, range(15) p(x), range(20) q(y), range(30) r(t) where load >= 100 and (3*x)//15 = a and (4*y)//20 = b and (5*t)//30 = c group by a, b, c",
+)
+add("op_split_sample", lambda spark, sf: read(spark, sf, "events").sampleBy("event_type", {"click": 0.5, "view": 0.1}, seed=3).groupBy("event_type").agg(F.count("*").alias("n")))
 add("op_hotspots", lambda spark, sf: output.hot_spots(_cube(spark, sf), _HOT))
 
 # scalar functions --------------------------------------------------------------------------------------------------
