@@ -41,7 +41,7 @@ PATTERNS = {
     "iban": _EDGE + "[A-Z]{2}\\d{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?" + _END,
     "phone": "(?<![\\p{L}\\p{N}+])\\+\\d{1,3}[ .-]?(?:\\(\\d{1,4}\\)|\\d{1,4})(?:[ .-]?\\d{2,4}){2,4}" + _END
     + "|(?<![\\p{L}\\p{N}])\\(\\d{3}\\) ?\\d{3}[ .-]\\d{4}" + _END
-    + "|(?<![\\p{L}\\p{N}.-])\\d{3}([.-])\\d{3}\\1\\d{4}(?![\\p{L}\\p{N}])",
+    + "|(?<![\\p{L}\\p{N}.-])\\d{3}([ .-])\\d{3}\\1\\d{4}(?![\\p{L}\\p{N}])",
     "identity": "(?<![\\p{L}\\p{N}-])\\d{3}-\\d{2}-\\d{4}(?![\\p{L}\\p{N}-])",
     "account": _EDGE + "(?:\\d{4}[ -]){3}\\d{4}" + _END + "|" + _EDGE + "\\d{13,19}" + _END,
     "name": _EDGE + _TITLE + "\\.?[ \\u00A0]\\p{Lu}[\\p{L}'’-]+(?: \\p{Lu}[\\p{L}'’-]+){0,2}",
