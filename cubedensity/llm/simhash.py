@@ -28,14 +28,18 @@ from cubedensity.llm.components import components
 
 HOT_KEY = 64
 CHUNK = 1 << 16
+#: least hashes of a text's distinct shingles that are kept to estimate similarity; exact for texts of no more shingles
+SKETCH = 256
 
 
-def fingerprint_bytes(text: bytes, shingle: int, wide: bool) -> bytes:
-    """Majority bits over the hashes of all shingles of a text, repeats included, most significant bit first."""
+def fingerprint_bytes(text: bytes, shingle: int, wide: bool) -> tuple[bytes, bytes]:
+    """Majority bits over the hashes of all shingles of a text, repeats included, most significant bit first; if wide,
+    also the least distinct hashes, in order, as four bytes each."""
     words = text.lower().split()  # bytes: A-Z and ASCII white space only
     width = 16 if wide else 8
     if not words:
-        return bytes(width)
+        return bytes(width), b""
+    least = np.zeros(0, np.uint32)
     line = b" ".join(words)
     n = max(1, len(words) - shingle + 1)
     sizes = np.fromiter(map(len, words), np.int64, len(words))
@@ -50,24 +54,27 @@ def fingerprint_bytes(text: bytes, shingle: int, wide: bool) -> bytes:
             hashed = b"".join([xxhash.xxh64_digest(line[s:e], 42) for s, e in zip(starts[at : at + CHUNK], ends[at : at + CHUNK])])
         bits = np.unpackbits(np.frombuffer(hashed, np.uint8).reshape(-1, width), axis=1)
         seen += bits.sum(axis=0, dtype=np.int32)
-    return np.packbits(2 * seen > n).tobytes()
+        if wide:
+            least = np.unique(np.concatenate([least, np.frombuffer(hashed, "<u4")[::4]]))[:SKETCH]
+    return np.packbits(2 * seen > n).tobytes(), least.tobytes()
 
 
 def fingerprints(docs: DataFrame, shingle: int = 3, wide: bool = False) -> DataFrame:
-    """``(doc_id, text) -> (doc_id, fp[, fp2])``: 64 bits as a long, or 128 as two."""
+    """``(doc_id, text) -> (doc_id, fp[, fp2, sketch])``: 64 bits as a long, or 128 as two and the least hashes."""
 
     def run(batches):
         for batch in batches:
             texts = pc.cast(batch.column("text"), pa.binary()).to_pylist()
             made = [fingerprint_bytes(t or b"", shingle, wide) for t in texts]
-            longs = np.frombuffer(b"".join(made), ">i8").astype(np.int64).reshape(len(made), 1 + wide)
+            longs = np.frombuffer(b"".join(m for m, _ in made), ">i8").astype(np.int64).reshape(len(made), 1 + wide)
+            sketches = [pa.array([k for _, k in made], pa.binary())] if wide else []
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), *(pa.array(longs[:, k], pa.int64()) for k in range(longs.shape[1]))],
-                names=["doc_id", "fp", "fp2"][: 1 + longs.shape[1]],
+                [batch.column("doc_id"), *(pa.array(longs[:, k], pa.int64()) for k in range(longs.shape[1])), *sketches],
+                names=["doc_id", "fp", "fp2", "sketch"][: 2 + 2 * wide],
             )
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint" + ", fp2 bigint" * wide)
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint" + ", fp2 bigint, sketch binary" * wide)
 
 
 def block_masks(bits: int, blocks: int, keep: int) -> list[int]:
@@ -152,17 +159,21 @@ def _bits(words: np.ndarray) -> np.ndarray:
 
 
 def _link(most: int, near: int):
-    """Links among the rows of each key, which come sorted: to the key's first row, else to the rows just before."""
+    """Links among the rows of each key, which come sorted: to the key's first row, and unless that is close for certain,
+    to the nearest of the rows just before that is in reach. Two links a row and key at most."""
 
     def links(key, fp, fp2, first):
         """``first``: per row, the place of its key's first row."""
         here = np.arange(len(key))
-        close = lambda i, j: _bits(fp[i] ^ fp[j]) + _bits(fp2[i] ^ fp2[j]) <= most
-        star = (first < here) & close(here, first)
+        apart = lambda i, j: _bits(fp[i] ^ fp[j]) + _bits(fp2[i] ^ fp2[j])
+        far = np.where(first < here, apart(here, first), 128)
+        star = far <= most
         pairs = [(here[star], first[star])]
+        open_ = far > most - 8
         for lag in range(1, near + 1):
-            i = here[lag:][~star[lag:] & (first[lag:] <= here[:-lag])]
-            i = i[close(i, i - lag)]
+            i = here[lag:][open_[lag:] & (first[lag:] <= here[:-lag])]
+            i = i[apart(i, i - lag) <= most]
+            open_[i] = False
             pairs.append((i, i - lag))
         return (np.concatenate(p) for p in zip(*pairs))
 
@@ -185,28 +196,55 @@ def _link(most: int, near: int):
     return run
 
 
-def wide_edges(nodes: DataFrame, most: int = 24, near: int = 8) -> DataFrame:
+def wide_edges(nodes: DataFrame, most: int = 28, near: int = 8) -> DataFrame:
     """Links ``(u, v)`` among distinct 128-bit fingerprints ``(node, fp, fp2)`` that share a key and differ in ``most`` bits at most.
 
-    Rows are dealt and sorted by key and streamed: each is verified against the first row of its key, and where that
-    is not close, against the ``near`` rows before it. So a key gives a number of links in proportion to its rows,
-    whatever its size, and a group of near copies stays connected through its many keys.
+    Rows are dealt and sorted by key and streamed: each is verified against the first row of its key, and unless that is
+    well in reach, against the ``near`` rows before it. So a key gives a number of links in proportion to its rows, whatever
+    its size, and a group of near copies stays connected through its many keys.
     """
     keys = F.array(*(F.xxhash64(F.lit(i), F.col(col).bitwiseAND(F.lit(m))) for i, (col, m) in enumerate(wide_masks())))
     keyed = nodes.select("node", "fp", "fp2", F.explode(keys).alias("key"))
     return keyed.repartition("key").sortWithinPartitions("key", "fp", "fp2").mapInArrow(_link(most, near), "u bigint, v bigint").distinct()
 
 
-def wide_duplicates(docs: DataFrame, shingle: int = 5, most: int = 24) -> DataFrame:
-    """Near duplicates of five-word shingle similarity about 0.8 or more: ``(doc_id, component_id, group)``.
+def resemblance(a: bytes, b: bytes) -> float:
+    """Similarity of two sets of shingles from their least hashes; exact if both are held whole."""
+    if not a or not b:
+        return float(a == b)
+    p, q = np.frombuffer(a, np.uint32), np.frombuffer(b, np.uint32)
+    union = np.union1d(p, q)
+    if max(len(p), len(q)) == SKETCH:
+        union = union[:SKETCH]
+    return np.isin(union, p, assume_unique=True).__and__(np.isin(union, q, assume_unique=True)).sum() / len(union)
+
+
+def similar(edges: DataFrame, nodes: DataFrame, least: float) -> DataFrame:
+    """Links whose texts have a similarity of ``least`` or more, by the sketches of ``nodes(node, sketch)``."""
+
+    def run(batches):
+        for batch in batches:
+            near = [resemblance(a, b) >= least for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())]
+            yield batch.select(["u", "v"]).filter(pa.array(near, pa.bool_()))
+
+    ends = edges.select(F.col("u").alias("node")).union(edges.select("v")).distinct()
+    held = durable(nodes.select("node", "sketch").join(ends, "node", "left_semi"))
+    both = edges.join(held.select(F.col("node").alias("u"), F.col("sketch").alias("a")), "u")
+    both = both.join(held.select(F.col("node").alias("v"), F.col("sketch").alias("b")), "v")
+    return both.select("u", "v", "a", "b").mapInArrow(run, "u bigint, v bigint")
+
+
+def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, most: int = 28) -> DataFrame:
+    """Near duplicates of five-word shingle similarity ``least`` or more: ``(doc_id, component_id, group)``.
 
-    128-bit fingerprints; similarity 0.8 stands for about 19 differing bits, ``most`` allows for its spread, and
-    unrelated texts differ in 64 +- 6. A pair that differs in at most 3 bits of some stretch of 42 is found for
-    certain, a more distant one with a chance that falls with its distance. Texts without words form one group.
+    128-bit fingerprints; similarity 0.8 stands for about 19 differing bits and ``most`` allows for its spread. A pair that
+    differs in at most 3 bits of some stretch of 42 is a candidate for certain, a more distant one with a chance that falls
+    with its distance. Candidates within ``most`` bits are verified by the similarity of their sketches. Texts of equal
+    fingerprints are one node; texts without words form one group.
     """
     fps = durable(fingerprints(docs, shingle, wide=True))
-    nodes = durable(fps.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least")).withColumn("node", F.xxhash64("fp", "fp2")))
-    linked = components(wide_edges(nodes, most))
+    nodes = durable(fps.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")).withColumn("node", F.xxhash64("fp", "fp2")))
+    linked = components(similar(durable(wide_edges(nodes, most)), nodes, least))
     rooted = durable(
         nodes.join(linked.withColumnRenamed("node", "n2"), F.col("node") == F.col("n2"), "left").select(
             "node", "least", F.coalesce("root", "node").alias("root")
@@ -214,7 +252,7 @@ def wide_duplicates(docs: DataFrame, shingle: int = 5, most: int = 24) -> DataFr
     )
     named = durable(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
     naming = durable(rooted.join(named, "root").select(F.col("node").alias("nn"), "component_id", F.col("root").alias("group")))
-    return fps.withColumn("node", F.xxhash64("fp", "fp2")).join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
+    return fps.select("doc_id", F.xxhash64("fp", "fp2").alias("node")).join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
@@ -226,7 +264,10 @@ def keep_one(docs: DataFrame) -> DataFrame:
     keyed = docs.select(F.struct(*columns).alias("row"), *content_key(), F.col("text"))
     # groups are found for (id, text hash) pairs, so the join below tells rows with one id apart
     marked = wide_duplicates(keyed.select(F.struct(F.col("_kid").isNull().alias("z"), "_kid", "_kh").alias("doc_id"), "text"))
-    first = durable(marked.groupBy("group").agg(F.min("doc_id").alias("k")).select(F.col("k._kid").alias("_fid"), F.col("k._kh").alias("_fh")))
-    kept = keyed.join(first, F.col("_kid").eqNullSafe(F.col("_fid")) & (F.col("_kh") == F.col("_fh")))
-    repeated = kept.groupBy("_kid", "_kh").agg(F.first("row").alias("row"))  # rows that are equal in id and text
-    return repeated.select("row.*")
+    counted = marked.groupBy("group", "doc_id").agg(F.count("*").alias("n"))
+    least = counted.groupBy("group").agg(F.min(F.struct("doc_id", "n")).alias("k"))
+    first = durable(least.select(F.col("k.doc_id._kid").alias("_fid"), F.col("k.doc_id._kh").alias("_fh"), F.col("k.n").alias("_n")))
+    kept = keyed.select("row", "_kid", "_kh").join(first, F.col("_kid").eqNullSafe(F.col("_fid")) & (F.col("_kh") == F.col("_fh")))
+    # only rows that are equal in id and text to another need a second look
+    repeated = kept.filter("_n > 1").groupBy("_kid", "_kh").agg(F.first("row").alias("row"))
+    return kept.filter("_n = 1").select("row.*").union(repeated.select("row.*"))
