@@ -15,6 +15,8 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
 from cubedensity.spec import DOUBLE_LIMIT, LONG_LIMIT, Bandwidth, GridSpec, PlanOptions, largest_term
@@ -116,6 +118,21 @@ class Kernel:
             voxel = [(a + lo).astype(np.int32) for a, (lo, _) in zip(part, box)]
             yield pa.RecordBatch.from_arrays([*map(pa.array, voxel), pa.array(hits[part]), pa.array(mass[part])], names=["vx", "vy", "vt", "hits", "mass"])
 
+    def block(self, mass, hits, box, key) -> pa.RecordBatch:
+        """The whole array of a tile as one row, zeros included, in row-major order."""
+        one = lambda values, kind: pa.array([values], pa.list_(kind))
+        flat = lambda a, kind: pa.ListArray.from_arrays(pa.array([0, a.size], pa.int32()), pa.array(a.reshape(-1), kind))
+        return pa.RecordBatch.from_arrays(
+            [
+                *(pa.array([k], pa.int32()) for k in key),
+                one([a for a, _ in box], pa.int32()),
+                one([b - a for a, b in box], pa.int32()),
+                flat(hits.astype(np.int32), pa.int32()),
+                flat(mass, pa.float64() if mass.dtype == np.float64 else pa.int64()),
+            ],
+            names=["a", "b", "c", "low", "shape", "hits", "mass"],
+        )
+
 
 def columns(batches) -> Iterator[tuple[np.ndarray, ...]]:
     for batch in batches:
@@ -124,3 +141,27 @@ def columns(batches) -> Iterator[tuple[np.ndarray, ...]]:
 
 def row_schema(options: PlanOptions) -> str:
     return "vx int, vy int, vt int, hits bigint, mass " + ("double" if options.mass == "double" else "bigint")
+
+
+def spread(df: DataFrame, groups: int, *keys: str) -> DataFrame:
+    """Rows dealt by group into a stated number of partitions.
+
+    Groups carry much work on few bytes, so partitions must not be merged by their bytes, as they are where their number is
+    left to the engine.
+    """
+    spark = df.sparkSession
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), min(groups, 4 * spark.sparkContext.defaultParallelism))
+    return df.repartition(parts, *keys)
+
+
+def block_schema(options: PlanOptions) -> str:
+    return f"a int, b int, c int, low array<int>, shape array<int>, hits array<int>, mass array<{'double' if options.mass == 'double' else 'bigint'}>"
+
+
+def rows_of_blocks(blocks: DataFrame) -> DataFrame:
+    """Block rows back to voxel rows; voxels without hits are left out."""
+    flat = blocks.select("low", "shape", F.posexplode(F.arrays_zip("hits", "mass")).alias("at", "v")).filter("v.hits > 0")
+    size = lambda k: F.element_at("shape", k)
+    vx, vy, vt = F.floor(F.col("at") / (size(2) * size(3))), F.pmod(F.floor(F.col("at") / size(3)), size(2)), F.pmod("at", size(3))
+    place = [(v + F.element_at("low", k)).cast("int").alias(n) for k, (v, n) in enumerate(((vx, "vx"), (vy, "vy"), (vt, "vt")), 1)]
+    return flat.select(*place, F.col("v.hits").cast("bigint").alias("hits"), F.col("v.mass").alias("mass"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -14,8 +16,13 @@ BLOCK_METHODS = ("replica_sum", "tile_clip", "parity_sets", "loadaware_sets", "r
 METHODS = (*relational.METHODS, *BLOCK_METHODS)
 
 
-def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto", options: PlanOptions = PlanOptions(), tiles: TileSpec | None = None, workers: int | None = None, **more) -> DataFrame:
-    """``(vx, vy, vt, hits, mass)`` by any method; ``auto`` takes the cheapest by the cost model."""
+def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto", options: PlanOptions = PlanOptions(), tiles: TileSpec | None = None, workers: int | None = None, partitions: int | None = None, **more) -> DataFrame:
+    """``(vx, vy, vt, hits, mass)`` by any method; ``auto`` takes the cheapest by the cost model.
+
+    ``partitions`` deals the events out first: for tables of few files, whose splits would leave workers idle.
+    """
+    if partitions:
+        events = events.repartition(partitions, "event_id")
     workers = workers or events.sparkSession.sparkContext.defaultParallelism
     if method == "auto":
         from cubedensity.plans.chooser import choose
@@ -26,7 +33,7 @@ def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto",
         return relational.METHODS[method](events, grid, bw, options, **more)
     if method == "replica_sum":
         return replicas.replica_sum(events, grid, bw, workers, options, **more)
-    tiles = (tiles or default_tiles(grid, bw)).clamp(grid)
+    tiles = (tiles or default_tiles(grid, bw, workers)).clamp(grid)
     if method == "tile_clip":
         return tile_clip(events, grid, bw, tiles, options, **more)
     if method == "parity_sets":
@@ -38,10 +45,20 @@ def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto",
     raise ValueError(f"no method {method!r}; there are {METHODS}")
 
 
-def default_tiles(grid: GridSpec, bw: Bandwidth) -> TileSpec:
-    """Tiles about eight bandwidths wide, so that an event has about two copies, and of 32 voxels at least."""
+def default_tiles(grid: GridSpec, bw: Bandwidth, workers: int = 1) -> TileSpec:
+    """Tiles about eight bandwidths wide, so that an event has about two copies, and of 32 voxels at least; narrower ones,
+    down to two bandwidths, where there would be fewer than two for each worker."""
     hs, ht = bw.whole
-    return TileSpec(*(max(1, g // max(32, 8 * h)) for g, h in zip(grid.shape, (hs, hs, ht))))
+    reach = (hs, hs, ht)
+    width = [max(32, 8 * h) for h in reach]
+    count = lambda: [max(1, g // v) for g, v in zip(grid.shape, width)]
+    while math.prod(count()) < 2 * workers:
+        wide = [k for k in range(3) if min(width[k], grid.shape[k]) // 2 >= max(4, 2 * reach[k])]
+        if not wide:
+            break
+        k = max(wide, key=lambda k: (min(width[k], grid.shape[k]) / reach[k], -k))
+        width[k] = min(width[k], grid.shape[k]) // 2
+    return TileSpec(*count())
 
 
 def density(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto", options: PlanOptions = PlanOptions(), dense: bool = False, **more) -> DataFrame:

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cubedensity.operators import dag
-from cubedensity.operators.blocks import Kernel, columns, row_schema
+from cubedensity.operators.blocks import Kernel, columns, row_schema, spread
 from cubedensity.operators.relational import merge_cubes
 from cubedensity.operators.replicas import sum_blocks
 from cubedensity.operators.tiles import AXES, owner, safe_tiles, tile_loads
@@ -36,7 +36,8 @@ def _halo_rows(owned: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec,
             kernel.fill(mass, hits, box, x, y, t, w)
         yield from kernel.rows(mass, hits, box)
 
-    return owned.select("color", *AXES, "replica", "x", "y", "t", "w").groupBy("color", *AXES, "replica").applyInArrow(halo, row_schema(options))
+    keys = ("color", *AXES, "replica")
+    return spread(owned.select(*keys, "x", "y", "t", "w"), tiles.total, *keys).groupBy(*keys).applyInArrow(halo, row_schema(options))
 
 
 def _ready(events, grid, bw, tiles, options) -> DataFrame:

@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.operators.blocks import Kernel, columns, row_schema
+from cubedensity.operators.blocks import Kernel, block_schema, columns, row_schema, spread
 from cubedensity.operators.relational import VOXEL, _exact, _long, accumulate, centre, span
 from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
 from cubedensity.sources.ingest import inside
@@ -62,8 +62,11 @@ def checked(tiles: TileSpec, grid: GridSpec, bw: Bandwidth, guard: bool) -> Tile
     return safe_tiles(tiles, grid, bw) if guard else tiles.clamp(grid)
 
 
-def tile_clip(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), guard: bool = False, form: str = "block") -> DataFrame:
-    """Each tile takes the events whose cylinders meet it and writes only its own voxels; tiles are disjoint, so no sum follows."""
+def tile_clip(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), guard: bool = False, form: str = "block", emit: str = "rows") -> DataFrame:
+    """Each tile takes the events whose cylinders meet it and writes only its own voxels; tiles are disjoint, so no sum follows.
+
+    ``emit="blocks"`` gives one row of arrays for each tile that has events, for cubes that are mostly full.
+    """
     tiles = checked(tiles, grid, bw, guard)
     ready = copies(inside(events, grid, options, bw.lattice(grid)), grid, bw, tiles)
     if form == "relational":
@@ -75,9 +78,13 @@ def tile_clip(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec,
         mass, hits = kernel.empty(box)
         for x, y, t, w in columns(batches):
             kernel.fill(mass, hits, box, x, y, t, w)
-        yield from kernel.rows(mass, hits, box)
+        if emit == "blocks":
+            yield kernel.block(mass, hits, box, [k.as_py() for k in key])
+        else:
+            yield from kernel.rows(mass, hits, box)
 
-    return ready.select(*AXES, "x", "y", "t", "w").groupBy(*AXES).applyInArrow(clip, row_schema(options))
+    schema = block_schema(options) if emit == "blocks" else row_schema(options)
+    return spread(ready.select(*AXES, "x", "y", "t", "w"), tiles.total, *AXES).groupBy(*AXES).applyInArrow(clip, schema)
 
 
 def _clip_rows(ready: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions) -> DataFrame:

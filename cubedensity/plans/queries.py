@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from cubedensity.operators import dag, pointsets, relational, replicas, tiles
+from cubedensity.operators.blocks import rows_of_blocks
 from cubedensity.operators.density import BLOCK_METHODS, cube, density
 from cubedensity.plans import chooser, measures, oracles
 from cubedensity.plans.workloads import REPORTED, WORKLOADS
@@ -73,6 +74,7 @@ add(
     " union all ".join(f"select {i}::int as bw, * from ({oracles.cube(events_sql('CITY', CITY), CITY, b)})" for i, b in enumerate(_BWS)),
 )
 add("tile_clip_relational", lambda spark, sf: tiles.tile_clip(_E(spark, sf), EVENTS, EVENTS_BW, TILES, form="relational"), oracles.cube(_E_SQL, EVENTS, EVENTS_BW))
+add("tile_clip_blocks", lambda spark, sf: rows_of_blocks(tiles.tile_clip(_E(spark, sf), EVENTS, EVENTS_BW, TILES, emit="blocks")), oracles.cube(_E_SQL, EVENTS, EVENTS_BW))
 add("tile_clip_guarded", lambda spark, sf: tiles.tile_clip(_E(spark, sf), EVENTS, EVENTS_BW, TileSpec(15, 20, 30), guard=True), oracles.cube(_E_SQL, EVENTS, EVENTS_BW))
 add("parity_sets_phased", lambda spark, sf: pointsets.parity_sets(_E(spark, sf), EVENTS, EVENTS_BW, TILES, mode="phased"), oracles.cube(_E_SQL, EVENTS, EVENTS_BW))
 add("replicated_sets_wide", lambda spark, sf: pointsets.replicated_sets(_E(spark, sf), EVENTS, EVENTS_BW, TILES, 16, scope="path_and_neighbours"), oracles.cube(_E_SQL, EVENTS, EVENTS_BW))

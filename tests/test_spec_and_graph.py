@@ -105,6 +105,16 @@ def test_tiles():
             assert all(n * v // g == k for v in range(a, b))
 
 
+def test_default_tiles():
+    from cubedensity.operators.density import default_tiles
+
+    assert default_tiles(GridSpec(326, 151, 84), Bandwidth(12, 7)).counts == (3, 1, 1)
+    for grid, bw in ((GridSpec(326, 151, 84), Bandwidth(12, 7)), (GridSpec(5, 5, 3), Bandwidth(2, 1)), (GridSpec(131, 61, 84), Bandwidth(2, 3)), (GridSpec(1, 1, 900), Bandwidth(4, 4))):
+        few, many = default_tiles(grid, bw), default_tiles(grid, bw, 8)
+        assert many.total >= few.total
+        assert all(n == 1 or w >= 2 * h for n, w, h in zip(many.counts, many.widths(grid), (*bw.whole[:1] * 2, bw.whole[1])))
+
+
 def test_sizes_and_types():
     assert GridSpec(148, 194, 728).bytes(4) == 83_609_344
     assert GridSpec.of_extent((10.0, 9.9, 5.0), 2.0, 2.5).shape == (5, 5, 2)
