@@ -14,6 +14,7 @@ repeated results; a null id takes part and never becomes the component's name un
 
 from __future__ import annotations
 
+import math
 from itertools import combinations
 
 import numpy as np
@@ -30,6 +31,9 @@ HOT_KEY = 64
 CHUNK = 1 << 16
 #: least hashes of a text's distinct shingles that are kept to estimate similarity; exact for texts of no more shingles
 SKETCH = 256
+#: nodes whose hashes are counted to find common ones, and the number of common hashes that are told apart, at most
+SAMPLE = 20_000
+COMMON = 100_000
 
 
 def fingerprint_bytes(text: bytes, shingle: int, wide: bool) -> tuple[bytes, bytes]:
@@ -208,23 +212,101 @@ def wide_edges(nodes: DataFrame, most: int = 28, near: int = 8) -> DataFrame:
     return keyed.repartition("key").sortWithinPartitions("key", "fp", "fp2").mapInArrow(_link(most, near), "u bigint, v bigint").distinct()
 
 
-def resemblance(a: bytes, b: bytes) -> float:
+def resemblance(a: bytes, b: bytes, kind=np.uint32) -> float:
     """Similarity of two sets of shingles from their least hashes; exact if both are held whole."""
     if not a or not b:
         return float(a == b)
-    p, q = np.frombuffer(a, np.uint32), np.frombuffer(b, np.uint32)
+    p, q = np.frombuffer(a, kind), np.frombuffer(b, kind)
     union = np.union1d(p, q)
     if max(len(p), len(q)) == SKETCH:
         union = union[:SKETCH]
     return np.isin(union, p, assume_unique=True).__and__(np.isin(union, q, assume_unique=True)).sum() / len(union)
 
 
+def sketch_bytes(text: bytes, shingle: int) -> bytes:
+    """The least distinct hashes of a text's shingles, in order, as eight bytes each."""
+    words = text.lower().split()  # bytes: A-Z and ASCII white space only
+    least = np.zeros(0, np.uint64)
+    n = max(1, len(words) - shingle + 1) if words else 0
+    for at in range(0, n, CHUNK):
+        hashed = [xxhash.xxh3_64_intdigest(b" ".join(words[i : i + shingle]), 42) for i in range(at, min(n, at + CHUNK))]
+        least = np.unique(np.concatenate([least, np.array(hashed, np.uint64)]))[:SKETCH]
+    return least.tobytes()
+
+
+def sketches(docs: DataFrame, shingle: int = 5) -> DataFrame:
+    """``(doc_id, text) -> (doc_id, node, sketch)``; texts of equal sketches are one node."""
+
+    def run(batches):
+        for batch in batches:
+            made = [sketch_bytes(t or b"", shingle) for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(made, pa.binary())], names=["doc_id", "sketch"])
+
+    kind = dict(docs.dtypes)["doc_id"]
+    made = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, sketch binary")
+    return made.select("doc_id", F.xxhash64("sketch").alias("node"), "sketch")
+
+
+def common_hashes(nodes: DataFrame) -> np.ndarray:
+    """Hashes that several of about SAMPLE nodes hold, rarest first, COMMON at most.
+
+    They only set the order in which hashes become keys: any order finds every pair, one with the rare hashes first
+    makes fewer candidates.
+    """
+    part = max(1, -(-nodes.count() // SAMPLE))
+
+    def run(batches):
+        for batch in batches:
+            held = b"".join(batch.column("sketch").to_pylist())
+            yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(held, np.uint64).view(np.int64))], names=["h"])
+
+    each = nodes.filter(F.pmod(F.xxhash64("node"), F.lit(part)) == 0).select("sketch").mapInArrow(run, "h bigint")
+    top = each.groupBy("h").agg(F.count("*").alias("n")).filter("n > 2").orderBy(F.desc("n"), "h").limit(COMMON)
+    return np.array([r.h for r in top.collect()][::-1], np.int64).view(np.uint64)
+
+
+def prefix_keys(sketch: bytes, least: float, common: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """The hashes of a sketch of which a sketch of similarity ``least`` or more shares one at least.
+
+    Similar sketches share ``least`` of the hashes of each. So if all hashes stand in one order, the first of the shared
+    ones has that many behind it in both, and is among the rest in front. The order: hashes that are not common by value,
+    then the common ones, rarest first; ``common`` is sorted and ``place`` gives the rank of each.
+    """
+    h = np.frombuffer(sketch, np.uint64)
+    n = len(h) - math.ceil(least * len(h) - 1e-9) + 1 if len(h) else 0
+    if len(common):
+        at = np.minimum(np.searchsorted(common, h), len(common) - 1)
+        rank = np.where(common[at] == h, place[at], -1)
+        h = h[np.argsort(rank, kind="stable")]
+    return h[:n]
+
+
+def prefixes(nodes: DataFrame, least: float) -> DataFrame:
+    """``(node, size, key)``: the keys of every node, and the size of its sketch."""
+    found = common_hashes(nodes)
+    place = np.argsort(found)
+    common = found[place]
+
+    def run(batches):
+        for batch in batches:
+            held = batch.column("sketch").to_pylist()
+            keys = [prefix_keys(s, least, common, place) for s in held]
+            many = [len(k) for k in keys]
+            node = np.repeat(batch.column("node").to_numpy(), many)
+            size = np.repeat(np.array([len(s) // 8 for s in held], np.int32), many)
+            key = np.concatenate([np.zeros(0, np.uint64), *keys]).view(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(size), pa.array(key)], names=["node", "size", "key"])
+
+    return nodes.select("node", "sketch").mapInArrow(run, "node bigint, size int, key bigint")
+
+
 def similar(edges: DataFrame, nodes: DataFrame, least: float) -> DataFrame:
     """Links whose texts have a similarity of ``least`` or more, by the sketches of ``nodes(node, sketch)``."""
 
     def run(batches):
         for batch in batches:
-            near = [resemblance(a, b) >= least for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())]
+            both = zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())
+            near = [resemblance(a, b, np.uint64) >= least for a, b in both]
             yield batch.select(["u", "v"]).filter(pa.array(near, pa.bool_()))
 
     ends = edges.select(F.col("u").alias("node")).union(edges.select("v")).distinct()
@@ -234,17 +316,43 @@ def similar(edges: DataFrame, nodes: DataFrame, least: float) -> DataFrame:
     return both.select("u", "v", "a", "b").mapInArrow(run, "u bigint, v bigint")
 
 
-def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, most: int = 28) -> DataFrame:
+def similar_links(nodes: DataFrame, least: float) -> DataFrame:
+    """Links ``(u, v)`` whose components are those of all pairs of ``nodes(node, sketch)`` with a similarity of ``least`` or more.
+
+    Every such pair shares a key. First each node is tried against the member of each of its keys that shares most keys with
+    others, as an original does with its copies. Then all pairs of a key that are not connected by now are tried; pairs
+    inside one component can add nothing. So a group of near copies costs links in proportion to its size.
+    """
+    keyed = durable(prefixes(nodes, least))
+    sizes = durable(keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"))
+    members = durable(keyed.join(sizes, "key"))
+    weight = members.groupBy("node").agg(F.sum("n").alias("w"))
+    first = members.select("key", "node").join(weight, "node").groupBy("key").agg(F.max_by("node", F.struct("w", "node")).alias("v"))
+    star = members.join(first, "key").filter("node <> v").select(F.least("node", "v").alias("u"), F.greatest("node", "v").alias("v")).distinct()
+    near = durable(similar(durable(star), nodes, least))
+    roots = components(near).select(F.col("node").alias("_n"), "root")
+    rooted = members.join(roots, F.col("node") == F.col("_n"), "left").select("key", "node", "size", F.coalesce("root", "node").alias("root"))
+    rooted = durable(rooted)
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
+    open_ = durable(rooted.join(mixed, "key", "left_semi"))
+    a = open_.select("key", *(F.col(x).alias(f"a_{x}") for x in ("node", "size", "root")))
+    b = open_.select("key", *(F.col(x).alias(f"b_{x}") for x in ("node", "size", "root")))
+    # similar sketches have like sizes
+    sized = F.least("a_size", "b_size") >= F.lit(least - 1e-9) * F.greatest("a_size", "b_size")
+    pairs = a.join(b, "key").filter((F.col("a_root") < F.col("b_root")) & sized)
+    rest = durable(pairs.select(F.least("a_node", "b_node").alias("u"), F.greatest("a_node", "b_node").alias("v")).distinct())
+    return near.union(similar(rest, nodes, least))
+
+
+def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFrame:
     """Near duplicates of five-word shingle similarity ``least`` or more: ``(doc_id, component_id, group)``.
 
-    128-bit fingerprints; similarity 0.8 stands for about 19 differing bits and ``most`` allows for its spread. A pair that
-    differs in at most 3 bits of some stretch of 42 is a candidate for certain, a more distant one with a chance that falls
-    with its distance. Candidates within ``most`` bits are verified by the similarity of their sketches. Texts of equal
-    fingerprints are one node; texts without words form one group.
+    Similarity is that of the sketches, which is exact for texts of fewer than SKETCH shingles; no pair is left out.
+    Texts of equal sketches are one node; texts without words form one group.
     """
-    fps = durable(fingerprints(docs, shingle, wide=True))
-    nodes = durable(fps.groupBy("fp", "fp2").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")).withColumn("node", F.xxhash64("fp", "fp2")))
-    linked = components(similar(durable(wide_edges(nodes, most)), nodes, least))
+    held = durable(sketches(docs, shingle))
+    nodes = durable(held.groupBy("node").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")))
+    linked = components(similar_links(nodes, least))
     rooted = durable(
         nodes.join(linked.withColumnRenamed("node", "n2"), F.col("node") == F.col("n2"), "left").select(
             "node", "least", F.coalesce("root", "node").alias("root")
@@ -252,7 +360,7 @@ def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, most:
     )
     named = durable(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
     naming = durable(rooted.join(named, "root").select(F.col("node").alias("nn"), "component_id", F.col("root").alias("group")))
-    return fps.select("doc_id", F.xxhash64("fp", "fp2").alias("node")).join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
+    return held.select("doc_id", "node").join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:

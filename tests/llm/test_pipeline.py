@@ -130,3 +130,33 @@ def test_resemblance_of_sketches():
     a, b = np.unique(pool[:2700]), np.unique(pool[300:])
     exact = len(np.intersect1d(a, b)) / len(np.union1d(a, b))
     assert abs(simhash.resemblance(a[:256].tobytes(), b[:256].tobytes()) - exact) < 0.08
+
+
+def test_hot_group_of_edited_copies_loses_no_link(spark):
+    rng = random.Random(33)
+    base = [f"b{k}" for k in range(240)]
+    rows = []
+    for g in range(150):  # each copy is 0.8 or a little less of the original, and unlike most other copies
+        near = list(base)
+        at = rng.randrange(1, 8)
+        for k in range(4 + g % 2):
+            near[at + 50 * k] = f"e{g}x{k}"
+        rows.append((g, " ".join(near)))
+    rows.append((1000, " ".join(base)))
+    for g in range(40):  # unrelated texts that share a passage
+        rows.append((2000 + g, " ".join(base[:20] + [f"u{g}x{k}" for k in range(100)])))
+    sets = {i: {tuple(t.split()[k : k + 5]) for k in range(len(t.split()) - 4)} for i, t in rows}
+    parent = {i: i for i in sets}
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for a in sets:
+        for b in sets:
+            if a < b and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= 0.8:
+                x, y = sorted((find(a), find(b)))
+                parent[y] = x
+    got = simhash.wide_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert {r.doc_id: r.component_id for r in got} == {i: find(i) for i in sets}
