@@ -6,9 +6,9 @@ is either a generalised line as it stands or, in a leaf that many texts share, t
 where one token stands in at least half of the leaf's texts; a line belongs to it if at least ``ALIKE`` of its tokens
 agree. A template recurs if it stands in ``LEAST_TEXTS`` or more unrelated texts; all its lines are dropped.
 
-Texts that are copies of each other do not make a line boilerplate (near-duplicate removal is for those): each text
-has a family, the two least hashes over its distinct words, which copies share and unrelated texts mostly do not, and
-the families of a template must number at least LEAST_TEXTS and a third of its texts.
+Texts that are copies of each other do not make a line boilerplate (near-duplicate removal is for those): the texts
+of one group of near duplicates, as ``simhash.wide_duplicates`` finds them, are one family and count once. Families take
+in looser copies than are removed as near duplicates (similarity ``FAMILY``), or the loose copies of one text would do.
 
 Inputs: null texts stay null and have no lines; empty lines and shorter lines are kept; a text whose lines are all
 dropped stays as an empty text; repeated rows count as one text and are treated alike; other columns are untouched.
@@ -16,7 +16,6 @@ dropped stays as an empty text; repeated rows count as one text and are treated
 
 from __future__ import annotations
 
-import heapq
 import re
 from zlib import crc32
 
@@ -26,17 +25,20 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cubedensity.llm import simhash
 from cubedensity.llm.common import bind, content_key, durable
 
 LEAST_TOKENS = 5
 LEAD = 3
 LEAST_TEXTS = 3
-SHARE_OF_TEXTS = 1 / 3
+#: similarity inside a family, and the shingle hashes a text that it is estimated from
+FAMILY = 0.6
+FAMILY_SKETCH = 64
 ALIKE = 0.7
 BATCH_LINES = 20_000
 
 _FIELD = re.compile(r"[0-9@]|://")
-LINES = "_kid {kind}, _kh bigint, family bigint, leaf bigint, mask bigint, nos array<int>, tokens binary"
+LINES = "_kid {kind}, _kh bigint, leaf bigint, mask bigint, nos array<int>, tokens binary"
 
 
 def tokens_of(line: str) -> list[str]:
@@ -51,12 +53,10 @@ def _hash(tokens: list[str]) -> int:
 
 
 def lines_of(text: str):
-    """(family, [(leaf, generalised line, line numbers, tokens as two bytes each)]) of a text."""
-    words: set[str] = set()
+    """[(leaf, generalised line, line numbers, tokens as two bytes each)] of a text."""
     found: dict[int, list] = {}
     for number, line in enumerate(text.split("\n")):
         tokens = tokens_of(line)
-        words.update(tokens)
         if len(tokens) < LEAST_TOKENS:
             continue
         mask = _hash(tokens)
@@ -65,8 +65,7 @@ def lines_of(text: str):
         else:
             short = np.array([crc32(t.encode()) & 0xFFFF for t in tokens], ">u2").tobytes()
             found[mask] = [_hash([str(len(tokens)), *tokens[:LEAD]]), mask, [number], short]
-    low = heapq.nsmallest(2, (crc32(w.encode()) for w in words))
-    return (low[0] << 31 ^ low[-1] if low else 0), list(found.values())
+    return list(found.values())
 
 
 def line_table(docs: DataFrame) -> DataFrame:
@@ -77,8 +76,7 @@ def line_table(docs: DataFrame) -> DataFrame:
         for batch in batches:
             held: list[tuple] = []
             for kid, kh, text in zip(batch.column("_kid").to_pylist(), batch.column("_kh").to_pylist(), batch.column("text").to_pylist()):
-                family, rows = lines_of(text)
-                held += [(kid, kh, family, *r) for r in rows]
+                held += [(kid, kh, *r) for r in lines_of(text)]
                 if len(held) >= BATCH_LINES:
                     yield _batch(held, batch.schema.field("_kid").type)
                     held = []
@@ -88,19 +86,30 @@ def line_table(docs: DataFrame) -> DataFrame:
 
 
 def _batch(rows, id_type) -> pa.RecordBatch:
-    kinds = [id_type, pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary()]
+    kinds = [id_type, pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary()]
     columns = list(zip(*rows)) if rows else [[]] * len(kinds)
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=[f.split()[0] for f in LINES.split(", ")])
 
 
+def families(docs: DataFrame) -> DataFrame:
+    """``(_kh, family)``: the group of near duplicates that each distinct text is in."""
+    texts = docs.filter("text is not null").select(F.xxhash64("text", F.lit(False)).alias("doc_id"), "text")
+    return simhash.wide_duplicates(texts, least=FAMILY, keep=FAMILY_SKETCH).groupBy(F.col("doc_id").alias("_kh")).agg(F.first("group").alias("family"))
+
+
+def with_families(lines: DataFrame, docs: DataFrame) -> DataFrame:
+    """Lines in leaves that LEAST_TEXTS rows or more share, which others can not recur without, with their text's family."""
+    shared = lines.groupBy("leaf").agg(F.count("*").alias("n")).filter(F.col("n") >= LEAST_TEXTS).select("leaf")
+    return lines.join(shared, "leaf", "left_semi").join(families(docs), "_kh")
+
+
 def _recurring(groups: DataFrame):
-    return groups.filter((F.col("families") >= LEAST_TEXTS) & (F.col("families") >= SHARE_OF_TEXTS * F.col("texts")))
+    return groups.filter(F.col("families") >= LEAST_TEXTS)
 
 
 def _counted(rows: DataFrame, *keys: str) -> DataFrame:
-    """Texts and families of each key, hot keys combined before the shuffle."""
-    each = rows.groupBy(*keys, "family").agg(F.count("*").alias("n"))
-    return each.groupBy(*keys).agg(F.count("*").alias("families"), F.sum("n").alias("texts"))
+    """Families of each key, hot keys combined before the shuffle."""
+    return rows.groupBy(*keys, "family").agg(F.lit(1)).groupBy(*keys).agg(F.count("*").alias("families"))
 
 
 def recurring_lines(lines: DataFrame) -> DataFrame:
@@ -135,7 +144,7 @@ def recurring_lines(lines: DataFrame) -> DataFrame:
 def drop_templates(docs: DataFrame) -> DataFrame:
     """``docs`` with the lines of recurring templates taken out of ``text``; all columns stay."""
     columns = docs.columns
-    lines = durable(line_table(docs))
+    lines = durable(with_families(durable(line_table(docs)), docs))
     drops = recurring_lines(lines).groupBy(F.col("_kid").alias("_did"), F.col("_kh").alias("_dh")).agg(F.flatten(F.collect_list("nos")).alias("nos"))
     row = docs.select(F.struct(*columns).alias("row"), *content_key())
     joined = row.join(drops, row["_kid"].eqNullSafe(drops["_did"]) & (row["_kh"] == drops["_dh"]), "left")

@@ -212,34 +212,34 @@ def wide_edges(nodes: DataFrame, most: int = 28, near: int = 8) -> DataFrame:
     return keyed.repartition("key").sortWithinPartitions("key", "fp", "fp2").mapInArrow(_link(most, near), "u bigint, v bigint").distinct()
 
 
-def resemblance(a: bytes, b: bytes, kind=np.uint32) -> float:
+def resemblance(a: bytes, b: bytes, kind=np.uint32, keep: int = SKETCH) -> float:
     """Similarity of two sets of shingles from their least hashes; exact if both are held whole."""
     if not a or not b:
         return float(a == b)
     p, q = np.frombuffer(a, kind), np.frombuffer(b, kind)
     union = np.union1d(p, q)
-    if max(len(p), len(q)) == SKETCH:
-        union = union[:SKETCH]
+    if max(len(p), len(q)) == keep:
+        union = union[:keep]
     return np.isin(union, p, assume_unique=True).__and__(np.isin(union, q, assume_unique=True)).sum() / len(union)
 
 
-def sketch_bytes(text: bytes, shingle: int) -> bytes:
+def sketch_bytes(text: bytes, shingle: int, keep: int = SKETCH) -> bytes:
     """The least distinct hashes of a text's shingles, in order, as eight bytes each."""
     words = text.lower().split()  # bytes: A-Z and ASCII white space only
     least = np.zeros(0, np.uint64)
     n = max(1, len(words) - shingle + 1) if words else 0
     for at in range(0, n, CHUNK):
         hashed = [xxhash.xxh3_64_intdigest(b" ".join(words[i : i + shingle]), 42) for i in range(at, min(n, at + CHUNK))]
-        least = np.unique(np.concatenate([least, np.array(hashed, np.uint64)]))[:SKETCH]
+        least = np.unique(np.concatenate([least, np.array(hashed, np.uint64)]))[:keep]
     return least.tobytes()
 
 
-def sketches(docs: DataFrame, shingle: int = 5) -> DataFrame:
+def sketches(docs: DataFrame, shingle: int = 5, keep: int = SKETCH) -> DataFrame:
     """``(doc_id, text) -> (doc_id, node, sketch)``; texts of equal sketches are one node."""
 
     def run(batches):
         for batch in batches:
-            made = [sketch_bytes(t or b"", shingle) for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
+            made = [sketch_bytes(t or b"", shingle, keep) for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(made, pa.binary())], names=["doc_id", "sketch"])
 
     kind = dict(docs.dtypes)["doc_id"]
@@ -300,13 +300,13 @@ def prefixes(nodes: DataFrame, least: float) -> DataFrame:
     return nodes.select("node", "sketch").mapInArrow(run, "node bigint, size int, key bigint")
 
 
-def similar(edges: DataFrame, nodes: DataFrame, least: float) -> DataFrame:
+def similar(edges: DataFrame, nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFrame:
     """Links whose texts have a similarity of ``least`` or more, by the sketches of ``nodes(node, sketch)``."""
 
     def run(batches):
         for batch in batches:
             both = zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())
-            near = [resemblance(a, b, np.uint64) >= least for a, b in both]
+            near = [resemblance(a, b, np.uint64, keep) >= least for a, b in both]
             yield batch.select(["u", "v"]).filter(pa.array(near, pa.bool_()))
 
     ends = edges.select(F.col("u").alias("node")).union(edges.select("v")).distinct()
@@ -316,7 +316,7 @@ def similar(edges: DataFrame, nodes: DataFrame, least: float) -> DataFrame:
     return both.select("u", "v", "a", "b").mapInArrow(run, "u bigint, v bigint")
 
 
-def similar_links(nodes: DataFrame, least: float) -> DataFrame:
+def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFrame:
     """Links ``(u, v)`` whose components are those of all pairs of ``nodes(node, sketch)`` with a similarity of ``least`` or more.
 
     Every such pair shares a key. First each node is tried against the member of each of its keys that shares most keys with
@@ -329,7 +329,7 @@ def similar_links(nodes: DataFrame, least: float) -> DataFrame:
     weight = members.groupBy("node").agg(F.sum("n").alias("w"))
     first = members.select("key", "node").join(weight, "node").groupBy("key").agg(F.max_by("node", F.struct("w", "node")).alias("v"))
     star = members.join(first, "key").filter("node <> v").select(F.least("node", "v").alias("u"), F.greatest("node", "v").alias("v")).distinct()
-    near = durable(similar(durable(star), nodes, least))
+    near = durable(similar(durable(star), nodes, least, keep))
     roots = components(near).select(F.col("node").alias("_n"), "root")
     rooted = members.join(roots, F.col("node") == F.col("_n"), "left").select("key", "node", "size", F.coalesce("root", "node").alias("root"))
     rooted = durable(rooted)
@@ -341,18 +341,18 @@ def similar_links(nodes: DataFrame, least: float) -> DataFrame:
     sized = F.least("a_size", "b_size") >= F.lit(least - 1e-9) * F.greatest("a_size", "b_size")
     pairs = a.join(b, "key").filter((F.col("a_root") < F.col("b_root")) & sized)
     rest = durable(pairs.select(F.least("a_node", "b_node").alias("u"), F.greatest("a_node", "b_node").alias("v")).distinct())
-    return near.union(similar(rest, nodes, least))
+    return near.union(similar(rest, nodes, least, keep))
 
 
-def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFrame:
+def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, keep: int = SKETCH) -> DataFrame:
     """Near duplicates of five-word shingle similarity ``least`` or more: ``(doc_id, component_id, group)``.
 
-    Similarity is that of the sketches, which is exact for texts of fewer than SKETCH shingles; no pair is left out.
+    Similarity is that of the sketches, which is exact for texts of fewer than ``keep`` shingles; no pair is left out.
     Texts of equal sketches are one node; texts without words form one group.
     """
-    held = durable(sketches(docs, shingle))
+    held = durable(sketches(docs, shingle, keep))
     nodes = durable(held.groupBy("node").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")))
-    linked = components(similar_links(nodes, least))
+    linked = components(similar_links(nodes, least, keep))
     rooted = durable(
         nodes.join(linked.withColumnRenamed("node", "n2"), F.col("node") == F.col("n2"), "left").select(
             "node", "least", F.coalesce("root", "node").alias("root")

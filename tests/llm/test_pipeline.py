@@ -134,13 +134,12 @@ def test_resemblance_of_sketches():
 
 def test_hot_group_of_edited_copies_loses_no_link(spark):
     rng = random.Random(33)
-    base = [f"b{k}" for k in range(240)]
+    base = [f"b{k}" for k in range(100)]
     rows = []
-    for g in range(150):  # each copy is 0.8 or a little less of the original, and unlike most other copies
+    for g in range(300):  # each copy is 0.81 of the original, and less of most other copies
         near = list(base)
-        at = rng.randrange(1, 8)
-        for k in range(4 + g % 2):
-            near[at + 50 * k] = f"e{g}x{k}"
+        at = rng.randrange(5, 45)
+        near[at], near[rng.randrange(at + 5, 95)] = f"e{g}x", f"e{g}y"
         rows.append((g, " ".join(near)))
     rows.append((1000, " ".join(base)))
     for g in range(40):  # unrelated texts that share a passage

@@ -211,6 +211,17 @@ def test_templates(spark):
     assert linededup.drop_templates(df.limit(0)).count() == 0
 
 
+def test_copies_of_one_text_do_not_hide_a_template(spark):
+    rng = random.Random(17)
+    body = lambda: "\n".join(" ".join(f"w{rng.choice('abcdefgh')}{rng.choice('klmnop')}{rng.choice('rstuv')}" for _ in range(12)) for _ in range(4))
+    passage = "this passage stands in many unrelated texts"
+    rows = [(i, f"{body()}\n{passage}") for i in range(20)]
+    rows += [(100 + i, rows[0][1]) for i in range(100)]
+    got = rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string")))
+    assert len(got) == 120
+    assert {i: t for i, t in got} == {i: t.removesuffix(f"\n{passage}") for i, t in rows}
+
+
 def test_text_of_templates_only_becomes_empty(spark):
     df = spark.createDataFrame([(i, "please read the terms of use\n" * 2 + f"{'abcdefgh'[i]}x " * 9) for i in range(8)] + [(9, "please read the terms of use")], "doc_id bigint, text string")
     got = dict(rows_in(linededup.drop_templates(df)))
