@@ -1,16 +1,17 @@
 """Line deduplication with a log-template tree of fixed depth.
 
-A line of at least ``LEAST_TOKENS`` tokens is cut into lower-cased tokens, with fields that carry digits, addresses or
+A line is cut into lower-cased tokens, with fields that carry digits, addresses or
 links generalised to a wildcard. Its leaf in the tree is its token count and its first ``LEAD`` tokens. A template
 is either a generalised line as it stands or, in a leaf that many texts share, the leaf's constant positions: those
 where one token stands in at least half of the leaf's texts; a line belongs to it if at least ``ALIKE`` of its tokens
-agree. A template recurs if it stands in ``LEAST_TEXTS`` or more unrelated texts; all its lines are dropped.
+agree. A template recurs if it stands in ``LEAST_TEXTS`` or more unrelated texts, or ``SHORT_TEXTS`` if its lines
+have fewer than ``SHORT`` tokens; all its lines are dropped.
 
 Texts that are copies of each other do not make a line boilerplate (near-duplicate removal is for those): the texts
 of one group of near duplicates, as ``simhash.wide_duplicates`` finds them, are one family and count once. Families take
 in looser copies than are removed as near duplicates (similarity ``FAMILY``), or the loose copies of one text would do.
 
-Inputs: null texts stay null and have no lines; empty lines and shorter lines are kept; a text whose lines are all
+Inputs: null texts stay null and have no lines; empty lines and short lines of variable fields only are kept; a text whose lines are all
 dropped stays as an empty text; repeated rows count as one text and are treated alike; other columns are untouched.
 """
 
@@ -28,9 +29,10 @@ from pyspark.sql import functions as F
 from cubedensity.llm import simhash
 from cubedensity.llm.common import bind, content_key, durable
 
-LEAST_TOKENS = 5
+SHORT = 5
 LEAD = 3
 LEAST_TEXTS = 3
+SHORT_TEXTS = 20
 #: similarity inside a family, and the shingle hashes a text that it is estimated from
 FAMILY = 0.6
 FAMILY_SKETCH = 64
@@ -57,7 +59,7 @@ def lines_of(text: str):
     found: dict[int, list] = {}
     for number, line in enumerate(text.split("\n")):
         tokens = tokens_of(line)
-        if len(tokens) < LEAST_TOKENS:
+        if not tokens or (len(tokens) < SHORT and set(tokens) == {"<*>"}):
             continue
         mask = _hash(tokens)
         if mask in found:
@@ -104,12 +106,13 @@ def with_families(lines: DataFrame, docs: DataFrame) -> DataFrame:
 
 
 def _recurring(groups: DataFrame):
-    return groups.filter(F.col("families") >= LEAST_TEXTS)
+    return groups.filter(F.col("families") >= F.when(F.col("size") < SHORT, SHORT_TEXTS).otherwise(LEAST_TEXTS))
 
 
 def _counted(rows: DataFrame, *keys: str) -> DataFrame:
-    """Families of each key, hot keys combined before the shuffle."""
-    return rows.groupBy(*keys, "family").agg(F.lit(1)).groupBy(*keys).agg(F.count("*").alias("families"))
+    """Families and tokens of each key, hot keys combined before the shuffle."""
+    each = rows.groupBy(*keys, "family").agg(F.max(F.octet_length("tokens") / 2).alias("size"))
+    return each.groupBy(*keys).agg(F.count("*").alias("families"), F.max("size").alias("size"))
 
 
 def recurring_lines(lines: DataFrame) -> DataFrame:
@@ -136,7 +139,7 @@ def recurring_lines(lines: DataFrame) -> DataFrame:
         .agg(F.map_from_entries(F.collect_list(F.struct("at", "token"))).alias("constant"))
     )
     agree = F.size(F.filter(F.transform(spots, lambda x, i: F.coalesce(F.try_element_at("constant", i) == x, F.lit(False))), lambda x: x))
-    near = durable(busy.join(fixed, "leaf").filter(agree >= ALIKE * n).select("_kid", "_kh", "nos", "leaf", "family"))
+    near = durable(busy.join(fixed, "leaf").filter(agree >= ALIKE * n).select("_kid", "_kh", "nos", "leaf", "family", "tokens"))
     good = _recurring(_counted(near, "leaf")).select("leaf")
     return plain.union(near.join(good, "leaf", "left_semi").select("_kid", "_kh", "nos"))
 

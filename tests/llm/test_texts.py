@@ -222,6 +222,14 @@ def test_copies_of_one_text_do_not_hide_a_template(spark):
     assert {i: t for i, t in got} == {i: t.removesuffix(f"\n{passage}") for i, t in rows}
 
 
+def test_short_lines_recur_in_more_texts(spark):
+    rng = random.Random(19)
+    own = lambda: " ".join("".join(rng.choice("abcdefghijklmnop") for _ in range(6)) for _ in range(12))
+    rows = [(i, f"{own()}\nall rights reserved.\nMenu\n{i}\n{own()}" + "\nrare line" * (i < 19)) for i in range(30)]
+    got = dict(rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"))))
+    assert got == {i: t.replace("all rights reserved.\nMenu\n", "") for i, t in rows}
+
+
 def test_text_of_templates_only_becomes_empty(spark):
     df = spark.createDataFrame([(i, "please read the terms of use\n" * 2 + f"{'abcdefgh'[i]}x " * 9) for i in range(8)] + [(9, "please read the terms of use")], "doc_id bigint, text string")
     got = dict(rows_in(linededup.drop_templates(df)))
