@@ -91,8 +91,7 @@ add(
     "p as (select page_id, regexp_extract(url, '/([0-9]+)', 1) as number, lower(html) as html from pages) "
     "select number, count(*) as pages from p where exists (select 1 from k where contains(html, k.k)) group by number",
 )
-_TENTH = "event_id % 10 = 0"
-add("op_theta_join", lambda spark, sf: relational.voxel_scan(_e(spark, sf, _TENTH), EVENTS, EVENTS_BW), _csql(_TENTH))
+add("op_theta_join", lambda spark, sf: relational.voxel_scan(_e(spark, sf), EVENTS, EVENTS_BW), _csql())
 add("op_block_join", lambda spark, sf: relational.block_scan(_e(spark, sf), EVENTS, EVENTS_BW), _csql())
 
 

@@ -76,3 +76,8 @@ def test_core_does_not_know_the_training_data_operators():
         for f in files:
             if f.endswith(".py"):
                 assert "llm" not in open(os.path.join(folder, f)).read()
+
+
+def test_theta_join_reads_all_events(spark):
+    found = {n: sorted(map(tuple, entry.queries()[n](spark, SF).collect())) for n in ("op_theta_join", "op_block_join")}
+    assert found["op_theta_join"] == found["op_block_join"]
