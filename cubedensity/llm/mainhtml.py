@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 
 #: fixed values: HTML element classes
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
+LOWER = {c: c + 32 for c in range(65, 91)}
 RAW = frozenset("script style textarea title noscript iframe xmp noembed noframes".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr img".split())
 OUT = frozenset("head script style noscript template nav header footer aside form button input select textarea iframe object embed svg canvas audio video dialog menu title".split())
@@ -134,7 +135,7 @@ def parse(html: str) -> Node:
             child.tag = "header"
             node.items.append(child)
         if tag in RAW:
-            low = html.lower() if low is None else low
+            low = html.translate(LOWER) if low is None else low  # html.lower() would move places
             stop = low.find("</" + tag, at)
             if stop < 0:
                 at = end

@@ -112,3 +112,9 @@ def test_derivatives(spark, tmp_path):
         data, seen = data[size + 4 :], seen + 1
     assert seen == 6
     assert warc.derive(warc.responses(pages.limit(0))).count() == 0
+
+
+def test_ends_are_found_after_letters_that_grow_in_lower_case():
+    page = "<body><article><p>" + "İ" * 40 + "</p><SCRIPT>x</SCRIPT><p>kept, here.</p><p>Kept, there.</p></article></body>"
+    got = mainhtml.extract(page)
+    assert "kept, here." in got and "Kept, there." in got
