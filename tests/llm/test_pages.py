@@ -118,3 +118,146 @@ def test_ends_are_found_after_letters_that_grow_in_lower_case():
     page = "<body><article><p>" + "İ" * 40 + "</p><SCRIPT>x</SCRIPT><p>kept, here.</p><p>Kept, there.</p></article></body>"
     got = mainhtml.extract(page)
     assert "kept, here." in got and "Kept, there." in got
+
+
+def random_tree(rng, depth=0):
+    """(tag, class, children): well-formed trees of containers, paragraphs and links."""
+    if depth == 4 or depth and rng.random() < 0.2:
+        words = " ".join(rng.choice(["one,", "two", "three", "four,", "five"]) for _ in range(rng.randint(0, 60)))
+        link = ("a", "", [words]) if rng.random() < 0.3 else None
+        return ("p", "", [link] if link else [words])
+    tag = rng.choice(["div", "section", "div", "blockquote", "article"])
+    return (tag, rng.choice(["", "", "", "x", "sidebar"]), [random_tree(rng, depth + 1) for _ in range(rng.randint(1, 4))])
+
+
+def written(node):
+    tag, mark, items = node
+    return f"<{tag}{f' class={mark}' if mark else ''}>" + "".join(x if isinstance(x, str) else written(x) for x in items) + f"</{tag}>"
+
+
+def brute_choice(top):
+    """The rule of the docstring, worked out from each container down."""
+
+    def text(node):
+        return sum(len(" ".join(x.split())) if isinstance(x, str) else text(x) for x in node[2])
+
+    def linked(node):
+        return text(node) if node[0] == "a" else sum(linked(x) for x in node[2] if not isinstance(x, str))
+
+    def marked(node):
+        return node[1] == "sidebar" and node[0] != "article"
+
+    def own(node):  # characters and commas that are no link's and no deeper block's
+        parts = [x for x in node[2] if isinstance(x, str)]
+        return sum(len(" ".join(x.split())) for x in parts), sum(x.count(",") for x in parts)
+
+    def points(node, above, beside):
+        """What a container gets: ``above`` is how many steps it is over the node looked at."""
+        beside = beside or marked(node)
+        size, commas = own(node)
+        step = above - (node[0] in ("p", "blockquote"))
+        mine = (1 + commas + min(3.0, size / 100)) / 2**step if size and 0 <= step < mainhtml.STEPS and node[0] != "a" else 0.0
+        return mine * (mainhtml.BESIDE if beside else 1) + sum(points(x, above + 1, beside) for x in node[2] if not isinstance(x, str) and x[0] != "a")
+
+    found = []
+
+    def visit(node, line, beside):
+        score = points(node, 0, beside)
+        share = linked(node) / text(node) if text(node) else 0
+        found.append((score * (1 - share), node, line))
+        for x in node[2]:
+            if not isinstance(x, str) and x[0] != "a":
+                visit(x, [*line, node], beside or marked(node))
+
+    visit(top, [], False)
+    return found
+
+
+def test_choice_against_brute_force():
+    import random
+
+    rng, chosen, scored = random.Random(5), 0, 0
+    for _ in range(300):
+        top = ("body", "", [random_tree(rng) for _ in range(3)])
+        found = brute_choice(top)
+        order = mainhtml.parse(written(top))
+        mainhtml.score(order)
+        got = [(mainhtml.worth(n), n.tag) for n in order if n.tag not in ("#root", "a")]
+        assert [t for _, t in got] == [n[0] for _, n, _ in found]
+        assert [w for w, _ in got] == pytest.approx([w for w, _, _ in found])
+        most = max(w for w, _, _ in found)
+        if not most:
+            continue
+        best, line = next((n, p) for w, n, p in found if w == most)
+        order = mainhtml.parse(written(top))
+        kept = mainhtml.article(order)
+        around = next((n for n in [best, *reversed(line)] if n[0] in ("article", "main")), None)
+        worth = {id(n): w for w, n, _ in found}
+        if around is not None and worth[id(around)] >= mainhtml.AROUND * most:
+            assert [n.tag for n in kept] == ["article"]
+        else:
+            assert best[0] in [n.tag for n in kept]
+        chosen += 1
+        scored += mainhtml.text_of(kept) != mainhtml.text_of([order[0]])
+    assert chosen > 200 and scored > 100  # without the scores the texts would be others
+
+
+def test_scores_choose_where_no_word_marks_a_part():
+    links = "".join(f"<li><a href='/{i}'>Section {i}</a></li>" for i in range(40))
+    teaser = "<div><a href='/a'>Read this, and this, and that</a> <a href='/b'>or that, too</a></div>"
+    page = f"<body><div><ul>{links}</ul></div><div><div>{BODY * 5}</div></div>{teaser}<div>Made by us</div></body>"
+    assert mainhtml.extract(page) == " ".join([TEXT] * 5)
+    everything = mainhtml.text_of([mainhtml.parse(page)[0]])
+    assert "Section 7" in everything and "Made by us" in everything
+
+
+def test_a_page_inside_a_form_is_read():
+    page = f"<body><form id='form1'><div><a href='/'>Home</a></div><div class='c'>{BODY * 3}</div></form></body>"
+    assert mainhtml.extract(page) == " ".join([TEXT] * 3)
+
+
+BAD = {
+    "nested inline": "<b>x",
+    "stray ends": "<div></span>",
+    "open quotes": '<a "',
+    "open values": '<a x="',
+    "hidden ends": '<a x=">" ',
+    "fenced blocks": "<div>",
+    "comments": "<!--",
+    "scripts": "<script>",
+    "titles": "<title>",
+    "names": "<a",
+    "signs": "<",
+    "false ends": "</scriptx",
+    "headers": "<header><h1>",
+}
+
+
+@pytest.mark.parametrize("name", BAD)
+def test_bad_pages_take_linear_time(name):
+    import time
+
+    def seconds(size):
+        page = ("<p><button>" if name == "fenced blocks" else "<script>" if name == "false ends" else "") + BAD[name] * (size // len(BAD[name]))
+        began = time.process_time()
+        mainhtml.extract(page)
+        warc.read(page)
+        return time.process_time() - began
+
+    seconds(20_000)
+    assert seconds(1_000_000) < 8 * max(0.15, seconds(250_000))  # four times the page, not sixteen times the time
+
+
+def test_responses_that_differ_have_ids_that_differ(spark):
+    rows = [(1, None, "x"), (None, "1", "x"), (1, "", "x"), (1, "1", None), (1, "1", ""), (1, "1", "y"), (1, "1", "y")]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string, html string").selectExpr("*", "1 as record_id", "2 as payload", "3 as block")
+    made = warc.responses(pages)
+    assert made.select("record_id").distinct().count() == len(set(rows))
+    assert warc.derive(made).select("record_id").distinct().count() == 2 * len(set(rows))
+
+
+def test_dates_and_addresses(spark):
+    pages = spark.createDataFrame([(1, "http://x/a b\r\nWARC-Type: fake", "p", "2025-05-05T05:05:05Z")], "page_id bigint, url string, html string, at string")
+    for r in warc.derive(warc.responses(pages, date=pages["at"])).collect():
+        assert r.date == "2025-05-05T05:05:05Z" and "WARC-Date: 2025-05-05T05:05:05Z" in r.header
+        assert "WARC-Target-URI: http://x/a%20b%0D%0AWARC-Type:%20fake\r\n" in r.header and r.header.count("WARC-Type") == 2
