@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -15,16 +16,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def durable(df: DataFrame) -> DataFrame:
     """Cut the lineage with a reliable checkpoint in the shared folder of the session.
 
-    The folder is the one named in ``spark.checkpoint.dir``; only where that is unset (tests on one machine)
-    a temporary folder is used.
+    The folder is the one named in ``spark.checkpoint.dir``; where that is unset, a temporary folder is used on one machine,
+    and a cluster is refused, since its executors would not share that folder.
     """
     spark = df.sparkSession
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or _own_folder(sc.master))
     return df.checkpoint(eager=True)
 
 
+def _own_folder(master: str) -> str:
+    if not re.match(r"local(\[|$)", master):
+        raise RuntimeError("spark.checkpoint.dir is not set: it must name a folder that the driver and all executors share")
+    return tempfile.mkdtemp(prefix="checkpoint-")
+
+
 def bind(value: Column, body) -> Column:
     """``body(value)`` with ``value`` computed once per row, as a let-expression."""
     return F.transform(F.array(value), body)[0]
@@ -43,3 +50,24 @@ def content_key(id_col: str = "doc_id", text_col: str = "text") -> list[Column]:
 def content_match(left: DataFrame, right: DataFrame) -> Column:
     """Null-safe equality of the keys that content_key made."""
     return left["_kid"].eqNullSafe(right["_kid"]) & (left["_kh"] == right["_kh"])
+
+
+#: bits of a bitmap of marked keys, at most: 16 MB
+MOST_MARKS = 1 << 27
+_WORD = 32_768  # bits of one bitmap of the engine
+
+
+def where_marked(keyed: DataFrame, marked: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """``keyed`` in two parts by the keys of content_key: rows that may have one of ``marked``'s, and rows that have none for certain.
+
+    The second part needs no join, so few rows are shuffled where few are marked. The keys are sent as a bitmap over
+    their hashes, 16 bits a key and ``MOST_MARKS`` at most; a fuller bitmap lets more rows into the first part, and loses none.
+    """
+    bits = min(MOST_MARKS, max(_WORD, 1 << (16 * max(1, marked.count()) - 1).bit_length()))
+    slot = F.pmod(F.xxhash64("_kid", "_kh"), F.lit(bits))
+    place = [F.floor(slot / _WORD).alias("_word"), F.pmod(slot, F.lit(_WORD)).alias("_spot")]
+    words = marked.select(*place).groupBy("_word").agg(F.bitmap_construct_agg("_spot").alias("_marks"))
+    byte = F.conv(F.hex(F.substring("_marks", F.floor(F.col("_spot") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    hit = F.coalesce(F.getbit(byte, F.pmod("_spot", F.lit(8)).cast("int")) == 1, F.lit(False))
+    told = keyed.select("*", *place).join(F.broadcast(durable(words)), "_word", "left").withColumn("_hit", hit)
+    return tuple(told.filter(c).select(*keyed.columns) for c in (F.col("_hit"), ~F.col("_hit")))

@@ -1,18 +1,24 @@
 """Line deduplication with a log-template tree of fixed depth.
 
-A line is cut into lower-cased tokens, with fields that carry digits, addresses or
-links generalised to a wildcard. Its leaf in the tree is its token count and its first ``LEAD`` tokens. A template
-is either a generalised line as it stands or, in a leaf that many texts share, the leaf's constant positions: those
-where one token stands in at least half of the leaf's texts; a line belongs to it if at least ``ALIKE`` of its tokens
-agree. A template recurs if it stands in ``LEAST_TEXTS`` or more unrelated texts, or ``SHORT_TEXTS`` if its lines
-have fewer than ``SHORT`` tokens; all its lines are dropped.
-
-Texts that are copies of each other do not make a line boilerplate (near-duplicate removal is for those): the texts
-of one group of near duplicates, as ``simhash.wide_duplicates`` finds them, are one family and count once. Families take
-in looser copies than are removed as near duplicates (similarity ``FAMILY``), or the loose copies of one text would do.
-
-Inputs: null texts stay null and have no lines; empty lines and short lines of variable fields only are kept; a text whose lines are all
-dropped stays as an empty text; repeated rows count as one text and are treated alike; other columns are untouched.
+A line is cut into lower-cased tokens, with fields that carry digits, addresses or links generalised to a wildcard. Its
+leaf in the tree is its token count and its first ``LEAD`` tokens. A leaf holds any number of templates: a line joins the
+template of a leader that it agrees with in ``ALIKE`` of its tokens or more, or leads a new one; templates with a line in
+common are one. Lines that agree share one of a few runs of tokens for certain (they differ in fewer places than a line
+has runs), so a line is tried against the leaders of its runs, and where many lines share a run they are dealt out by
+hash first and their leaders meet in a second round. Tokens are compared by 32-bit prints.
+
+A template recurs if it stands in ``LEAST_TEXTS`` documents or more (``SHORT_TEXTS`` if its lines have fewer than ``SHORT``
+tokens); all its lines are dropped from all documents. Copies are documents like any other.
+
+With ``copies`` above zero, only texts count that are unlike each other: a text whose similarity to a counted one, over
+runs of five tokens, is ``copies`` or more does not count again. So the lines that only copies of one text share, near or
+exact, are left to the removal of near duplicates, which would find nothing to keep otherwise. Similarity is estimated from
+the ``SKETCH`` least hashes of a text, and exact for texts of fewer runs.
+
+Inputs: null texts stay null and have no lines; empty lines and short lines of variable fields only are kept; a text whose
+lines are all dropped stays as an empty text; repeated rows are documents each and are treated alike; of several leaders
+that a line agrees with, the first by hash of the line is taken; texts and lines of any length are taken whole; an empty
+table gives none; other columns, of whatever name, are untouched.
 """
 
 from __future__ import annotations
@@ -26,21 +32,34 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm import simhash
-from cubedensity.llm.common import bind, content_key, durable
+from cubedensity.llm.common import bind, content_key, durable, where_marked
+from cubedensity.llm.components import components
 
 SHORT = 5
 LEAD = 3
 LEAST_TEXTS = 3
 SHORT_TEXTS = 20
-#: similarity inside a family, and the shingle hashes a text that it is estimated from
-FAMILY = 0.6
-FAMILY_SKETCH = 64
 ALIKE = 0.7
 BATCH_LINES = 20_000
+#: bytes of tokens of one run that a task walks before they are dealt out, and prints that a task remembers
+RUN_BYTES = 4_000_000
+REMEMBERED = 500_000
+#: least hashes of a text that tell its copies, and texts of a template that are walked in one task before their number is cut
+SKETCH = 32
+HOLDERS = 4096
 
 _FIELD = re.compile(r"[0-9@]|://")
-LINES = "_kid {kind}, _kh bigint, leaf bigint, mask bigint, nos array<int>, tokens binary"
+LINES = "_kid {kind}, _kh bigint, leaf bigint, mask bigint, size int, nos array<int>, tokens binary"
+
+
+class _Prints(dict):
+    """32-bit prints of tokens, remembered up to a bound."""
+
+    def __missing__(self, token: str) -> int:
+        if len(self) >= REMEMBERED:
+            self.clear()
+        made = self[token] = crc32(token.encode())
+        return made
 
 
 def tokens_of(line: str) -> list[str]:
@@ -54,103 +73,212 @@ def _hash(tokens: list[str]) -> int:
     return h - (1 << 64) if h >> 63 else h
 
 
-def lines_of(text: str):
-    """[(leaf, generalised line, line numbers, tokens as two bytes each)] of a text."""
+def sketch_of(prints: np.ndarray) -> bytes:
+    """The least distinct hashes of the runs of five tokens of a text, in order."""
+    n = max(1, len(prints) - 4)
+    h = np.zeros(n, np.uint64)
+    for k in range(min(5, len(prints))):
+        h = (h + prints[k : k + n]) * np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(29)
+    if n > 8 * SKETCH:  # where repeats are few, the least ones need no sort of all
+        least = np.unique(np.partition(h, 4 * SKETCH)[: 4 * SKETCH])
+        if len(least) >= SKETCH:
+            return least[:SKETCH].tobytes()
+    return np.unique(h)[:SKETCH].tobytes()
+
+
+def lines_of(text: str, prints: dict) -> tuple[list[list], bytes]:
+    """([[leaf, generalised line, size, line numbers, prints of the tokens]], sketch) of a text."""
     found: dict[int, list] = {}
+    line_up: list[bytes] = []
     for number, line in enumerate(text.split("\n")):
         tokens = tokens_of(line)
         if not tokens or (len(tokens) < SHORT and set(tokens) == {"<*>"}):
             continue
         mask = _hash(tokens)
         if mask in found:
-            found[mask][2].append(number)
+            found[mask][3].append(number)
         else:
-            short = np.array([crc32(t.encode()) & 0xFFFF for t in tokens], ">u2").tobytes()
-            found[mask] = [_hash([str(len(tokens)), *tokens[:LEAD]]), mask, [number], short]
-    return list(found.values())
+            held = np.fromiter(map(prints.__getitem__, tokens), np.uint32, len(tokens)).tobytes()
+            found[mask] = [_hash([str(len(tokens)), *tokens[:LEAD]]), mask, len(tokens), [number], held]
+        line_up.append(found[mask][4])
+    return list(found.values()), sketch_of(np.frombuffer(b"".join(line_up), np.uint32).astype(np.uint64)) if found else b""
 
 
 def line_table(docs: DataFrame) -> DataFrame:
-    """One row for each distinct generalised line of each distinct text."""
+    """One row for each distinct generalised line of each row of ``docs``, and one without a line that holds its sketch."""
     kind = dict(docs.dtypes)["doc_id"]
 
     def run(batches):
+        prints = _Prints()
         for batch in batches:
             held: list[tuple] = []
+            id_type = batch.schema.field("_kid").type
             for kid, kh, text in zip(batch.column("_kid").to_pylist(), batch.column("_kh").to_pylist(), batch.column("text").to_pylist()):
-                held += [(kid, kh, *r) for r in lines_of(text)]
+                lines, sketch = lines_of(text, prints)
+                if lines:
+                    held += [(kid, kh, *r) for r in lines]
+                    held.append((kid, kh, None, None, None, None, sketch))
                 if len(held) >= BATCH_LINES:
-                    yield _batch(held, batch.schema.field("_kid").type)
+                    yield _batch(held, id_type)
                     held = []
-            yield _batch(held, batch.schema.field("_kid").type)
+            yield _batch(held, id_type)
 
     return docs.filter("text is not null").select(*content_key(), "text").mapInArrow(run, LINES.format(kind=kind))
 
 
 def _batch(rows, id_type) -> pa.RecordBatch:
-    kinds = [id_type, pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary()]
+    kinds = [id_type, pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.binary()]
     columns = list(zip(*rows)) if rows else [[]] * len(kinds)
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=[f.split()[0] for f in LINES.split(", ")])
 
 
-def families(docs: DataFrame) -> DataFrame:
-    """``(_kh, family)``: the group of near duplicates that each distinct text is in."""
-    texts = docs.filter("text is not null").select(F.xxhash64("text", F.lit(False)).alias("doc_id"), "text")
-    return simhash.wide_duplicates(texts, least=FAMILY, keep=FAMILY_SKETCH).groupBy(F.col("doc_id").alias("_kh")).agg(F.first("group").alias("family"))
-
-
-def with_families(lines: DataFrame, docs: DataFrame) -> DataFrame:
-    """Lines in leaves that LEAST_TEXTS rows or more share, which others can not recur without, with their text's family."""
-    shared = lines.groupBy("leaf").agg(F.count("*").alias("n")).filter(F.col("n") >= LEAST_TEXTS).select("leaf")
-    return lines.join(shared, "leaf", "left_semi").join(families(docs), "_kh")
-
-
-def _recurring(groups: DataFrame):
-    return groups.filter(F.col("families") >= F.when(F.col("size") < SHORT, SHORT_TEXTS).otherwise(LEAST_TEXTS))
-
+# templates ---------------------------------------------------------------------------------------------------------
+def runs_of(leaf: int, tokens: bytes) -> list[int]:
+    """Keys of a line: one for each run of tokens behind the leading ones, one run more than lines may differ in places."""
+    n = len(tokens) // 4
+    miss = int((1 - ALIKE) * n + 1e-9)
+    rest = max(0, n - LEAD)
+    cut = [LEAD + rest * i // (miss + 1) for i in range(miss + 2)]
+    head = leaf.to_bytes(8, "little", signed=True)
+    return [xxhash.xxh64_intdigest(head + i.to_bytes(4, "little") + tokens[4 * a : 4 * b]) >> 1 for i, (a, b) in enumerate(zip(cut, cut[1:]))]
+
+
+def _runs(batches):
+    for batch in batches:
+        rows = zip(batch.column("leaf").to_pylist(), batch.column("mask").to_pylist(), batch.column("tokens").to_pylist())
+        made = [(key, mask) for leaf, mask, tokens in rows for key in runs_of(leaf, tokens)]
+        yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in made], pa.int64()), pa.array([m for _, m in made], pa.int64())], names=["key", "mask"])
+
+
+def _walk(batches):
+    """``(key, u, v)`` of rows that come sorted by key and salt: v agrees with the leader u, or is one (u = v)."""
+    at, leaders, names = None, np.zeros((0, 0), np.uint32), []
+    for batch in batches:
+        keys = list(zip(batch.column("key").to_pylist(), batch.column("salt").to_pylist()))
+        masks, held = batch.column("mask").to_pylist(), batch.column("tokens").to_pylist()
+        out: list[tuple[int, int, int]] = []
+        for key, mask, tokens in zip(keys, masks, held):
+            line = np.frombuffer(tokens, np.uint32)
+            if key != at:
+                at, leaders, names, used = key, np.zeros((8, len(line)), np.uint32), [], 0
+            agree = (leaders[:used] == line).sum(axis=1) if used else ()
+            near = np.flatnonzero(agree >= ALIKE * len(line) - 1e-9) if used else ()
+            if len(near):
+                out.append((key[0], names[near[0]], mask))
+                continue
+            if used == len(leaders):
+                leaders = np.concatenate([leaders, np.zeros_like(leaders)])
+            leaders[used] = line
+            used += 1
+            names.append(mask)
+            out.append((key[0], mask, mask))
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], pa.int64()) for i in range(3)], names=["key", "u", "v"])
+
+
+def _leaders(rows: DataFrame) -> DataFrame:
+    dealt = rows.repartition("key", "salt").sortWithinPartitions("key", "salt", "mask")
+    return dealt.select("key", "salt", "mask", "tokens").mapInArrow(_walk, "key bigint, u bigint, v bigint")
+
+
+def alike(masks: DataFrame) -> DataFrame:
+    """``(mask, template)`` of the lines ``masks(leaf, mask, tokens)`` that agree with another."""
+    keyed = durable(masks.select("leaf", "mask", "tokens").mapInArrow(_runs, "key bigint, mask bigint"))
+    sized = keyed.join(masks.select("mask", F.octet_length("tokens").alias("bytes")), "mask").groupBy("key").agg(F.count("*").alias("n"), F.sum("bytes").alias("bytes"))
+    shared = durable(sized.filter("n > 1").select("key", F.ceil(F.col("bytes") / RUN_BYTES).alias("salts")))
+    members = keyed.join(shared, "key").join(masks.select("mask", "tokens"), "mask")
+    first = durable(_leaders(members.withColumn("salt", F.pmod(F.xxhash64("mask"), "salts"))))
+    # leaders of a run that was dealt out meet each other
+    again = first.filter("u = v").select("key", F.col("u").alias("mask")).join(shared.filter("salts > 1").select("key"), "key", "left_semi")
+    second = _leaders(again.join(masks.select("mask", "tokens"), "mask").withColumn("salt", F.lit(0).cast("bigint")))
+    links = first.select("u", "v").union(second.select("u", "v")).filter("u <> v")
+    return components(links).select(F.col("node").alias("mask"), F.col("root").alias("template"))
+
+
+def _recurs():
+    return F.col("texts") >= F.when(F.col("size") < SHORT, SHORT_TEXTS).otherwise(LEAST_TEXTS)
+
+
+def _recurring(texts: DataFrame, group: DataFrame) -> DataFrame:
+    """``(mask, template, size)`` of templates that recur: lines as they stand, and groups of alike lines by distinct row."""
+    plain = texts.groupBy("mask").agg(F.sum("n").alias("texts"), F.max("size").alias("size")).filter(_recurs())
+    plain = plain.select("mask", F.col("mask").alias("template"), "size")
+    mine = texts.join(group, "mask")
+    each = mine.groupBy("template", "_kh").agg(F.max("n").alias("n"), F.max("size").alias("size"))  # lines of a leaf have one size
+    wide = each.groupBy("template").agg(F.sum("n").alias("texts"), F.max("size").alias("size")).filter(_recurs()).select("template", "size")
+    wide = group.join(wide, "template").select("mask", "template", "size")
+    return durable(plain.join(wide.select("mask"), "mask", "left_anti").union(wide))
+
+
+def _unlike(copies: float):
+    """Of rows that come sorted by template and salt, texts that are unlike each other, as many as make a template recur."""
 
-def _counted(rows: DataFrame, *keys: str) -> DataFrame:
-    """Families and tokens of each key, hot keys combined before the shuffle."""
-    each = rows.groupBy(*keys, "family").agg(F.max(F.octet_length("tokens") / 2).alias("size"))
-    return each.groupBy(*keys).agg(F.count("*").alias("families"), F.max("size").alias("size"))
-
-
-def recurring_lines(lines: DataFrame) -> DataFrame:
-    """``(_kid, _kh, nos)``: the lines of each text that belong to a recurring template."""
-    masks = durable(_recurring(_counted(lines, "mask")).select("mask"))
-    plain = lines.select("_kid", "_kh", "nos", "mask").join(masks, "mask", "left_semi").select("_kid", "_kh", "nos")
-
-    # leaves that many unrelated texts share through lines that do not recur as they stand
-    leaves = durable(_recurring(_counted(lines, "leaf")).select("leaf", "families"))
-    busy = durable(
-        lines.join(leaves, "leaf").join(masks.withColumnRenamed("mask", "_m"), F.col("mask") == F.col("_m"), "left_anti")
-    )
-    n = (F.octet_length("tokens") / 2).cast("int")
-    spots = F.transform(F.sequence(F.lit(1), n), lambda i: F.substring(F.col("tokens"), 2 * i - 1, F.lit(2)))
-    placed = busy.select("leaf", "family", F.posexplode(spots).alias("at", "token")).distinct()
-    common = placed.groupBy("leaf", "at", "token").agg(F.count("*").alias("n"))
-    total = busy.select("leaf", "family").distinct().groupBy("leaf").agg(F.count("*").alias("all"))
-    fixed = (
-        common.groupBy("leaf", "at")
-        .agg(F.max_by("token", F.struct("n", "token")).alias("token"), F.max("n").alias("n"))
-        .join(total, "leaf")
-        .filter(2 * F.col("n") >= F.col("all"))
-        .groupBy("leaf")
-        .agg(F.map_from_entries(F.collect_list(F.struct("at", "token"))).alias("constant"))
-    )
-    agree = F.size(F.filter(F.transform(spots, lambda x, i: F.coalesce(F.try_element_at("constant", i) == x, F.lit(False))), lambda x: x))
-    near = durable(busy.join(fixed, "leaf").filter(agree >= ALIKE * n).select("_kid", "_kh", "nos", "leaf", "family", "tokens"))
-    good = _recurring(_counted(near, "leaf")).select("leaf")
-    return plain.union(near.join(good, "leaf", "left_semi").select("_kid", "_kh", "nos"))
-
-
-def drop_templates(docs: DataFrame) -> DataFrame:
-    """``docs`` with the lines of recurring templates taken out of ``text``; all columns stay."""
+    def run(batches):
+        at, held = None, []
+        for batch in batches:
+            out = []
+            for k, (key, size, sketch) in enumerate(zip(zip(batch.column("template").to_pylist(), batch.column("salt").to_pylist()), batch.column("size").to_pylist(), batch.column("sketch").to_pylist())):
+                if key != at:
+                    at, held = key, []
+                if len(held) < (SHORT_TEXTS if size < SHORT else LEAST_TEXTS) and all(resemblance(sketch, x) < copies for x in held):
+                    held.append(sketch)
+                    out.append(k)
+            yield batch.take(pa.array(out, pa.int64()))
+
+    return run
+
+
+def resemblance(a: bytes, b: bytes) -> float:
+    """Similarity of two texts by their least hashes; exact if both are held whole."""
+    p, q = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
+    union = np.union1d(p, q)
+    if max(len(p), len(q)) == SKETCH:
+        union = union[:SKETCH]
+    return (np.isin(union, p, assume_unique=True) & np.isin(union, q, assume_unique=True)).sum() / len(union)
+
+
+def _among_unlike(texts: DataFrame, sketches: DataFrame, found: DataFrame, copies: float) -> DataFrame:
+    """``found`` without the templates that too few texts share which are unlike each other."""
+    kind = "template bigint, salt bigint, size int, _kh bigint, sketch binary"
+    each = texts.select("_kh", "mask").join(found, "mask").groupBy("template", "_kh").agg(F.max("size").alias("size"))
+    held = each.join(sketches, "_kh").withColumn("salt", F.lit(0).cast("bigint")).select("template", "salt", "size", "_kh", "sketch")
+    # first the texts of a partition, where they are, then in shares of a template's texts, then a template's
+    held = durable(held.sortWithinPartitions("template", "salt", "_kh").mapInArrow(_unlike(copies), kind))
+    sizes = held.groupBy("template").agg(F.ceil(F.count("*") / HOLDERS).alias("salts"))
+    held = held.drop("salt").join(sizes, "template").withColumn("salt", F.pmod("_kh", "salts")).select("template", "salt", "size", "_kh", "sketch")
+    for last in (False, True):
+        held = held.withColumn("salt", F.lit(0).cast("bigint")) if last else held
+        held = held.repartition("template", "salt").sortWithinPartitions("template", "salt", "_kh").mapInArrow(_unlike(copies), kind)
+    good = held.groupBy("template").agg(F.count("*").alias("texts"), F.max("size").alias("size")).filter(_recurs()).select("template")
+    return durable(found.join(good, "template").select("mask"))
+
+
+def recurring(lines: DataFrame, copies: float = 0.0) -> DataFrame:
+    """``(mask)`` of all lines of recurring templates."""
+    # a text's lines once, however many rows hold the text
+    texts = durable(lines.filter("mask is not null").groupBy("_kh", "mask").agg(F.max("leaf").alias("leaf"), F.max("size").alias("size"), F.count("*").alias("n")))
+    leaves = texts.groupBy("leaf").agg(F.sum("n").alias("n")).filter(F.col("n") >= LEAST_TEXTS).select("leaf")
+    masks = durable(lines.join(leaves, "leaf", "left_semi").groupBy("leaf", "mask").agg(F.max("tokens").alias("tokens")))
+    found = _recurring(texts, durable(alike(masks)))
+    if copies <= 0:
+        return found.select("mask")
+    sketches = lines.filter("mask is null").groupBy("_kh").agg(F.max("tokens").alias("sketch"))
+    return _among_unlike(texts, sketches, found, copies)
+
+
+def drop_templates(docs: DataFrame, copies: float = 0.0) -> DataFrame:
+    """``docs`` with the lines of recurring templates taken out of ``text``; all columns stay. See above for ``copies``."""
     columns = docs.columns
-    lines = durable(with_families(durable(line_table(docs)), docs))
-    drops = recurring_lines(lines).groupBy(F.col("_kid").alias("_did"), F.col("_kh").alias("_dh")).agg(F.flatten(F.collect_list("nos")).alias("nos"))
+    lines = durable(line_table(docs))
+    masks = durable(recurring(lines.drop("_kid", "nos"), copies))
+    drops = lines.select("_kid", "_kh", "nos", "mask").join(masks, "mask", "left_semi")
+    # repeated rows give repeated lists of the same lines
+    drops = durable(drops.groupBy("_kid", "_kh").agg(F.array_distinct(F.flatten(F.collect_set("nos"))).alias("nos")))
     row = docs.select(F.struct(*columns).alias("row"), *content_key())
-    joined = row.join(drops, row["_kid"].eqNullSafe(drops["_did"]) & (row["_kh"] == drops["_dh"]), "left")
+    named = drops.select(F.col("_kid").alias("_did"), F.col("_kh").alias("_dh"), "nos")
+    held, free = where_marked(row, drops)
+    joined = held.join(named, held["_kid"].eqNullSafe(named["_did"]) & (held["_kh"] == named["_dh"]), "left").select("row", "nos")
+    joined = joined.union(free.select("row", F.lit(None).cast("array<int>").alias("nos")))
 
     def kept(parts):
         left = F.array_except(F.sequence(F.lit(0), F.size(parts) - 1), F.col("nos"))

@@ -189,26 +189,116 @@ def test_toxicity_edges(spark):
 
 
 # lines -------------------------------------------------------------------------------------------------------------
-def test_templates(spark):
+def made_up(rng, n=6):
+    return "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(n))
+
+
+def brute_templates(rows, copies=0.0):
+    """Dropped line numbers of each row, by comparing all lines of a leaf with each other."""
+    parsed = [[(k, linededup.tokens_of(x)) for k, x in enumerate((t or "").split("\n"))] for _, t in rows]
+    parsed = [[(k, tuple(x)) for k, x in p if x and not (len(x) < linededup.SHORT and set(x) == {"<*>"})] for p in parsed]
+    kinds = {x for p in parsed for _, x in p}
+    root = {x: x for x in kinds}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    leaves = defaultdict(list)
+    for x in kinds:
+        leaves[len(x), x[: linededup.LEAD]].append(x)
+    for held in leaves.values():
+        for a, b in combinations(held, 2):
+            if sum(p == q for p, q in zip(a, b)) >= linededup.ALIKE * len(a):
+                root[find(a)] = find(b)
+
+    def similar(a, b):
+        sets = [{tuple(x[k : k + 5]) for k in range(max(1, len(x) - 4))} for x in ([w for _, line in parsed[i] for w in line] for i in (a, b))]
+        return len(sets[0] & sets[1]) / len(sets[0] | sets[1])
+
+    holders = defaultdict(list)
+    for i in range(len(rows)):
+        for t in {find(x) for _, x in parsed[i]}:
+            if not copies or all(similar(i, j) < copies for j in holders[t]):
+                holders[t].append(i)
+    found = {t for t, h in holders.items() if len(h) >= (linededup.SHORT_TEXTS if len(t) < linededup.SHORT else linededup.LEAST_TEXTS)}
+    return [{k for k, x in p if find(x) in found} for p in parsed]
+
+
+def without(rows, drops):
+    return [(i, t if not d else "\n".join(x for k, x in enumerate(t.split("\n")) if k not in d)) for (i, t), d in zip(rows, drops)]
+
+
+@pytest.mark.parametrize("copies", [0.0, 0.5])
+def test_templates_against_brute_force(spark, copies, monkeypatch):
+    rng = random.Random(41)
+    templates = [[made_up(rng) for _ in range(rng.randint(3, 14))] for _ in range(12)]
+    holes = [rng.sample(range(3, len(t)), int(0.3 * len(t)) if len(t) > 4 else 0) for t in templates]
+    texts = []
+    for _ in range(80):
+        lines = [" ".join(made_up(rng) for _ in range(rng.randint(1, 9))) for _ in range(rng.randint(0, 3))]
+        for _ in range(rng.randint(0, 3)):
+            k = min(int(rng.expovariate(0.3)), 11)
+            words = list(templates[k])
+            for h in holes[k]:
+                words[h] = rng.choice([made_up(rng), "7", "same"])
+            lines.insert(rng.randrange(len(lines) + 1), rng.choice(["", "  "]) + " ".join(words).upper())
+        texts.append("\n".join(lines))
+    texts += [texts[3]] * 5 + [texts[4] + "\nmore of it", "\n".join(" ".join(t) for t in templates)]
+    monkeypatch.setattr(linededup, "SKETCH", 1024)  # exact similarity
+    df = docs_of(spark, texts + ODD)
+    rows = rows_in(df)
+    want = sorted(without(rows, brute_templates(rows, copies)), key=str)
+    assert sorted(rows_in(linededup.drop_templates(df, copies=copies)), key=str) == want
+    monkeypatch.setattr(linededup, "RUN_BYTES", 100)  # runs and texts are dealt out
+    monkeypatch.setattr(linededup, "HOLDERS", 2)
+    assert sorted(rows_in(linededup.drop_templates(df, copies=copies)), key=str) == want
+
+
+@pytest.mark.parametrize("copies", [0.0, 0.5])
+def test_templates(spark, copies):
     rng = random.Random(1)
-    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(6))
-    own = lambda: " ".join(word() for _ in range(12))
+    line = lambda: " ".join(made_up(rng) for _ in range(12))
     texts = []
     for i in range(12):
-        lines = [own() for _ in range(4)]
+        lines = [line() for _ in range(4)]
         lines.insert(rng.randrange(5), f"All rights reserved by us {1990 + i} here")  # a number varies
-        lines.insert(rng.randrange(5), f"This page was written by {word()} for all our readers")  # a name varies
+        lines.insert(rng.randrange(5), f"This page was written by {made_up(rng)} for all our readers")  # a name varies
         lines.insert(rng.randrange(5), "ok then")  # too short
         texts.append("\n".join(lines))
-    copy = "\n".join(own() for _ in range(5))
-    texts += [copy] * 30  # copies are no boilerplate
-    df = docs_of(spark, texts + ODD).withColumn("n_chars", F.length("text").cast("long"))
-    out = linededup.drop_templates(df)
+    copy = "\n".join(line() for _ in range(5))
+    df = docs_of(spark, texts + [copy] * 30 + ODD).withColumn("n_chars", F.length("text").cast("long"))
+    out = linededup.drop_templates(df, copies=copies)
     assert out.columns == df.columns and out.count() == df.count()
-    want = [(i, t if t is None or "rights" not in t else "\n".join(x for x in t.split("\n") if "rights" not in x and "written by" not in x)) for i, t in rows_in(df)]
+    clean = lambda t: "\n".join(x for x in t.split("\n") if "rights" not in x and "written by" not in x)
+    want = [(i, t if t is None else clean(t) if "rights" in t else "" if t == copy and not copies else t) for i, t in rows_in(df)]
     assert sorted(rows_in(out), key=str) == sorted(want, key=str)
     assert out.filter("text is not null and n_chars <> length(text)").count() == 0
-    assert linededup.drop_templates(df.limit(0)).count() == 0
+    assert linededup.drop_templates(df.limit(0), copies=copies).count() == 0
+
+
+def test_two_templates_of_one_leaf(spark):
+    rng = random.Random(7)
+    a = lambda: f"this page was written by {made_up(rng)} for all our dear readers"
+    b = lambda: f"this page was last changed on {made_up(rng)} by some of us"
+    rows = [(i, f"{made_up(rng)} {made_up(rng)} of its own kind\n{a() if i < 36 else b()}") for i in range(60)]
+    for copies in (0.0, 0.5):
+        got = dict(rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"), copies=copies)))
+        assert got == {i: t.split("\n")[0] for i, t in rows}
+
+
+def test_line_of_texts_with_a_common_vocabulary_and_of_copies(spark):
+    rng = random.Random(8)
+    vocabulary = [made_up(rng) for _ in range(50)]
+    passage = "all of this is under the licence of its makers"
+    rows = [(i, "\n".join([" ".join(rng.choice(vocabulary) for _ in range(12)) for _ in range(5)] + [passage])) for i in range(40)]
+    for copies in (0.0, 0.5):
+        got = dict(rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"), copies=copies)))
+        assert got == {i: t.removesuffix("\n" + passage) for i, t in rows}
+    same = spark.createDataFrame([(i, rows[0][1]) for i in range(40)], "doc_id bigint, text string")
+    assert all(t == "" for _, t in rows_in(linededup.drop_templates(same)))
+    assert all(t == rows[0][1] for _, t in rows_in(linededup.drop_templates(same, copies=0.5)))
 
 
 def test_copies_of_one_text_do_not_hide_a_template(spark):
@@ -217,23 +307,40 @@ def test_copies_of_one_text_do_not_hide_a_template(spark):
     passage = "this passage stands in many unrelated texts"
     rows = [(i, f"{body()}\n{passage}") for i in range(20)]
     rows += [(100 + i, rows[0][1]) for i in range(100)]
-    got = rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string")))
-    assert len(got) == 120
+    near = rows[1][1].split(" ")
+    for i in range(50):  # near copies, each with a word of its own
+        near[4 + i % 30] = f"x{made_up(rng)}"
+        rows.append((300 + i, " ".join(near)))
+        near = rows[1][1].split(" ")
+    got = rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"), copies=0.5))
     assert {i: t for i, t in got} == {i: t.removesuffix(f"\n{passage}") for i, t in rows}
 
 
 def test_short_lines_recur_in_more_texts(spark):
     rng = random.Random(19)
-    own = lambda: " ".join("".join(rng.choice("abcdefghijklmnop") for _ in range(6)) for _ in range(12))
+    own = lambda: " ".join(made_up(rng) for _ in range(12))
     rows = [(i, f"{own()}\nall rights reserved.\nMenu\n{i}\n{own()}" + "\nrare line" * (i < 19)) for i in range(30)]
     got = dict(rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"))))
     assert got == {i: t.replace("all rights reserved.\nMenu\n", "") for i, t in rows}
 
 
 def test_text_of_templates_only_becomes_empty(spark):
-    df = spark.createDataFrame([(i, "please read the terms of use\n" * 2 + f"{'abcdefgh'[i]}x " * 9) for i in range(8)] + [(9, "please read the terms of use")], "doc_id bigint, text string")
-    got = dict(rows_in(linededup.drop_templates(df)))
-    assert got[9] == "" and all("terms" not in t for t in got.values())
+    rows = [(i, "please read the terms of use\n" * 2 + f"{'abcdefgh'[i]}x " * 9) for i in range(8)] + [(9, "please read the terms of use")]
+    for copies in (0.0, 0.5):
+        got = dict(rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"), copies=copies)))
+        assert got[9] == "" and all("terms" not in t for t in got.values())
+
+
+def test_rows_without_a_mark_bypass_the_join(spark):
+    from cubedensity.llm import common
+
+    keyed = spark.range(2000).selectExpr("id as _kid", "xxhash64(id) as _kh")
+    marked = keyed.filter("_kid % 100 = 0")
+    held, free = common.where_marked(keyed, marked)
+    assert held.count() + free.count() == 2000 and held.count() < 400
+    assert free.filter("_kid % 100 = 0").count() == 0
+    held, free = common.where_marked(keyed, marked.limit(0))
+    assert held.count() == 0 and free.count() == 2000
 
 
 # packing -----------------------------------------------------------------------------------------------------------
