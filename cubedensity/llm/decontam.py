@@ -5,25 +5,29 @@ suffix array is sorted to the depth of a window; suffixes that begin with no n-g
 and are left out. Every window-long suffix of every item is found by binary search in every shard; hits that follow
 each other on one diagonal are joined into the longest verbatim match, with its place in document and item.
 
-Items are handed to the tasks in blocks of a stated size, one pass per block, so a benchmark of any size works.
+Items are handed to the tasks in blocks of a stated size. A benchmark of several blocks takes a pass for each, whose matches
+are written before the next begins, so that one block at a time is held, and the few texts with matches meet them at the end.
 
 Inputs: null texts have no words; an item without words never occurs; items of fewer words than a window are one
-window; repeated items count once under their id; repeated documents give repeated rows.
+window; repeated items count once under their id; repeated documents give repeated rows; texts of any length are searched
+whole (one that exceeds a shard is a shard of its own); empty tables give no rows or no matches; columns that clash with
+those made here are replaced where they are named and untouched otherwise.
 """
 
 from __future__ import annotations
 
-from collections import defaultdict
-
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cubedensity.llm.common import durable, where_marked
+
 WINDOW = 10
 SHARD_WORDS = 1_000_000
-BLOCK_CHARS = 16_000_000
+#: characters of items in a block: about 100 MB of windows in the driver and in a worker
+BLOCK_CHARS = 4_000_000
 
 #: fixed values: byte classes of a word (ASCII digits and letters, lower-cased, and all non-ASCII bytes)
 _FOLD = bytes(
@@ -41,37 +45,39 @@ class ItemIndex:
 
     def __init__(self, items: list[tuple[str, str]], window: int):
         self.window = window
-        vocabulary: dict[bytes, int] = {}
-        where: dict[tuple[int, ...], list[tuple[int, int]]] = defaultdict(list)
+        self.vocabulary: dict[bytes, int] = {}
         self.ids: list[str] = []
+        parts: list[list[int]] = []
         for item_id, text in items:
-            ids = [vocabulary.setdefault(w, len(vocabulary) + 1) for w in words_of((text or "").encode())]
-            if not ids:
-                continue
-            self.ids.append(item_id)
-            size = min(window, len(ids))
-            for at in range(len(ids) - size + 1):
-                where[tuple(ids[at : at + size])].append((len(self.ids) - 1, at))
-        self.vocabulary = vocabulary
-        found = sorted(where)
-        self.sizes = np.array([len(w) for w in found], np.int64)
-        pad = lambda w, fill: np.array([*w, *[fill] * (window - len(w))], ">u4").tobytes()
-        kind = f"S{4 * window}"
-        self.low = np.array([pad(w, 0) for w in found], kind)
-        self.high = np.array([pad(w, 0xFFFFFFFF) for w in found], kind)
-        counts = [len(where[w]) for w in found]
-        self.first = np.concatenate([[0], np.cumsum(counts)]).astype(np.int64)
-        flat = [x for w in found for x in where[w]]
-        self.item = np.array([i for i, _ in flat], np.int64)
-        self.at = np.array([a for _, a in flat], np.int64)
-        self.gram = min([3, *self.sizes.tolist()]) if found else 1
-        base = len(vocabulary) + 1
+            ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of((text or "").encode())]
+            if ids:
+                self.ids.append(item_id)
+                parts.append(ids)
+        size = np.array([len(p) for p in parts], np.int64)
+        words = np.fromiter((w for p in parts for w in p), np.int64, int(size.sum()))
+        begin = np.cumsum(size) - size
+        many = np.maximum(1, size - window + 1)
+        self.item = np.repeat(np.arange(len(parts)), many)
+        self.at = np.arange(int(many.sum())) - np.repeat(np.cumsum(many) - many, many)
+        long = np.minimum(size, window)[self.item]  # words of each window
+        place = np.arange(window)
+        held = place < long[:, None]
+        spot = np.minimum((begin[self.item] + self.at)[:, None] + place, max(0, len(words) - 1))
+        found = np.where(held, words[spot] if len(words) else 0, 0).astype(">u4")
+        keys = np.ascontiguousarray(found).view(f"S{4 * window}").ravel()
+        self.low, head, entry = np.unique(keys, return_index=True, return_inverse=True)
+        self.sizes = long[head]
+        self.high = np.ascontiguousarray(np.where(held[head], found[head], 0xFFFFFFFF).astype(">u4")).view(f"S{4 * window}").ravel()
+        order = np.argsort(entry, kind="stable")
+        self.item, self.at = self.item[order], self.at[order]
+        self.first = np.concatenate([[0], np.cumsum(np.bincount(entry, minlength=len(self.low)))]).astype(np.int64)
+        self.gram = min([3, *self.sizes.tolist()])
+        base = len(self.vocabulary) + 1
         while base**self.gram >= 1 << 62:
             self.gram -= 1
-        grams = {self._pack(np.array(w[: self.gram], np.int64)[:, None], base)[0] for w in found}
         self.bits = np.zeros(1 << 22, bool)
-        if grams:
-            self.bits[self._slot(np.array(sorted(grams), np.int64))] = True
+        if len(self.low):
+            self.bits[self._slot(self._pack(found[head, : self.gram].astype(np.int64).T, base))] = True
 
     def _pack(self, parts, base: int) -> np.ndarray:
         out = np.zeros(parts.shape[1], np.int64)
@@ -162,27 +168,47 @@ def _search(index: ItemIndex, columns: list[str]):
     return run
 
 
+#: the bytes of words, as a pattern that counts them
+_WORDS = "[^\\x00-\\x2F\\x3A-\\x40\\x5B-\\x60\\x7B-\\x7F]+"
+
+
+def _pass(docs: DataFrame, items: DataFrame, window: int) -> DataFrame:
+    """``docs`` with ``_n_words`` and ``_found``, the matches with a block of items."""
+    index = ItemIndex([(r[0], r[1]) for r in items.orderBy("item_id", "text").collect()], window)
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
+    return docs.mapInArrow(_search(index, docs.columns), f"{kinds}, _n_words bigint, _found array<{MATCH}>")
+
+
 def longest_matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_chars: int = BLOCK_CHARS) -> DataFrame:
     """``docs`` with ``n_words`` and ``matches``: all maximal verbatim matches of at least a window (or a whole shorter item).
 
-    ``benchmark(item_id, text)`` is taken in blocks of about ``block_chars`` characters, each held by a task at a time.
-    Columns of ``docs`` named ``n_words`` or ``matches`` are replaced.
+    ``benchmark(item_id, text)`` is taken in blocks of about ``block_chars`` characters. Columns of ``docs`` named ``n_words``
+    or ``matches`` are replaced.
     """
     docs = docs.select(*(c for c in docs.columns if c not in ("n_words", "matches", "_n_words", "_found")))
     items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), "text").filter("text is not null").distinct()
     total = items.agg(F.sum(F.length("text"))).first()[0] or 0
     blocks = max(1, -(-total // block_chars))
-    out, keep = docs, docs.columns
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
+    if blocks == 1:
+        return _pass(docs, items, window).withColumnsRenamed({"_n_words": "n_words", "_found": "matches"})
+    items = durable(items)
+    row = docs.select(F.struct(*docs.columns).alias("_row"), F.hash("text").alias("_kid"), F.xxhash64("text").alias("_kh"), "text")
+    parts = []
     for block in range(blocks):
         mine = items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == block)
-        index = ItemIndex([(r[0], r[1]) for r in mine.orderBy("item_id", "text").collect()], window)
-        more = "" if block == 0 else f", matches array<{MATCH}>"
-        columns = [*keep] if block == 0 else [*keep, "matches"]
-        out = out.select(*columns).mapInArrow(_search(index, columns), f"{kinds}{more}, _n_words bigint, _found array<{MATCH}>")
-        matches = F.col("_found") if block == 0 else F.concat("matches", "_found")
-        out = out.select(*keep, F.col("_n_words").alias("n_words"), matches.alias("matches"))
-    return out
+        found = _pass(row.select("_kid", "_kh", "text"), mine, window).filter(F.size("_found") > 0)
+        parts.append(durable(found.select("_kid", "_kh", "_found")))
+    every = parts[0]
+    for part in parts[1:]:
+        every = every.union(part)
+    # equal texts have equal matches
+    every = durable(every.groupBy("_kid", "_kh").agg(F.flatten(F.collect_set("_found")).alias("matches")))
+    held, free = where_marked(row, every)
+    none = F.array().cast(f"array<{MATCH}>")
+    named = every.select(F.col("_kid").alias("_i"), F.col("_kh").alias("_h"), "matches")
+    met = held.join(named, (F.col("_kid") == F.col("_i")) & (F.col("_kh") == F.col("_h")), "left").select("_row", "text", F.coalesce("matches", none).alias("matches"))
+    met = met.union(free.select("_row", "text", none.alias("matches")))
+    return met.select("_row.*", F.coalesce(F.regexp_count("text", F.lit(_WORDS)), F.lit(0)).cast("bigint").alias("n_words"), "matches")
 
 
 def hit_words(matches):
@@ -210,5 +236,5 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """``docs`` without the documents that hold a window of any item; the columns stay as they are."""
-    found = longest_matches(docs.select(F.struct(*docs.columns).alias("row"), F.col("text")), benchmark, window)
+    found = longest_matches(docs.select(F.struct(*docs.columns).alias("row"), F.col("text").alias("text")), benchmark, window)
     return found.filter(F.size("matches") == 0).select("row.*")

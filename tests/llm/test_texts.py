@@ -350,8 +350,8 @@ def padded(cut, lengths):
 
 def test_boundaries_are_optimal():
     rng = random.Random(4)
-    for _ in range(20):
-        edges = sorted(rng.sample(range(8, 400, 8), 8))
+    for _ in range(40):
+        edges = sorted(rng.sample(range(0, 400), 8))
         rows = [rng.randint(1, 50) for _ in edges]
         lengths = [e for e, n in zip(edges, rows) for _ in range(n)]
         for k in (1, 2, 3, 8, 12):
@@ -359,6 +359,20 @@ def test_boundaries_are_optimal():
             cut = packing.boundaries(edges, rows, k)
             assert len(cut) <= k and cut[-1] == edges[-1] and padded(cut, lengths) == best
     assert packing.boundaries([], [], 4) == []
+    assert packing.boundaries([9], [5], 4) == [9]
+    assert len(packing.boundaries(list(range(30_000)), [1] * 30_000, 16)) == 16
+
+
+def test_padding_is_least_for_the_true_lengths(spark):
+    rng = random.Random(14)
+    texts = ["w " * rng.choice([0, 3, 9, 10, 17, 40, 41]) for _ in range(200)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    got = packing.pack(df, buckets=3, budget=500).collect()
+    lengths = [len(t) // 2 for t in texts]
+    assert sum(r.bucket_length for r in got) == min(padded([*c, 41], lengths) for c in combinations(sorted(set(lengths)), 2))
+    same = spark.createDataFrame([(1, "w " * 9)] * 3000, "doc_id bigint, text string")
+    got = packing.pack(same, budget=18).collect()
+    assert {(r.bucket_length, r.padding) for r in got} == {(9, 0)} and len({r.batch_id.split("-")[1] for r in got}) > 10
 
 
 def test_packing(spark):
@@ -384,10 +398,11 @@ def test_packing(spark):
     assert packing.pack(df.limit(0)).count() == 0
 
 
-def test_histogram_edges(spark):
-    got = [r[0] for r in spark.createDataFrame([(n,) for n in (0, 1, 8, 9, 32_768, 32_769, 1_000_000)], "n bigint").select(packing.edge(F.col("n"))).collect()]
-    assert got[:5] == [8, 8, 8, 16, 32_768]
-    assert all(e >= n and e <= n * 1.04 + 8 for e, n in zip(got, (0, 1, 8, 9, 32_768, 32_769, 1_000_000)))
+def test_histogram_bins(spark):
+    sizes = (0, 1, 8, 9, 32_768, 32_769, 1_000_000)
+    got = [r[0] for r in spark.createDataFrame([(n,) for n in sizes], "n bigint").select(packing.bin_of(F.col("n"))).collect()]
+    assert got[:5] == [0, 1, 8, 9, 32_768]
+    assert all(n <= e <= n * 1.04 for e, n in zip(got, sizes))
 
 
 # surrogates --------------------------------------------------------------------------------------------------------
