@@ -19,17 +19,19 @@ def durable(df: DataFrame) -> DataFrame:
     The folder is the one named in ``spark.checkpoint.dir``; where that is unset, a temporary folder is used on one machine,
     and a cluster is refused, since its executors would not share that folder.
     """
-    spark = df.sparkSession
-    sc = spark.sparkContext
+    sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or _own_folder(sc.master))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
-def _own_folder(master: str) -> str:
-    if not re.match(r"local(\[|$)", master):
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the session names for files that all of the cluster share; one of this machine only in local mode."""
+    sc = spark.sparkContext
+    named = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if not named and not re.match(r"local(\[|$)", sc.master):
         raise RuntimeError("spark.checkpoint.dir is not set: it must name a folder that the driver and all executors share")
-    return tempfile.mkdtemp(prefix="checkpoint-")
+    return (named or tempfile.mkdtemp(prefix="checkpoint-")).rstrip("/")
 
 
 def bind(value: Column, body) -> Column:
