@@ -8,7 +8,7 @@ from cubedensity.llm.common import table
 
 
 def op1_surrogates(spark, sf_dir):
-    return pii.replace(table(spark, sf_dir, "documents"))
+    return pii.replace(table(spark, sf_dir, "documents"), pii.key_of(spark))
 
 
 def op2_simhash(spark, sf_dir):

@@ -9,7 +9,9 @@ over every row.
 Spans are in code points, end exclusive. Matches are leftmost and do not overlap within a kind; a match whose
 measured group is shorter than the rule's least length is dropped.
 
-Inputs: null texts count as empty and give no spans; repeated rows give repeated results; an empty table gives none.
+Inputs: null texts count as empty and give no spans; texts of any length are read whole; of matches that begin at one place
+the rule that is listed first comes first; repeated rows give repeated results; an empty table gives none; extra columns,
+of whatever name, are not returned.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import bind, durable
+from cubedensity.llm.common import bind, durable, where_marked
 
 ROWS_PER_BLOCK = 4096
 MOST_STRINGS = 64
@@ -195,10 +197,13 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE + MORE, rows_per_block:
     queried = [(i, q) for i, q in asked if q is not True]
     keyed = docs.select("doc_id", "text").withColumn("_row", F.xxhash64("doc_id", "text"))
     blocks = max(1, -(-docs.count() // rows_per_block))
-    marked = keyed.withColumn("rules", F.lit(0).cast("long"))
+    marked = keyed.select("doc_id", "text", F.lit(0).cast("long").alias("rules"))
     if queried:
-        hits = durable(candidates(keyed, queried, blocks)).withColumnRenamed("_row", "_hit")
-        marked = keyed.join(hits.hint("shuffle_hash"), F.col("_row") == F.col("_hit"), "left")
+        hits = durable(candidates(keyed, queried, blocks))
+        key = [F.lit(0).alias("_kid"), F.col("_row").alias("_kh")]
+        held, free = where_marked(keyed.select("doc_id", "text", "_row", *key), hits.select(*key))  # rows without candidates stay where they are
+        held = held.join(hits.withColumnRenamed("_row", "_hit"), F.col("_row") == F.col("_hit"), "left")
+        marked = held.select("doc_id", "text", "rules").union(free.select("doc_id", "text", F.lit(0).cast("long")))
     found = [
         spans_of(F.col("text"), r, i)
         if asked[i][1] is True

@@ -8,8 +8,15 @@ A key that many fingerprints share is not compared pair by pair. For ``k = 2`` i
 neighbours instead: two words within two bits have a common neighbour within one bit of both, and a word has at
 most 65 of those, so the work stays linear and no link is lost.
 
-Inputs: null texts count as empty; an empty text has fingerprint zero and links as any other; repeated rows give
-repeated results; a null id takes part and never becomes the component's name unless all ids in it are null.
+Near duplicates by shingle similarity (``wide_duplicates``) are another matter: five-word sets that share four fifths differ
+in some 20 of 128 fingerprint bits, and blocks that such pairs share for certain are too short to tell texts apart. There
+the blocks are of shingle hashes instead: the rarest fifth of the least hashes of a text, of which similar texts share
+one for certain, and every pair is verified.
+
+Inputs: null texts count as empty; an empty text has fingerprint zero and links as any other; texts of any length are read
+whole; repeated rows give repeated results; a null id takes part and never becomes the component's name unless all ids in
+it are null; of equal ids any serves, and the least id names a component; an empty table gives none; extra columns, of
+whatever name, are not returned (``keep_one`` returns all columns as they are).
 """
 
 from __future__ import annotations
@@ -36,49 +43,35 @@ SAMPLE = 20_000
 COMMON = 100_000
 
 
-def fingerprint_bytes(text: bytes, shingle: int, wide: bool) -> tuple[bytes, bytes]:
-    """Majority bits over the hashes of all shingles of a text, repeats included, most significant bit first; if wide,
-    also the least distinct hashes, in order, as four bytes each."""
+def fingerprint_bytes(text: bytes, shingle: int) -> bytes:
+    """Majority bits over the hashes of all shingles of a text, repeats included, most significant bit first."""
     words = text.lower().split()  # bytes: A-Z and ASCII white space only
-    width = 16 if wide else 8
     if not words:
-        return bytes(width), b""
-    least = np.zeros(0, np.uint32)
+        return bytes(8)
     line = b" ".join(words)
     n = max(1, len(words) - shingle + 1)
     sizes = np.fromiter(map(len, words), np.int64, len(words))
     ends = np.cumsum(sizes + 1) - 1
     starts = (ends - sizes)[:n].tolist()
     ends = (ends[shingle - 1 :] if len(words) >= shingle else ends[-1:]).tolist()
-    seen = np.zeros(width * 8, np.int64)
+    seen = np.zeros(64, np.int64)
     for at in range(0, n, CHUNK):
-        if wide:
-            hashed = b"".join([xxhash.xxh3_128_digest(line[s:e], 42) for s, e in zip(starts[at : at + CHUNK], ends[at : at + CHUNK])])
-        else:
-            hashed = b"".join([xxhash.xxh64_digest(line[s:e], 42) for s, e in zip(starts[at : at + CHUNK], ends[at : at + CHUNK])])
-        bits = np.unpackbits(np.frombuffer(hashed, np.uint8).reshape(-1, width), axis=1)
-        seen += bits.sum(axis=0, dtype=np.int32)
-        if wide:
-            least = np.unique(np.concatenate([least, np.frombuffer(hashed, "<u4")[::4]]))[:SKETCH]
-    return np.packbits(2 * seen > n).tobytes(), least.tobytes()
+        hashed = b"".join([xxhash.xxh64_digest(line[s:e], 42) for s, e in zip(starts[at : at + CHUNK], ends[at : at + CHUNK])])
+        seen += np.unpackbits(np.frombuffer(hashed, np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int32)
+    return np.packbits(2 * seen > n).tobytes()
 
 
-def fingerprints(docs: DataFrame, shingle: int = 3, wide: bool = False) -> DataFrame:
-    """``(doc_id, text) -> (doc_id, fp[, fp2, sketch])``: 64 bits as a long, or 128 as two and the least hashes."""
+def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
+    """``(doc_id, text) -> (doc_id, fp)``: 64 bits as a long."""
 
     def run(batches):
         for batch in batches:
-            texts = pc.cast(batch.column("text"), pa.binary()).to_pylist()
-            made = [fingerprint_bytes(t or b"", shingle, wide) for t in texts]
-            longs = np.frombuffer(b"".join(m for m, _ in made), ">i8").astype(np.int64).reshape(len(made), 1 + wide)
-            sketches = [pa.array([k for _, k in made], pa.binary())] if wide else []
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), *(pa.array(longs[:, k], pa.int64()) for k in range(longs.shape[1])), *sketches],
-                names=["doc_id", "fp", "fp2", "sketch"][: 2 + 2 * wide],
-            )
+            made = [fingerprint_bytes(t or b"", shingle) for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
+            longs = np.frombuffer(b"".join(made), ">i8").astype(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(longs, pa.int64())], names=["doc_id", "fp"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint" + ", fp2 bigint, sketch binary" * wide)
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint")
 
 
 def block_masks(bits: int, blocks: int, keep: int) -> list[int]:
@@ -143,80 +136,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, k: int = 2) -> DataFrame:
     )
 
 
-def wide_masks(width: int = 7) -> list[tuple[str, int]]:
-    """80 keys over a 128-bit fingerprint: 3 of 6 blocks of ``width`` bits, in two stretches of each half.
-
-    Unrelated texts crowd a key by their number over 2^(3 * width): 21 bits serve some 16 million distinct texts before a
-    key has more of them than the rows that are looked back at; larger corpora take wider blocks.
-    """
-    out = []
-    for col in ("fp", "fp2"):
-        for start in (0, 25):
-            blocks = [sum(1 << (start + width * i + j) % 64 for j in range(width)) for i in range(6)]
-            masks = (sum(chosen) for chosen in combinations(blocks, 3))
-            out += [(col, m - (1 << 64) if m >> 63 else m) for m in masks]
-    return out
-
-
-def _bits(words: np.ndarray) -> np.ndarray:
-    return np.bitwise_count(words.astype(np.uint64))
-
-
-def _link(most: int, near: int):
-    """Links among the rows of each key, which come sorted: to the key's first row, and unless that is close for certain,
-    to the nearest of the rows just before that is in reach. Two links a row and key at most."""
-
-    def links(key, fp, fp2, first):
-        """``first``: per row, the place of its key's first row."""
-        here = np.arange(len(key))
-        apart = lambda i, j: _bits(fp[i] ^ fp[j]) + _bits(fp2[i] ^ fp2[j])
-        far = np.where(first < here, apart(here, first), 128)
-        star = far <= most
-        pairs = [(here[star], first[star])]
-        open_ = far > most - 8
-        for lag in range(1, near + 1):
-            i = here[lag:][open_[lag:] & (first[lag:] <= here[:-lag])]
-            i = i[apart(i, i - lag) <= most]
-            open_[i] = False
-            pairs.append((i, i - lag))
-        return (np.concatenate(p) for p in zip(*pairs))
-
-    def run(batches):
-        head = None  # the first row of the key that the last batch ended in, and the last rows of that batch
-        for batch in batches:
-            key, fp, fp2, node = (batch.column(c).to_numpy() for c in ("key", "fp", "fp2", "node"))
-            if head is not None:
-                key, fp, fp2, node = (np.concatenate([h, x]) for h, x in zip(head, (key, fp, fp2, node)))
-            if not len(key):
-                continue
-            new = np.ones(len(key), bool)
-            new[1:] = key[1:] != key[:-1]
-            first = np.maximum.accumulate(np.where(new, np.arange(len(key)), 0))
-            a, b = links(key, fp, fp2, first)
-            yield pa.RecordBatch.from_arrays([pa.array(node[a]), pa.array(node[b])], names=["u", "v"])
-            back = np.unique(np.concatenate([first[-1:], np.arange(max(int(first[-1]), len(key) - near), len(key))]))
-            head = tuple(x[back].copy() for x in (key, fp, fp2, node))
-
-    return run
-
-
-def wide_edges(nodes: DataFrame, most: int = 28, near: int = 8) -> DataFrame:
-    """Links ``(u, v)`` among distinct 128-bit fingerprints ``(node, fp, fp2)`` that share a key and differ in ``most`` bits at most.
-
-    Rows are dealt and sorted by key and streamed: each is verified against the first row of its key, and unless that is
-    well in reach, against the ``near`` rows before it. So a key gives a number of links in proportion to its rows, whatever
-    its size, and a group of near copies stays connected through its many keys.
-    """
-    keys = F.array(*(F.xxhash64(F.lit(i), F.col(col).bitwiseAND(F.lit(m))) for i, (col, m) in enumerate(wide_masks())))
-    keyed = nodes.select("node", "fp", "fp2", F.explode(keys).alias("key"))
-    return keyed.repartition("key").sortWithinPartitions("key", "fp", "fp2").mapInArrow(_link(most, near), "u bigint, v bigint").distinct()
-
-
-def resemblance(a: bytes, b: bytes, kind=np.uint32, keep: int = SKETCH) -> float:
+def resemblance(a: bytes, b: bytes, keep: int = SKETCH) -> float:
     """Similarity of two sets of shingles from their least hashes; exact if both are held whole."""
     if not a or not b:
         return float(a == b)
-    p, q = np.frombuffer(a, kind), np.frombuffer(b, kind)
+    p, q = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
     union = np.union1d(p, q)
     if max(len(p), len(q)) == keep:
         union = union[:keep]
@@ -306,7 +230,7 @@ def similar(edges: DataFrame, nodes: DataFrame, least: float, keep: int = SKETCH
     def run(batches):
         for batch in batches:
             both = zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())
-            near = [resemblance(a, b, np.uint64, keep) >= least for a, b in both]
+            near = [resemblance(a, b, keep) >= least for a, b in both]
             yield batch.select(["u", "v"]).filter(pa.array(near, pa.bool_()))
 
     ends = edges.select(F.col("u").alias("node")).union(edges.select("v")).distinct()
@@ -366,7 +290,8 @@ def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, keep:
 def keep_one(docs: DataFrame) -> DataFrame:
     """``docs`` with one row of each group of near duplicates: the least by id, then by hash of the text.
 
-    Repeated rows are one group; the columns stay as they are. Ids need not be unique or set.
+    Repeated rows are one group; the columns stay as they are. Ids need not be unique or set; of rows equal in id and text
+    the one stays whose columns, written as JSON, come first.
     """
     columns = docs.columns
     keyed = docs.select(F.struct(*columns).alias("row"), *content_key(), F.col("text"))
@@ -377,5 +302,5 @@ def keep_one(docs: DataFrame) -> DataFrame:
     first = durable(least.select(F.col("k.doc_id._kid").alias("_fid"), F.col("k.doc_id._kh").alias("_fh"), F.col("k.n").alias("_n")))
     kept = keyed.select("row", "_kid", "_kh").join(first, F.col("_kid").eqNullSafe(F.col("_fid")) & (F.col("_kh") == F.col("_fh")))
     # only rows that are equal in id and text to another need a second look
-    repeated = kept.filter("_n > 1").groupBy("_kid", "_kh").agg(F.first("row").alias("row"))
+    repeated = kept.filter("_n > 1").groupBy("_kid", "_kh").agg(F.min_by("row", F.to_json("row")).alias("row"))
     return kept.filter("_n = 1").select("row.*").union(repeated.select("row.*"))

@@ -7,8 +7,10 @@ the score is penalised, so that naming a group does not move the score by itself
 Fitting uses at most about ``SAMPLE_ROWS`` labelled rows, taken by a hash of the id and never from the held-out
 fifth; features are counted on the executors. Scores are given for every row from the text alone.
 
-Inputs: null and empty texts get the score of the intercept; a null id is never held out; repeated labels of an id
-count once (the larger label); without labels of both classes every score is the share of toxic labels (0 if none).
+Inputs: null and empty texts get the score of the intercept; texts of any length are read whole; a null id is never held
+out; repeated labels of an id count once (the larger label); repeated rows get equal scores; features that tie are taken in
+the order of their names; without labels of both classes every score is near the share of toxic labels (0 if none); an
+empty table gives none; a column ``_score`` is replaced, other extra columns are kept by ``reject_toxic`` and else not returned.
 """
 
 from __future__ import annotations

@@ -129,22 +129,7 @@ def test_wide_groups(spark):
             truth[len(rows)] = g
             rows.append((len(rows), " ".join(near)))
     got = {r.doc_id: r.component_id for r in simhash.wide_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
-    # groups are found by chance that falls with distance, but unrelated texts never meet
-    assert all(truth[got[i]] == truth[i] for i in got)
-    assert sum(got[i] == min(j for j in truth if truth[j] == truth[i]) for i in got) >= 0.95 * len(got)
-
-
-def test_hot_group_stays_linear(spark):
-    rng = random.Random(2)
-    base = (rng.getrandbits(63), rng.getrandbits(63))
-    flip = lambda w: w ^ sum(1 << b for b in rng.sample(range(63), rng.randint(0, 5)))
-    near = sorted({(flip(base[0]), flip(base[1])) for _ in range(1500)})
-    far = [(rng.getrandbits(63), rng.getrandbits(63)) for _ in range(200)]
-    nodes = spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate(near + far)], "node bigint, fp bigint, fp2 bigint")
-    edges = simhash.wide_edges(nodes)
-    assert edges.count() < 60 * len(near)
-    root = {r.node: r.root for r in components.components(edges).collect()}
-    assert all(root[i] == 0 for i in range(len(near))) and not any(i in root for i in range(len(near), len(near) + 200))
+    assert got == {i: min(j for j in truth if truth[j] == truth[i]) for i in truth}
 
 
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")

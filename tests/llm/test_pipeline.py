@@ -122,11 +122,11 @@ def test_keep_one_of_each_group_by_exact_similarity(spark):
 def test_resemblance_of_sketches():
     import numpy as np
 
-    pack = lambda xs: np.array(sorted(xs), np.uint32).tobytes()
+    pack = lambda xs: np.array(sorted(xs), np.uint64).tobytes()
     assert simhash.resemblance(b"", b"") == 1 and simhash.resemblance(b"", pack([1])) == 0
     assert simhash.resemblance(pack([1, 2, 3]), pack([2, 3, 4])) == 0.5
     rng = np.random.default_rng(1)
-    pool = rng.integers(0, 1 << 32, 3000, dtype=np.uint32)
+    pool = rng.integers(0, 1 << 63, 3000, dtype=np.uint64)
     a, b = np.unique(pool[:2700]), np.unique(pool[300:])
     exact = len(np.intersect1d(a, b)) / len(np.union1d(a, b))
     assert abs(simhash.resemblance(a[:256].tobytes(), b[:256].tobytes()) - exact) < 0.08

@@ -439,7 +439,7 @@ def test_surrogates(spark):
     for i, t in rows_in(df):
         if t in ODD:
             assert (i, t) in out
-    assert pii.replace(df.limit(0)).count() == 0
+    assert pii.replace(df.limit(0), "k").count() == 0
 
 
 def test_surrogates_are_distinct_and_not_real(spark):
@@ -453,6 +453,105 @@ def test_surrogates_are_distinct_and_not_real(spark):
 
 def test_native_plans(spark):
     df = docs_of(spark, ["token=abcdefg a@b.example.com"] + ODD)
-    for made in (secrets.digest(df), pii.replace(df)):
+    for made in (secrets.digest(df), pii.replace(df, "k"), quality.judge(df, spark.createDataFrame([(1, 1, 0)], "doc_id bigint, quality int, toxic int"))):
         plan = made._jdf.queryExecution().executedPlan().toString()
         assert not re.search("Python|Arrow|Pandas", plan)
+
+
+def same_shape(a, b):
+    shape = lambda t: re.sub(r"[a-z]+", "a", re.sub(r"[A-Z]+", "A", re.sub(r"\d", "0", t)))
+    return shape(a) == shape(b)
+
+
+def test_numbers_have_one_surrogate_in_every_format(spark):
+    texts = [
+        "+49 170 1234567 or +491701234567 or +49 (0)170 1234567 end",
+        "(212) 555-0147 or +1 212 555 0147 or 212-555-0147 or +1 (212) 555-0147 end",
+        "+7 912 345 67 89 or +380 44 123 4567 end",
+        "DE89 3704 0044 0532 0130 00 and DE89370400440532013000 and GB82 WEST 1234 5698 7654 32 and DE12370400440532013000 end",
+        "2001:db8::1 and 2001:0DB8:0:0:0:0:0:1 and fe80::a1b2:3 and 2001:db8:1:2:3:4:5:6 end",
+    ]
+    got = {r.doc_id: r.text for r in pii.replace(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), "k").collect()}
+    digits = lambda t: re.sub(r"\D", "", t.replace("(0)", ""))
+    a = [digits(x) for x in got[0].removesuffix(" end").split(" or ")]
+    assert len(set(a)) == 1 and a[0].startswith("49") and a[0] != "491701234567" and "(0)" in got[0]
+    b = [digits(x)[-10:] for x in got[1].removesuffix(" end").split(" or ")]
+    assert len(set(b)) == 1 and b[0] != "2125550147"
+    assert re.match(r"\+7 \d{3} \d{3} \d\d \d\d or \+380 \d\d \d{3} \d{4} end$", got[2]) and "912" not in got[2][:7]
+    value = lambda s: int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97
+    codes = [x.replace(" ", "") for x in got[3].removesuffix(" end").split(" and ")]
+    assert codes[0] == codes[1] and [value(c) for c in codes[:3]] == [1, 1, 1] and value(codes[3]) == value("DE12370400440532013000")
+    assert [c[:2] for c in codes] == ["DE", "DE", "GB", "DE"] and re.match("GB[0-9]{2}[A-Z]{4}[0-9]{14}$", codes[2]) and "WEST" not in codes[2]
+    import ipaddress
+
+    v6 = [ipaddress.ip_address(x) for x in got[4].removesuffix(" end").split(" and ")]
+    assert v6[0] == v6[1] and len(set(v6)) == 3 and "::" in got[4].split(" and ")[0] and str(v6[2]).startswith("fe80:")
+    assert not {*map(ipaddress.ip_address, ["2001:db8::1", "fe80::a1b2:3", "2001:db8:1:2:3:4:5:6"])} & set(v6)
+
+
+def test_names_without_a_title_follow_titled_ones(spark):
+    texts = [
+        "Dr. Alice Jones spoke. Alice Jones left; JONES said so, and Jones's friend Bob Jonesson and Alice too. Al was there.",
+        "Mrs Alice McDonald and Mr SMITH. McDonald agreed with Smith.",
+        "Jones and Alice are not named here.",
+        "Prof. Dr. Otto Kern, Frau Kern und Kern selbst",
+        "السيد محمد حسن قال",
+    ]
+    got = {r.doc_id: r for r in pii.replace(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), "k").collect()}
+    m = re.match(r"Dr\. (\w+) (\w+) spoke\. (\w+) (\w+) left; (\w+) said so, and (\w+)'s friend Bob Jonesson and (\w+) too\. Al was there\.$", got[0].text)
+    given, surname = m[1], m[2]
+    assert (m[3], m[4], m[5], m[6], m[7]) == (given, surname, surname.upper(), surname, given) and given.endswith("lia") and "Jones " not in got[0].text
+    n = re.match(r"Mrs (\w+) (\w+) and Mr (\w+)\. (\w+) agreed with (\w+)\.$", got[1].text)
+    assert n[1] == given and n[2] == n[4] and n[2][2].isupper() and n[3].isupper() and n[5] == "Smith"  # written otherwise than with its title
+    assert got[2].text == texts[2]
+    k = re.match(r"Prof\. Dr\. (\w+) (\w+), Frau (\w+) und (\w+) selbst$", got[3].text)
+    assert k[2] == k[3] == k[4] != "Kern" and k[1] != "Otto"
+    assert got[4].text != texts[4] and re.match(r"السيد \w+ \w+ قال$", got[4].text)
+    assert got[0].n_replaced == 6 and got[0].kinds == "name"
+
+
+def test_surrogates_against_brute_force(spark):
+    """Every entity has one surrogate of its kind over all texts, two entities never the same, and none is a real one."""
+    rng = random.Random(23)
+    digits = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
+    people = [(rng.choice(["Mr", "Mrs", "Dr"]), made_up(rng).capitalize(), made_up(rng).capitalize()) for _ in range(40)]
+    phones = ["2" + digits(9) for _ in range(60)]
+    mails = [(made_up(rng, 2), f"{made_up(rng, 3)}.example.com") for _ in range(60)]
+    ips = [f"10.{rng.randrange(3)}.{rng.randrange(9)}.{rng.randrange(9)}" for _ in range(60)]
+    forms = lambda p: [f"+1 {p[:3]} {p[3:6]} {p[6:]}", f"({p[:3]}) {p[3:6]}-{p[6:]}", f"+1-{p[:3]}-{p[3:6]}-{p[6:]}", f"+1{p}"]
+    rows, truth = [], []
+    for i in range(150):
+        said = []
+        for _ in range(6):
+            t, g, s = rng.choice(people)
+            a, d = rng.choice(mails)
+            p = rng.choice(phones)
+            said += [[("name", f"{t} {g} {s}")], [("local", a), ("domain", d)], [("phone", p)], [("ip", rng.choice(ips))]]
+        parts = [x[0][1] if x[0][0] in ("name", "ip") else rng.choice(forms(x[0][1])) if x[0][0] == "phone" else f"{x[0][1]}@{x[1][1]}" for x in said]
+        rows.append((i, " ; ".join(parts)))
+        truth.append(said)
+    got = {r.doc_id: r.text for r in pii.replace(spark.createDataFrame(rows, "doc_id bigint, text string"), "k").collect()}
+    made = {}
+    for i, said in enumerate(truth):
+        for units, text in zip(said, got[i].split(" ; "), strict=True):
+            kind = units[0][0]
+            if kind == "name":
+                new = text.split(" ")
+                assert new[0] == units[0][1].split(" ")[0]
+                pairs = [(("given", units[0][1].split(" ")[1]), new[1]), (("surname", units[0][1].split(" ")[2]), new[2])]
+            else:
+                pairs = list(zip(units, text.split("@") if kind == "local" else [re.sub(r"\D", "", text)[-10:] if kind == "phone" else text]))
+            for unit, value in pairs:
+                made.setdefault(unit, set()).add(value)
+    assert all(len(v) == 1 for v in made.values())  # coreference
+    for kind in ("given", "surname", "local", "domain", "phone", "ip"):
+        values = [next(iter(v)) for (k, _), v in made.items() if k == kind]
+        assert len(values) == len(set(values)) > 20  # distinctness
+        assert not set(values) & {u for k, u in made if k == kind}
+
+
+def test_key_comes_from_the_session(spark):
+    spark.conf.set(pii.KEY_SETTING, "from the vault")
+    assert pii.key_of(spark) == "from the vault"
+    spark.conf.unset(pii.KEY_SETTING)
+    assert pii.key_of(spark) != pii.key_of(spark)
