@@ -2,7 +2,8 @@
 
 A kernel gets the events of a box of voxels in bounded batches and adds them to one dense array. For a batch, the
 spatial factor of every event at every place of the box and the temporal factor at every time are tabulated once, and
-the box grows by the product of the two tables. Whole numbers are kept: in doubles through the matrix library where
+the box grows by the product of the two tables. For comparison there are forms that keep one of the two factors or
+neither, and evaluate the rest at every voxel. Whole numbers are kept: in doubles through the matrix library where
 every partial sum stays below 2^53, in 64-bit integers otherwise. A box is cut into cells of about the bandwidth, so
 that the tables stay mostly full, and only touched voxels leave as rows.
 """
@@ -15,7 +16,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
@@ -26,6 +27,12 @@ BATCH = 4096
 CELL_EVENTS = 48
 CELL_PRODUCTS = 8192
 ROWS_OUT = 65_536
+#: bytes of a voxel in a dense array: mass and hits
+CUBE_WIDTH = 16
+#: which factors are tabulated once for each event: both, the spatial one, the temporal one, none
+FORMS = ("product", "disk", "bar", "plain")
+#: voxels of all events together that a form without both tables evaluates at a time
+EVALUATED = 1 << 20
 
 
 @dataclass(frozen=True)
@@ -33,6 +40,11 @@ class Kernel:
     grid: GridSpec
     bw: Bandwidth
     options: PlanOptions = PlanOptions()
+    form: str = "product"
+
+    def __post_init__(self):
+        if self.form not in FORMS:
+            raise ValueError(f"{self.form!r} is none of {FORMS}")
 
     def box_of(self, low, high):
         """A box of voxels with the halo that its events reach, clipped to the grid."""
@@ -53,6 +65,8 @@ class Kernel:
 
     def add(self, mass, hits, box, x, y, t, w, weight_bound: int) -> None:
         """Add events to dense arrays over ``box``. All parts of the arrays that the events reach must be in it."""
+        if self.form != "product":
+            return self._evaluate(mass, hits, box, x, y, t, w)
         term = largest_term(self.grid, self.bw, self.options) * max(1, weight_bound)
         shape = tuple(b - a for a, b in box)
         for at in range(0, len(x), BATCH):
@@ -66,6 +80,29 @@ class Kernel:
                 mass += (ks.T @ kt).reshape(shape)
             hits += (disk.T.astype(np.float32) @ bar.astype(np.float32)).reshape(shape).astype(np.int64)
 
+    def _evaluate(self, mass, hits, box, x, y, t, w) -> None:
+        """The forms that do not keep both factors: what is not kept is evaluated at every voxel of every event's box."""
+        g, o = self.grid, self.options.offset(self.grid)
+        hx, ht = self.bw.lattice(g)
+        at = [np.arange(a, b, dtype=np.int64) * g.sub + o for a, b in box]
+        step = max(1, EVALUATED // max(1, math.prod(b - a for a, b in box)))
+        for k in range(0, len(x), step):
+            part = slice(k, k + step)
+            n = len(x[part])
+            dx = at[0][None, :, None, None] - x[part][:, None, None, None]
+            dy = at[1][None, None, :, None] - y[part][:, None, None, None]
+            dt = at[2][None, None, None, :] - t[part][:, None, None, None]
+            whole = (n, *(b - a for a, b in box))
+            every = lambda d: np.ascontiguousarray(np.broadcast_to(d, whole))  # noqa: B023,E731
+            if self.form in ("plain", "bar"):
+                dx, dy = every(dx), every(dy)
+            if self.form in ("plain", "disk"):
+                dt = every(dt)
+            ks = spatial(self.options.kernel, dx, dy, hx) * in_disk(dx, dy, hx)
+            kt = temporal(self.options.kernel, dt, ht) * in_bar(self.options.edge, dt, ht)
+            mass += (ks * kt * w[part][:, None, None, None]).sum(axis=0).astype(mass.dtype)
+            hits += (in_disk(dx, dy, hx) & in_bar(self.options.edge, dt, ht)).sum(axis=0)
+
     def cells(self, box, events: int):
         """Edges of the cells that a box is cut into: about two bandwidths, and larger where a cell would hold few events,
         since each cell costs some calls and each event the products of its cell and halo."""
@@ -134,6 +171,19 @@ class Kernel:
         )
 
 
+_UNITS = {"k": 10, "m": 20, "g": 30, "t": 40}
+
+
+def task_memory(spark: SparkSession) -> int:
+    """Bytes that the arrays of one task may take: a share of an executor's memory for each of its cores."""
+    conf = spark.sparkContext.getConf()
+    local = spark.sparkContext.master.startswith("local[")
+    said = conf.get("spark.driver.memory" if local else "spark.executor.memory", "1g").lower().rstrip("b")
+    whole = int(said[:-1]) << _UNITS[said[-1]] if said[-1] in _UNITS else int(said)
+    cores = spark.sparkContext.defaultParallelism if local else int(conf.get("spark.executor.cores", "1"))
+    return max(64 << 20, whole // (2 * max(1, cores)))
+
+
 def columns(batches) -> Iterator[tuple[np.ndarray, ...]]:
     for batch in batches:
         yield tuple(batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("x", "y", "t", "w"))

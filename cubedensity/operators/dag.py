@@ -11,6 +11,7 @@ import math
 from dataclasses import dataclass
 from itertools import product
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -81,13 +82,26 @@ def visiting_order(loads: dict[int, int], tiles: TileSpec, order: str) -> list[i
     raise ValueError(f"no order {order!r}")
 
 
+def _padded(tiles: TileSpec) -> tuple[list[int], list[int]]:
+    """Place of each tile in a box with a rim, and the steps to its neighbours there: no tile needs to test for borders."""
+    b, c = tiles.b + 2, tiles.c + 2
+    at = [((i + 1) * b + j + 1) * c + k + 1 for i in range(tiles.a) for j in range(tiles.b) for k in range(tiles.c)]
+    return at, [(i * b + j) * c + k for i, j, k in STEPS]
+
+
 def greedy_colors(loads: dict[int, int], tiles: TileSpec, order: str = "load") -> dict[int, int]:
     """Each tile in turn takes the least color that none of its neighbours has; 27 colors at most."""
     check_tiles(tiles)
+    at, steps = _padded(tiles)
+    bit = [0] * ((tiles.a + 2) * (tiles.b + 2) * (tiles.c + 2))
     colors: dict[int, int] = {}
     for t in visiting_order(loads, tiles, order):
-        used = {colors[n] for n in neighbours(t, tiles) if n in colors}
-        colors[t] = next(c for c in range(27) if c not in used)
+        here, used = at[t], 0
+        for s in steps:
+            used |= bit[here + s]
+        free = ~used & (used + 1)
+        bit[here] = free
+        colors[t] = free.bit_length() - 1
     return colors
 
 
@@ -127,7 +141,12 @@ def weights_of(loads: dict[int, int], tiles: TileSpec, weight: str = "own") -> d
     if weight == "own":
         return {t: loads.get(t, 0) for t in range(tiles.total)}
     if weight == "own_plus_neighbours":
-        return {t: loads.get(t, 0) + sum(loads.get(n, 0) for n in neighbours(t, tiles)) for t in range(tiles.total)}
+        box = np.zeros(tiles.counts, np.int64)
+        for t, n in loads.items():
+            box[place(t, tiles)] = n
+        wide = np.pad(box, 1)
+        total = sum(wide[1 + i : 1 + i + tiles.a, 1 + j : 1 + j + tiles.b, 1 + k : 1 + k + tiles.c] for i, j, k in [(0, 0, 0), *STEPS])
+        return dict(enumerate(total.ravel().tolist()))
     raise ValueError(f"no weight {weight!r}")
 
 
@@ -138,24 +157,76 @@ class Path:
     finish: dict[int, float]
 
 
+class _Chains:
+    """Finish of every tile and the neighbour that it waits for, kept up to date while weights change.
+
+    Whole arrays, color after color, at first; then only tiles whose weight or whose neighbour's finish changed.
+    """
+
+    def __init__(self, colors: dict[int, int], weights: dict[int, float], tiles: TileSpec):
+        self.at, self.steps = _padded(tiles)
+        self.tiles, self.colors = tiles, colors
+        rim = tuple(n + 2 for n in tiles.counts)
+        ids = np.fromiter(colors, np.int64, len(colors))
+        place = np.array(self.at, np.int64)[ids]
+        color = np.full(math.prod(rim), 99, np.int64)
+        color[place] = np.fromiter(colors.values(), np.int64, len(colors))
+        weight = np.zeros(math.prod(rim))
+        weight[place] = [weights[t] for t in ids.tolist()]
+        finish = np.zeros(math.prod(rim))
+        for c in sorted(set(colors.values())):
+            mine = place[color[place] == c]
+            best = np.zeros(len(mine))
+            for s in self.steps:
+                best = np.maximum(best, np.where(color[mine + s] < c, finish[mine + s], 0.0))
+            finish[mine] = best + weight[mine]
+        self.of = dict(zip(place.tolist(), ids.tolist()))
+        self.color, self.weight, self.finish = color.tolist(), weight.tolist(), finish.tolist()
+        self.heap = [(-self.finish[p], t) for p, t in self.of.items()]
+        heapq.heapify(self.heap)
+
+    def change(self, weights: dict[int, float]) -> None:
+        open_ = []
+        for t, w in weights.items():
+            p = self.at[t]
+            if self.weight[p] != w:
+                self.weight[p] = w
+                open_.append((self.color[p], p))
+        heapq.heapify(open_)
+        seen = set()
+        while open_:
+            c, p = heapq.heappop(open_)
+            if p in seen:
+                continue
+            seen.add(p)
+            best = max((self.finish[p + s] for s in self.steps if self.color[p + s] < c), default=0.0)
+            now = max(best, 0.0) + self.weight[p]
+            if now != self.finish[p]:
+                self.finish[p] = now
+                heapq.heappush(self.heap, (-now, self.of[p]))
+                for s in self.steps:
+                    if c < self.color[p + s] < 99:
+                        heapq.heappush(open_, (self.color[p + s], p + s))
+
+    def path(self) -> Path:
+        """The heaviest chain; ties go to the lower tile."""
+        while self.heap and -self.heap[0][0] != self.finish[self.at[self.heap[0][1]]]:
+            heapq.heappop(self.heap)  # a finish that has changed since
+        if not self.heap:
+            return Path(0, [], {})
+        chain, p = [], self.at[self.heap[0][1]]
+        length = self.finish[p]
+        while p is not None:
+            chain.append(self.of[p])
+            before = [(-self.finish[p + s], self.of[p + s], p + s) for s in self.steps if self.color[p + s] < self.color[p] and self.finish[p + s] > 0]
+            p = min(before)[2] if before else None
+        number_ = lambda v: int(v) if v == int(v) else v
+        return Path(number_(length), chain[::-1], {t: number_(self.finish[q]) for q, t in self.of.items()} if len(self.of) <= 4096 else {})
+
+
 def critical_path(colors: dict[int, int], weights: dict[int, float], tiles: TileSpec) -> Path:
-    """The heaviest chain of the dependency graph; ties go to the lower tile."""
-    finish: dict[int, float] = {}
-    came: dict[int, int | None] = {}
-    for t in sorted(colors, key=lambda t: (colors[t], t)):
-        best, by = 0, None
-        for n in neighbours(t, tiles):
-            if n in colors and colors[n] < colors[t] and (finish[n] > best or finish[n] == best and by is not None and n < by):
-                best, by = finish[n], n
-        finish[t], came[t] = best + weights[t], by
-    if not finish:
-        return Path(0, [], {})
-    at: int | None = min(finish, key=lambda t: (-finish[t], t))
-    length, chain = finish[at], []
-    while at is not None:
-        chain.append(at)
-        at = came[at]
-    return Path(length, chain[::-1], finish)
+    """The heaviest chain of the dependency graph; ties go to the lower tile. Finishes of all tiles up to 4,096 of them."""
+    return _Chains(colors, weights, tiles).path() if colors else Path(0, [], {})
 
 
 def critical_path_df(spark: SparkSession, colors: DataFrame, weights: DataFrame, tiles: TileSpec) -> DataFrame:
@@ -237,10 +308,10 @@ def replication_plan(loads: dict[int, int], colors: dict[int, int], tiles: TileS
     base = weights_of(loads, tiles, weight)
     limit = sum(base.values()) / (2 * workers)
     copies = dict.fromkeys(colors, 1)
+    chains = _Chains(colors, {t: base[t] for t in colors}, tiles) if colors else None
     rounds = 0
     while True:
-        now = {t: math.ceil(base[t] / copies[t]) for t in colors}
-        path = critical_path(colors, now, tiles)
+        path = chains.path() if chains else Path(0, [], {})
         if path.length <= limit or rounds >= max_rounds:
             break
         chosen = set(path.chain)
@@ -251,5 +322,6 @@ def replication_plan(loads: dict[int, int], colors: dict[int, int], tiles: TileS
             break
         for t in more:
             copies[t] += 1
+        chains.change({t: math.ceil(base[t] / copies[t]) for t in more})
         rounds += 1
     return Replication(copies, path, rounds, limit)

@@ -16,10 +16,11 @@ BLOCK_METHODS = ("replica_sum", "tile_clip", "parity_sets", "loadaware_sets", "r
 METHODS = (*relational.METHODS, *BLOCK_METHODS)
 
 
-def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto", options: PlanOptions = PlanOptions(), tiles: TileSpec | None = None, workers: int | None = None, partitions: int | None = None, **more) -> DataFrame:
+def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto", options: PlanOptions = PlanOptions(), tiles: TileSpec | None = None, workers: int | None = None, partitions: int | None = None, fall_back: bool = False, **more) -> DataFrame:
     """``(vx, vy, vt, hits, mass)`` by any method; ``auto`` takes the cheapest by the cost model.
 
-    ``partitions`` deals the events out first: for tables of few files, whose splits would leave workers idle.
+    ``partitions`` deals the events out first: for tables of few files, whose splits would leave workers idle. With
+    ``fall_back``, clipped tiles take the place of private cubes that do not fit memory.
     """
     if partitions:
         events = events.repartition(partitions, "event_id")
@@ -27,12 +28,18 @@ def cube(events: DataFrame, grid: GridSpec, bw: Bandwidth, method: str = "auto",
     if method == "auto":
         from cubedensity.plans.chooser import choose
 
-        best = choose(events, grid, bw, workers)
+        best = choose(events, grid, bw, workers, options=options)
         method, tiles = best.method, best.tiles or tiles
     if method in relational.METHODS:
         return relational.METHODS[method](events, grid, bw, options, **more)
     if method == "replica_sum":
-        return replicas.replica_sum(events, grid, bw, workers, options, **more)
+        try:
+            return replicas.replica_sum(events, grid, bw, workers, options, **more)
+        except replicas.ReplicaTooLarge:
+            if not fall_back:
+                raise
+            method = "tile_clip"
+            more.pop("memory_limit", None)
     tiles = (tiles or default_tiles(grid, bw, workers)).clamp(grid)
     if method == "tile_clip":
         return tile_clip(events, grid, bw, tiles, options, **more)

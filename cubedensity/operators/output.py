@@ -43,14 +43,17 @@ def moving_mean(cube: DataFrame, reach: int) -> DataFrame:
 
 
 def running_share(cube: DataFrame) -> DataFrame:
-    """Running mass of the voxels from the heaviest on, exact without a global window: sums of ranges first."""
+    """Running mass of the voxels from the heaviest on, exact without a global window.
+
+    Voxels are dealt into ranges of the order, which hold about as many each even where masses are equal; only the sums of the
+    ranges meet in one task, one row a range.
+    """
     order = [F.desc("mass"), *VOXEL]
-    # buckets of falling magnitude; only their sums meet in one task, one row a bucket
-    keyed = cube.withColumn("bucket", F.length(F.bin("mass")))
-    sums = keyed.groupBy("bucket").agg(F.sum("mass").alias("s"))
-    before = sums.withColumn("before", F.sum("s").over(Window.orderBy(F.desc("bucket"))) - F.col("s")).drop("s")  # 64 rows at most
-    inside = Window.partitionBy("bucket").orderBy(*order)
-    return keyed.withColumn("inside", F.sum("mass").over(inside.rowsBetween(Window.unboundedPreceding, 0))).join(F.broadcast(before), "bucket").select(
+    ranged = durable(cube.select(*VOXEL, "mass").repartitionByRange(*order).withColumn("part", F.spark_partition_id()))
+    sums = ranged.groupBy("part").agg(F.sum("mass").alias("s"))
+    before = sums.withColumn("before", F.sum("s").over(Window.orderBy("part")) - F.col("s")).drop("s")
+    inside = Window.partitionBy("part").orderBy(*order)
+    return ranged.withColumn("inside", F.sum("mass").over(inside.rowsBetween(Window.unboundedPreceding, 0))).join(F.broadcast(before), "part").select(
         *VOXEL, "mass", (F.col("inside") + F.col("before")).alias("running")
     )
 

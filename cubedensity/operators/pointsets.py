@@ -89,6 +89,6 @@ def replicated_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: Til
     tiles = safe_tiles(tiles, grid, bw)
     owned = _ready(events, grid, bw, tiles, options)
     loads = loads_of(events, grid, tiles)
-    plan = dag.replication_plan(loads, dag.greedy_colors(loads, tiles, "load"), tiles, workers, scope=scope)
     colors = dag.greedy_colors(loads, tiles, "load")
+    plan = dag.replication_plan(loads, colors, tiles, workers, scope=scope)
     return sum_blocks(_halo_rows(_painted(events, owned, {t: colors[t] for t in loads}, plan.copies), grid, bw, tiles, options))

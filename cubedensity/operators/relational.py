@@ -22,6 +22,8 @@ from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, constant
 VOXEL = ("vx", "vy", "vt")
 #: events that the voxel-driven scan broadcasts at most
 SCAN_LIMIT = 1_000_000
+#: events of a block that its voxels meet in one share
+CROWDED = 20_000
 
 
 def _long(v) -> Column:
@@ -89,20 +91,27 @@ def voxel_scan(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanOp
     return accumulate(_terms(joined, grid, bw, options), options)
 
 
-def block_scan(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanOptions = PlanOptions()) -> DataFrame:
-    """Voxel-driven, over blocks as large as the bandwidth: an equality join on the 27 blocks around an event."""
+def block_scan(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanOptions = PlanOptions(), crowded: int = CROWDED) -> DataFrame:
+    """Voxel-driven, over blocks as large as the bandwidth: an equality join on the 27 blocks around an event.
+
+    Only blocks that an event is near have voxels. The events of a block are dealt out in shares of about ``crowded``, and
+    its voxels meet each share, so that a crowded block is no single task.
+    """
     ready = _ready(events, grid, bw, options)
     hx, ht = bw.lattice(grid)
     block = lambda c, h: F.floor(c / h).cast("int")
     around = lambda c, h: F.explode(F.sequence(block(F.col(c), h) - 1, block(F.col(c), h) + 1))
     side = ready.select("*", around("x", hx).alias("bx")).select("*", around("y", hx).alias("by")).select("*", around("t", ht).alias("bt"))
-    axis = lambda n: F.sequence(F.lit(0), F.lit(n - 1))
-    spark = events.sparkSession
-    voxels = spark.range(grid.gx).select(F.col("id").cast("int").alias("vx"), F.explode(axis(grid.gy)).alias("vy")).select("*", F.explode(axis(grid.gt)).alias("vt"))
-    keyed = voxels.select(
-        "*", *(block(centre(v, grid, options), h).alias(b) for v, h, b in zip(VOXEL, (hx, hx, ht), ("bx", "by", "bt")))
-    )
-    return accumulate(_terms(keyed.join(side.hint("shuffle_hash"), ["bx", "by", "bt"]), grid, bw, options), options)
+    held = side.groupBy("bx", "by", "bt").agg(F.ceil(F.count("*") / crowded).cast("int").alias("shares"))
+    side = side.join(held, ["bx", "by", "bt"]).withColumn("share", F.pmod(F.xxhash64("event_id", "x", "y", "t"), F.col("shares")).cast("int")).drop("shares")
+    voxels = held.select("*", F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("share"))
+    o, s = options.offset(grid), grid.sub
+    for v, b, h, n in zip(VOXEL, ("bx", "by", "bt"), (hx, hx, ht), grid.shape):
+        # voxels whose sampling point lies in the block
+        low, high = F.ceil((F.col(b).cast("long") * h - o) / s), F.ceil(((F.col(b).cast("long") + 1) * h - o) / s) - 1
+        voxels = voxels.select("*", F.explode(span(F.greatest(low, F.lit(0)).cast("int"), F.least(high, F.lit(n - 1)).cast("int"))).alias(v))
+    voxels = voxels.select("bx", "by", "bt", "share", *VOXEL)
+    return accumulate(_terms(voxels.join(side.hint("shuffle_hash"), ["bx", "by", "bt", "share"]), grid, bw, options), options)
 
 
 def scatter(events: DataFrame, grid: GridSpec, bw: Bandwidth, options: PlanOptions = PlanOptions(), *extra: str) -> DataFrame:

@@ -5,12 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.operators.blocks import Kernel, columns, row_schema
+from cubedensity.operators.blocks import CUBE_WIDTH, Kernel, columns, row_schema, task_memory
 from cubedensity.operators.relational import VOXEL
 from cubedensity.sources.ingest import inside
 from cubedensity.spec import Bandwidth, GridSpec, PlanOptions
 
-WIDTH = 16  # bytes of a voxel in a private cube: mass and hits
+WIDTH = CUBE_WIDTH
 
 
 class ReplicaTooLarge(MemoryError):
@@ -34,7 +34,9 @@ def sum_blocks(rows: DataFrame) -> DataFrame:
 
 
 def replica_sum(events: DataFrame, grid: GridSpec, bw: Bandwidth, copies: int, options: PlanOptions = PlanOptions(), memory_limit: int | None = None) -> DataFrame:
-    """``copies`` private cubes, then their sum. Refused where the cubes exceed ``memory_limit`` bytes in all."""
+    """``copies`` private cubes, then their sum. Refused where one cube exceeds the memory of a task, or where all exceed
+    ``memory_limit`` bytes, if that is given."""
+    check_memory(grid, 1, task_memory(events.sparkSession))
     check_memory(grid, copies, memory_limit)
     kernel = Kernel(grid, bw, options)
     box = [(0, g) for g in grid.shape]

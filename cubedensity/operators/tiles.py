@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+import math
 from typing import Iterator, Tuple  # noqa: UP035  the engine reads these hints
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.operators.blocks import Kernel, block_schema, columns, row_schema, spread
+from cubedensity.operators.blocks import CUBE_WIDTH, Kernel, block_schema, columns, row_schema, spread, task_memory
 from cubedensity.operators.relational import VOXEL, _exact, _long, accumulate, centre, span
 from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
+from cubedensity.plans.durable import durable
 from cubedensity.sources.ingest import inside
 from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
 
@@ -62,16 +64,54 @@ def checked(tiles: TileSpec, grid: GridSpec, bw: Bandwidth, guard: bool) -> Tile
     return safe_tiles(tiles, grid, bw) if guard else tiles.clamp(grid)
 
 
-def tile_clip(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), guard: bool = False, form: str = "block", emit: str = "rows") -> DataFrame:
+def finer(tiles: TileSpec, factor: int, grid: GridSpec) -> TileSpec:
+    """Tiles that nest in ``tiles``, ``factor`` along each axis as far as voxels allow."""
+    return TileSpec(*(n * max(1, min(factor, g // n)) for n, g in zip(tiles.counts, grid.shape)))
+
+
+def fitting(tiles: TileSpec, grid: GridSpec, limit: int) -> TileSpec:
+    """``tiles``, or the finer ones that nest in them and whose arrays take at most ``limit`` bytes."""
+    while math.prod(-(-g // n) for g, n in zip(grid.shape, tiles.counts)) * CUBE_WIDTH > limit:
+        more = finer(tiles, 2, grid)
+        if more == tiles:
+            raise MemoryError(f"tiles of one voxel exceed {limit} bytes")
+        tiles = more
+    return tiles
+
+
+def tile_clip(
+    events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), guard: bool = False, form: str = "block", emit: str = "rows", kernel_form: str = "product", split_over: int | None = None
+) -> DataFrame:
     """Each tile takes the events whose cylinders meet it and writes only its own voxels; tiles are disjoint, so no sum follows.
 
-    ``emit="blocks"`` gives one row of arrays for each tile that has events, for cubes that are mostly full.
+    ``emit="blocks"`` gives one row of arrays for each tile that has events, for cubes that are mostly full. Tiles whose arrays
+    would not fit a task's memory are cut into finer ones. With ``split_over``, so are tiles that more events meet, down to
+    parts an eighth as wide, so that a crowded tile is no single task; this takes a pass that counts events by tile.
+    ``kernel_form`` names a form of the dense kernel.
     """
     tiles = checked(tiles, grid, bw, guard)
-    ready = copies(inside(events, grid, options, bw.lattice(grid)), grid, bw, tiles)
+    ready = inside(events, grid, options, bw.lattice(grid))
     if form == "relational":
-        return _clip_rows(ready, grid, bw, tiles, options)
-    kernel = Kernel(grid, bw, options)
+        return _clip_rows(copies(ready, grid, bw, tiles), grid, bw, tiles, options)
+    tiles = fitting(tiles, grid, task_memory(events.sparkSession))
+    whole = copies(ready, grid, bw, tiles)
+    clip = lambda rows, t: _clip_blocks(rows, grid, bw, t, options, emit, kernel_form)
+    if split_over is None:
+        return clip(whole, tiles)
+    crowded = durable(whole.groupBy(*AXES).agg(F.count("*").alias("n")).filter(F.col("n") > split_over))
+    most = crowded.agg(F.max("n")).first()[0]
+    fine = finer(tiles, min(8, math.ceil((most or 1) / split_over)), grid)
+    if most is None or fine == tiles:
+        return clip(whole, tiles)
+    hot = F.broadcast(crowded.select(*AXES))  # fewer rows than events over split_over
+    parent = [F.floor(F.col(a) * n / m).cast("int").alias(f"p{a}") for a, n, m in zip(AXES, tiles.counts, fine.counts)]
+    named = F.broadcast(crowded.select(*(F.col(a).alias(f"p{a}") for a in AXES)))
+    parts = copies(ready, grid, bw, fine).select("*", *parent).join(named, [f"p{a}" for a in AXES], "left_semi")
+    return clip(whole.join(hot, list(AXES), "left_anti"), tiles).union(clip(parts, fine))
+
+
+def _clip_blocks(ready: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions, emit: str, kernel_form: str) -> DataFrame:
+    kernel = Kernel(grid, bw, options, kernel_form)
 
     def clip(key: Tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:  # noqa: UP006
         box = tiles.bounds(tuple(k.as_py() for k in key), grid)

@@ -12,10 +12,11 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 
-from cubedensity.operators import dag
+from cubedensity.operators import dag, relational
+from cubedensity.operators.blocks import task_memory
 from cubedensity.operators.tiles import safe_tiles, tile_loads
 from cubedensity.sources.ingest import inside
-from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
+from cubedensity.spec import LONG_LIMIT, Bandwidth, GridSpec, PlanOptions, TileSpec, largest_term
 
 #: seconds for: zeroing a voxel, a table entry, a product added, a byte shuffled, a row out, a task started
 CONSTANTS = {"zero": 1e-9, "entry": 4e-9, "product": 1.5e-9, "byte": 4e-9, "row": 2.5e-7, "task": 0.02}
@@ -114,8 +115,44 @@ def fine_loads(events: DataFrame, grid: GridSpec, options: PlanOptions = PlanOpt
     return {(r["a"], r["b"], r["c"]): r["load"] for r in rows}, fine
 
 
-def choose(events: DataFrame, grid: GridSpec, bw: Bandwidth, workers: int, memory: int = 1 << 30) -> Estimate:
-    """The method of the least estimated time among those that fit."""
-    loads, fine = fine_loads(events, grid)
-    fitting = [e for e in estimates(loads, fine, grid, bw, workers, memory) if e.fits]
+def possible(estimate: Estimate, events: int, grid: GridSpec, bw: Bandwidth, options: PlanOptions) -> bool:
+    """Whether a method can run under the options: events beyond the grid belong to no tile of a colored set, and block
+    kernels keep whole numbers in 64 bits, or doubles."""
+    if options.outside == "halo" and estimate.method in ("parity_sets", "loadaware_sets", "replicated_sets"):
+        return False
+    if estimate.method in relational.METHODS or options.mass == "double":
+        return True
+    return options.mass == "long" and largest_term(grid, bw, options) * max(1, events) <= LONG_LIMIT
+
+
+def choose(events: DataFrame, grid: GridSpec, bw: Bandwidth, workers: int, memory: int | None = None, options: PlanOptions = PlanOptions()) -> Estimate:
+    """The method of the least estimated time among those that fit the memory of a task and can run under the options."""
+    memory = task_memory(events.sparkSession) if memory is None else memory
+    loads, fine = fine_loads(events, grid, options)
+    n = sum(loads.values())
+    fitting = [e for e in estimates(loads, fine, grid, bw, workers, memory) if e.fits and possible(e, n, grid, bw, options)]
     return min(fitting, key=lambda e: (e.seconds(workers), e.method, str(e.tiles)))
+
+
+#: share of tiles that a replication plan may copy before tiles count as too coarse
+COARSE = 0.5
+
+
+def explain_plan(loads: dict[int, int], tiles: TileSpec, workers: int) -> dict:
+    """What a replication plan would do, and a warning where tiles are too coarse for it.
+
+    With few tiles nearly every one is on a critical path in some round and gets copied, up to a copy for each worker, which
+    is no better than private cubes of the whole domain.
+    """
+    plan = dag.replication_plan(loads, dag.greedy_colors(loads, tiles), tiles, workers)
+    used = [t for t, n in loads.items() if n]
+    copied = [t for t in used if plan.copies[t] > 1]
+    share = len(copied) / max(1, len(used))
+    return {
+        "tiles": tiles.total,
+        "used": len(used),
+        "copied": len(copied),
+        "copies": sum(r - 1 for r in plan.copies.values()),
+        "rounds": plan.rounds,
+        "warning": "tiles are coarse: most of them are copied, as private cubes would be" if share > COARSE and workers > 1 else None,
+    }

@@ -115,12 +115,18 @@ def work_units(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec
 
 def imbalance(loads: DataFrame, tiles: TileSpec) -> DataFrame:
     """One row over ``loads(tile_id, load)``: heaviest load, its share, total, tiles in use, and the numerator of the Gini
-    coefficient over all tiles, empty ones included: 2 * sum(rank * load) - (tiles + 1) * total, over tiles * total."""
-    empty = tiles.total - F.count("*").over(Window.partitionBy())
-    ranked = loads.select("load", (F.row_number().over(Window.partitionBy().orderBy("load", "tile_id")) + empty).alias("rank"))
-    total = F.sum("load")
+    coefficient over all tiles, empty ones included: 2 * sum(rank * load) - (tiles + 1) * total, over tiles * total.
+
+    Tiles of one load share their ranks, so only the distinct loads meet in one task, at most as many as tiles may be.
+    """
+    dag.check_tiles(tiles)
+    each = loads.groupBy("load").agg(F.count("*").alias("n"))
+    up_to = Window.partitionBy().orderBy("load").rowsBetween(Window.unboundedPreceding, 0)
+    ranked = each.select("load", "n", (F.sum("n").over(up_to) - F.col("n") + tiles.total - F.sum("n").over(Window.partitionBy())).alias("before"))
+    total = F.sum(F.col("load") * F.col("n"))
+    ranks = F.col("n") * F.col("before") + F.call_function("div", F.col("n") * (F.col("n") + 1), F.lit(2))
     return ranked.agg(
-        F.max("load").alias("heaviest"), total.alias("total"), F.count("*").alias("used"), (2 * F.sum(F.col("rank") * F.col("load")) - (tiles.total + 1) * total).alias("gini_over"), (total * tiles.total).alias("gini_under")
+        F.max("load").alias("heaviest"), total.alias("total"), F.sum("n").alias("used"), (2 * F.sum(F.col("load") * ranks) - (tiles.total + 1) * total).alias("gini_over"), (total * tiles.total).alias("gini_under")
     )
 
 

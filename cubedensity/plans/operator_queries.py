@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -10,6 +12,7 @@ from cubedensity.operators import output, relational, tiles
 from cubedensity.operators.density import cube
 from cubedensity.operators.relational import VOXEL
 from cubedensity.plans import oracles
+from cubedensity.plans.durable import shared_folder
 from cubedensity.plans.queries import CITY, EVENTS, EVENTS_BW, FINE, POSTS, POSTS_BW, TILES
 from cubedensity.sources import datasource
 from cubedensity.sources.ingest import event_view, inside, read, snap
@@ -77,19 +80,19 @@ add("op_event_json", lambda spark, sf: cube(_json_events(spark, sf), EVENTS, EVE
 
 
 def _keyword_pages(spark, sf):
-    words = read(spark, sf, "benchmark").select(F.explode(F.split(F.lower("text"), " ")).alias("k")).filter("length(k) between 14 and 30").distinct()
-    pages = read(spark, sf, "pages").select("page_id", F.regexp_extract("url", "/([0-9]+)", 1).alias("number"), F.lower("html").alias("html"))
-    # a list of keywords from the benchmark table, bounded by its size
-    hits = pages.join(F.broadcast(words), F.col("html").contains(F.col("k")), "left_semi")
-    return hits.groupBy("number").agg(F.count("*").alias("pages"))
+    """Pages by number that hold a long word of any benchmark text: words of both sides meet by equality, whatever their number."""
+    cut = lambda c: F.explode(F.split(F.translate(F.lower(c), "<>.,", "    "), " ")).alias("k")
+    words = read(spark, sf, "benchmark").select(cut("text")).filter("length(k) between 12 and 30").distinct()
+    pages = read(spark, sf, "pages").select("page_id", F.regexp_extract("url", "/([0-9]+)", 1).alias("number"), cut("html")).filter("length(k) between 12 and 30").distinct()
+    return pages.join(words, "k", "left_semi").select("page_id", "number").distinct().groupBy("number").agg(F.count("*").alias("pages"))
 
 
 add(
     "op_keyword_events",
     _keyword_pages,
-    "with k as (select distinct k from (select unnest(string_split(lower(text), ' ')) as k from benchmark) where length(k) between 14 and 30), "
-    "p as (select page_id, regexp_extract(url, '/([0-9]+)', 1) as number, lower(html) as html from pages) "
-    "select number, count(*) as pages from p where exists (select 1 from k where contains(html, k.k)) group by number",
+    "with k as (select distinct k from (select unnest(string_split(translate(lower(text), '<>.,', '    '), ' ')) as k from benchmark) where length(k) between 12 and 30), "
+    "p as (select page_id, regexp_extract(url, '/([0-9]+)', 1) as number, unnest(string_split(translate(lower(html), '<>.,', '    '), ' ')) as w from pages) "
+    "select number, count(distinct page_id) as pages from p where w in (select k from k) group by number",
 )
 add("op_theta_join", lambda spark, sf: relational.voxel_scan(_e(spark, sf), EVENTS, EVENTS_BW), _csql())
 add("op_block_join", lambda spark, sf: relational.block_scan(_e(spark, sf), EVENTS, EVENTS_BW), _csql())
@@ -139,18 +142,22 @@ add(
 )
 
 
+_SLOT = 3_600_000_000  # an hour of the 30 days
+
+
 def _asof(spark, sf):
     """For each order, the latest event at or before it on a clock of days of the month and the order's key as its hour."""
-    e = read(spark, sf, "events").select(F.unix_micros(F.col("ts").cast("timestamp")).alias("us"), "event_id").withColumn("us", F.col("us") - 1_704_067_200_000_000)
-    o = read(spark, sf, "orders").select("o_orderkey", ((F.dayofmonth("o_orderdate") - 1) * 86_400_000_000 + (F.col("o_orderkey") % 24) * 3_600_000_000).alias("us"))
-    day = F.floor(F.col("us") / 86_400_000_000)
-    # the latest event of each day stands for all later ones, so an order looks at its own day and at the last full one
-    daily = e.groupBy(day.alias("d")).agg(F.max(F.struct("us", "event_id")).alias("latest"))
-    carried = daily.select(F.col("d"), F.max("latest").over(Window.orderBy("d")).alias("latest"))  # a row a day
-    orders = o.withColumn("d", day)
-    same = orders.join(e.withColumnRenamed("us", "at").withColumn("d", F.floor(F.col("at") / 86_400_000_000)), "d").filter("at <= us").groupBy("o_orderkey").agg(F.max(F.struct(F.col("at").alias("us"), "event_id")).alias("mine"))
-    before = orders.join(carried.select((F.col("d") + 1).alias("d"), "latest"), "d", "left")
-    return before.join(same, "o_orderkey", "left").select("o_orderkey", F.coalesce("mine", "latest")["event_id"].alias("event_id"))
+    none = F.lit(None).cast("bigint")
+    e = read(spark, sf, "events").select((F.unix_micros(F.col("ts").cast("timestamp")) - 1_704_067_200_000_000).alias("us"), "event_id", none.alias("o_orderkey"))
+    o = read(spark, sf, "orders").select(((F.dayofmonth("o_orderdate") - 1) * 86_400_000_000 + (F.col("o_orderkey") % 24) * 3_600_000_000).alias("us"), none.alias("event_id"), "o_orderkey")
+    both = e.union(o).withColumn("slot", F.floor(F.col("us") / _SLOT))
+    # inside a slot the last event is carried along the clock; what came before the slot is one row a slot
+    along = Window.partitionBy("slot").orderBy("us", F.col("event_id").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, 0)
+    mine = both.withColumn("mine", F.last("event_id", ignorenulls=True).over(along)).filter("o_orderkey is not null")
+    ends = both.groupBy("slot").agg(F.max_by("event_id", F.when(F.col("event_id").isNotNull(), F.struct("us", "event_id"))).alias("last"))
+    earlier = Window.orderBy("slot").rowsBetween(Window.unboundedPreceding, -1)
+    carried = ends.select("slot", F.last("last", ignorenulls=True).over(earlier).alias("before"))
+    return mine.join(F.broadcast(carried), "slot").select("o_orderkey", F.coalesce("mine", "before").alias("event_id"))  # 720 slots an epoch
 
 
 add(
@@ -372,20 +379,25 @@ add(
 )
 
 
+_BUYS = "event_type = 'purchase'"
+_SLAB = 3  # times in a stored slab
+
+
 def _occupied(spark, sf):
-    """Voxels of tiles that hold events: empty tiles are skipped by their key before any voxel is made."""
-    loads = _loads(spark, sf).filter("load >= 100").select("a", "b", "c")
-    steps = [F.explode(F.sequence(F.ceil(F.col(k) * g / n).cast("int"), (F.ceil((F.col(k) + 1) * g / n) - 1).cast("int"))).alias(v) for k, v, g, n in zip("abc", VOXEL, EVENTS.shape, TILES.counts)]
-    voxels = loads
-    for step in steps:
-        voxels = voxels.select("*", step)
-    return voxels.groupBy("a", "b", "c").agg(F.count("*").alias("voxels"))
+    """A stored cube read through a runtime filter: only slabs with more purchases than the mean are scanned at all."""
+    path = f"{shared_folder(spark)}/cube-{uuid.uuid4().hex}"
+    output.write_cube(_cube(spark, sf), path, _SLAB)
+    slab = F.floor(F.col("t") / (16 * _SLAB)).cast("int")
+    counts = _e(spark, sf, _BUYS).groupBy(slab.alias("busy")).agg(F.count("*").alias("n"))
+    busy = counts.join(counts.agg((F.sum("n") / (EVENTS.gt // _SLAB)).alias("mean"))).filter("n > mean").select("busy")  # a row a slab, ten here
+    stored = spark.read.parquet(path).withColumnRenamed("slab", "at")
+    return stored.join(F.broadcast(busy), F.col("at") == F.col("busy")).select(*VOXEL, "hits", "mass")
 
 
 add(
     "op_skip_empty_tiles",
     _occupied,
-    f"with l as ({_LOADS}) select a, b, c, count(*) as voxels from l, range(15) p(x), range(20) q(y), range(30) r(t) where load >= 100 and (3*x)//15 = a and (4*y)//20 = b and (5*t)//30 = c group by a, b, c",
+    f"with b as (select t // {16 * _SLAB} as busy, count(*) as n from ({_esql(where=_BUYS)}) group by 1) select vx, vy, vt, hits, mass from ({_csql()}) where vt // {_SLAB} in (select busy from b where n > (select sum(n) from b) / {EVENTS.gt // _SLAB}.0)",
 )
 add("op_split_sample", lambda spark, sf: read(spark, sf, "events").sampleBy("event_type", {"click": 0.5, "view": 0.1}, seed=3).groupBy("event_type").agg(F.count("*").alias("n")))
 add("op_hotspots", lambda spark, sf: output.hot_spots(_cube(spark, sf), _HOT))
@@ -453,9 +465,31 @@ def _array_blocks(spark, sf):
     return arrays.groupBy("vx").agg(sqlapi.sum_arrays("block").alias("block")).select("vx", F.posexplode("block").alias("vt", "n")).filter("n > 0")
 
 
-add("sql_udf_kernel", _lateral, _csql())
+def _factors(spark, sf):
+    """The factors of every event at the centre of its own voxel, by the SQL functions."""
+    sqlapi.register(spark)
+    own = [f"({c} DIV {EVENTS.sub} * {EVENTS.sub} + {EVENTS.sub // 2} - {c})" for c in "xyt"]
+    return _e(spark, sf).selectExpr("event_id", f"kernel_space({own[0]}, {own[1]}, {_HXT[0]}) as ks", f"kernel_time({own[2]}, {_HXT[1]}) as kt")
+
+
+_OWN = [f"({c} // 16 * 16 + 8 - {c})" for c in "xyt"]
+add("sql_udf_kernel", _factors, f"select event_id, ({_HXT[0]}-{_OWN[0]})*({_HXT[0]}-{_OWN[0]})*({_HXT[0]}-{_OWN[1]})*({_HXT[0]}-{_OWN[1]}) as ks, ({_HXT[1]}-{_OWN[2]})*({_HXT[1]}-{_OWN[2]}) as kt from ({_esql()})")
 add("udtf_cylinder", _udtf, _csql())
-add("arrow_block", lambda spark, sf: cube(_e(spark, sf), EVENTS, EVENTS_BW, "replica_sum"), _csql())
+
+
+def _arrow_blocks(spark, sf):
+    """One row of arrays for each tile, as the Arrow kernel makes them, and sums over the arrays."""
+    made = tiles.tile_clip(_e(spark, sf), EVENTS, EVENTS_BW, TILES, emit="blocks")
+    total = lambda c: F.aggregate(c, F.lit(0).cast("long"), lambda a, x: a + x)
+    return made.select("a", "b", "c", F.size("hits").alias("voxels"), total("hits").alias("hits"), total("mass").alias("mass"), F.array_max("mass").alias("most"))
+
+
+add(
+    "arrow_block",
+    _arrow_blocks,
+    f"with n as (select (3*x)//15 as a, (4*y)//20 as b, (5*t)//30 as c, count(*) as voxels from range(15) p(x), range(20) q(y), range(30) r(t) group by all) "
+    f"select a::int as a, b::int as b, c::int as c, any_value(voxels)::int as voxels, sum(hits)::bigint as hits, sum(mass)::bigint as mass, max(mass) as most from ({_csql()}) d join n on (3*vx)//15 = a and (4*vy)//20 = b and (5*vt)//30 = c group by all",
+)
 add("pandas_kernel", _pandas_kernel, _csql())
 add("sql_udf_morton", _morton, "select a::int as a, b::int as b, (" + " + ".join(f"((a >> {i}) & 1) * {1 << 2 * i} + ((b >> {i}) & 1) * {1 << 2 * i + 1}" for i in range(6)) + ")::bigint as z from (select i as a, i * 7 % 64 as b from range(64) r(i))")
 add("array_block_sum", _array_blocks, f"select (x // 16)::int as vx, (t // 16)::int as vt, count(*) as n from ({_esql()}) group by all")
@@ -501,6 +535,21 @@ add(
 add("stream_dedup", lambda spark, sf: stream.run_append(stream.deduplicated(_stream(spark, sf).union(_stream(spark, sf))).select("event_id", "user_id")), "select event_id, user_id from events")
 add("stream_cube", lambda spark, sf: stream.run_complete(stream.live_cube(_stream(spark, sf), EVENTS, EVENTS_BW, 150)), oracles.cube(_esql().replace("(select max(user_id) + 1 from events)", "150"), EVENTS, EVENTS_BW))
 add("stream_merged_cube", lambda spark, sf: stream.run_merged(_stream(spark, sf), EVENTS, EVENTS_BW, 150), oracles.cube(_esql().replace("(select max(user_id) + 1 from events)", "150"), EVENTS, EVENTS_BW))
+_CUT = 15 * 86_400_000_000
+
+
+def _closing(spark, sf):
+    """Two halves of the events, the later one first: what is late by more than a day is left out."""
+    return stream.run_late(spark, read(spark, sf, "events"), "ts >= timestamp_ntz'2024-01-16 00:00:00'", "1 day", "1 day")
+
+
+add(
+    "stream_closed_slabs",
+    _closing,
+    f"with e as (select epoch_us(ts) as us from events), s as (select us // 86400000000 * 86400000000 as opens, count(*) as n from e where us >= 1704067200000000 + {_CUT} group by 1) "
+    "select opens, n, (select count(distinct us // 86400000000) from e where us < 1704067200000000 + " + str(_CUT) + " and (us // 86400000000 + 1) * 86400000000 <= (select max(us) from e) - 86400000000) as late_slabs from s "
+    "where opens + 86400000000 <= (select max(us) from e) - 86400000000",
+)
 add(
     "stream_interval_join",
     lambda spark, sf: stream.run_append(stream.neighbours(_stream(spark, sf), _stream(spark, sf))),

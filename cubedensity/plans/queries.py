@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 from cubedensity.operators import dag, pointsets, relational, replicas, tiles
-from cubedensity.operators.blocks import rows_of_blocks
+from cubedensity.operators.blocks import FORMS, rows_of_blocks
 from cubedensity.operators.density import BLOCK_METHODS, cube, density
 from cubedensity.plans import chooser, measures, oracles
 from cubedensity.plans.workloads import REPORTED, WORKLOADS
+from cubedensity.sources.ingest import extents
 from cubedensity.sources.sets import events, events_sql
 from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
 from pyspark.sql import functions as F
@@ -136,9 +137,16 @@ def _event_loads(spark, sf):
     return pointsets.loads_of(_E(spark, sf), EVENTS, TILES)
 
 
-add("greedy_color", lambda spark, sf: _colors_table(spark, dag.greedy_colors(_event_loads(spark, sf), TILES)))
-add("greedy_color_rounds", lambda spark, sf: dag.greedy_colors_df(spark, tiles.tile_loads(_E(spark, sf), EVENTS, TILES), TILES))
 _LOADS = oracles.loads(_E_SQL, EVENTS, TILES)
+add("greedy_color", lambda spark, sf: _colors_table(spark, dag.greedy_colors(_event_loads(spark, sf), TILES)), oracles.greedy(TILES, _LOADS))
+add("greedy_color_rounds", lambda spark, sf: dag.greedy_colors_df(spark, tiles.tile_loads(_E(spark, sf), EVENTS, TILES), TILES), oracles.greedy(TILES, _LOADS))
+
+
+def _oriented(spark, sf):
+    return spark.createDataFrame(dag.oriented_edges(dag.parity_colors(TILES), TILES), "src bigint, dst bigint")
+
+
+add("oriented_edges", _oriented, f"with c as ({oracles.parity(TILES)}) select e.src, e.dst from ({oracles.edges(TILES)}) e join c a on a.tile_id = e.src join c b on b.tile_id = e.dst where a.color < b.color")
 add(
     "critical_path",
     lambda spark, sf: dag.critical_path_df(spark, _colors_table(spark, dag.parity_colors(TILES)), tiles.tile_loads(_E(spark, sf), EVENTS, TILES).select("tile_id", F.col("load").alias("weight")), TILES),
@@ -156,7 +164,7 @@ def _chain(spark, sf, order, weight):
 
 for _order in ("parity", "load", "natural"):
     for _weight in ("own", "own_plus_neighbours"):
-        add(f"critical_chain_{_order}_{_weight}", lambda spark, sf, o=_order, w=_weight: _chain(spark, sf, o, w))
+        add(f"critical_chain_{_order}_{_weight}", lambda spark, sf, o=_order, w=_weight: _chain(spark, sf, o, w), oracles.heaviest(TILES, _LOADS, _order, _weight))
 
 
 def _graham(spark, sf):
@@ -181,9 +189,9 @@ def _schedule(spark, sf, **more):
     return spark.createDataFrame([(t, w, float(a), float(b)) for t, w, a, b in rows], "tile_id bigint, worker int, start double, finish double")
 
 
-add("list_schedule", _schedule)
-add("list_schedule_by_id", lambda spark, sf: _schedule(spark, sf, priority="id"))
-add("list_schedule_barrier", lambda spark, sf: _schedule(spark, sf, barrier=True))
+add("list_schedule", _schedule, oracles.schedule(TILES, _LOADS, 8))
+add("list_schedule_by_id", lambda spark, sf: _schedule(spark, sf, priority="id"), oracles.schedule(TILES, _LOADS, 8, priority="id"))
+add("list_schedule_barrier", lambda spark, sf: _schedule(spark, sf, barrier=True), oracles.schedule(TILES, _LOADS, 8, barrier=True))
 
 
 def _replication(spark, sf, scope):
@@ -195,6 +203,25 @@ def _replication(spark, sf, scope):
 add("replication_plan", lambda spark, sf: _replication(spark, sf, "path"))
 add("replication_plan_neighbours", lambda spark, sf: _replication(spark, sf, "path_and_neighbours"))
 
+
+def _explained(spark, sf):
+    rows = []
+    for k in (1, 2, 3, 6):
+        t = TileSpec(k, k, k)
+        said = chooser.explain_plan(pointsets.loads_of(_E(spark, sf), EVENTS, t), t, 16)
+        rows.append((k, said["tiles"], said["used"], said["copied"], said["copies"], said["rounds"], said["warning"] is not None))
+    return spark.createDataFrame(rows, "k int, tiles int, used int, copied int, copies int, rounds int, coarse boolean")
+
+
+add("coarse_tile_warning", _explained)
+add(
+    "tile_clip_split",
+    lambda spark, sf: tiles.tile_clip(_E(spark, sf), EVENTS, EVENTS_BW, TILES, split_over=150),
+    oracles.cube(_E_SQL, EVENTS, EVENTS_BW),
+)
+for _form in FORMS:
+    add(f"kernel_form_{_form}", lambda spark, sf, f=_form: tiles.tile_clip(_E(spark, sf), EVENTS, EVENTS_BW, TILES, kernel_form=f), oracles.cube(_E_SQL, EVENTS, EVENTS_BW))
+
 # measures ----------------------------------------------------------------------------------------------------------
 _COVER = oracles.cover(_E_SQL, EVENTS, *map(str, EVENTS_BW.lattice(EVENTS)))
 
@@ -242,7 +269,24 @@ add(
     lambda spark, sf: measures.replication(_E(spark, sf), EVENTS, EVENTS_BW, TILES),
     f"select count(*)::bigint as events, sum({_SPREAD[0]}*{_SPREAD[1]}*{_SPREAD[2]})::bigint as copies, sum({_SPREAD[2]}-1)::bigint as extra_disks, sum({_SPREAD[0]}*{_SPREAD[1]}-1)::bigint as extra_bars from ({_E_SQL})",
 )
-add("cost_work_units", lambda spark, sf: measures.work_units(_E(spark, sf), EVENTS, EVENTS_BW, TILES))
+
+
+def _part(axis, c, h, n, g):
+    v = f"({c}//16)"
+    first = lambda k: f"((({k})*{g}+{n - 1})//{n})"
+    return f"(least({v}+{h},{first(axis + '+1')}-1)-greatest({v}-{h},{first(axis)})+1)"
+
+
+_PARTS = [_part(k, c, h, n, g) for k, c, h, n, g in zip("abc", "xyt", (2, 2, 1), TILES.counts, EVENTS.shape)]
+_SIDES = [_clip(c, h, g) for c, h, g in zip("xyt", (2, 2, 1), EVENTS.shape)]
+add(
+    "cost_work_units",
+    lambda spark, sf: measures.work_units(_E(spark, sf), EVENTS, EVENTS_BW, TILES),
+    f"with c as materialized ({_COVER}), p as (select count(*)::bigint as products from c), e as (select sum({_SIDES[0]}*{_SIDES[1]}+{_SIDES[2]})::bigint as entries from ({_E_SQL})), "
+    f"k as (select sum({_PARTS[0]}*{_PARTS[1]}+{_PARTS[2]})::bigint as tiled_entries from ({_E_SQL}), range(3) p(a), range(4) q(b), range(5) r(c) where "
+    + " and ".join(_touch(k, c, h, n, g) for k, c, h, n, g in zip("abc", "xyt", (2, 2, 1), TILES.counts, EVENTS.shape))
+    + ") select entries, products, tiled_entries from e, p, k",
+)
 add(
     "cost_imbalance",
     lambda spark, sf: measures.imbalance(tiles.tile_loads(_E(spark, sf), EVENTS, TILES), TILES),
@@ -257,7 +301,7 @@ def _shares(spark, sf):
     return spark.createDataFrame(rows, "weight string, colors string, share double")
 
 
-add("cost_critical_share", _shares)
+add("cost_critical_share", _shares, " union all ".join(oracles.share(TILES, _LOADS, o, w) for o in ("parity", "load") for w in ("own", "own_plus_neighbours")))
 add(
     "cost_colors_used",
     lambda spark, sf: _colors_table(spark, dag.parity_colors(TILES)).groupBy("color").agg(F.count("*").alias("tiles")),
@@ -279,12 +323,36 @@ for _m in ("block_scan", "tile_clip", "parity_sets", "replicated_sets"):
 
 def _lattice_error(spark, sf):
     coarse = GridSpec(15, 20, 30, sub=16)
-    fine = GridSpec(15, 20, 30, sub=128)
-    o = PlanOptions(mass="double")
-    return measures.lattice_error(*(density(events(spark, sf, "EVENTS", g), g, EVENTS_BW, "tile_clip", o) for g in (fine, coarse)))
+    fine = GridSpec(15, 20, 30, sub=32)
+    made = measures.lattice_error(*(density(events(spark, sf, "EVENTS", g), g, EVENTS_BW, "tile_clip") for g in (fine, coarse)))
+    return made.select("largest", "peak", F.round(F.col("mean") / F.col("peak"), 9).alias("mean_of_peak"))
 
 
-add("cost_lattice_error", _lattice_error)
+_FINE_GRID = GridSpec(15, 20, 30, sub=32)
+add(
+    "cost_lattice_error",
+    _lattice_error,
+    f"with p as ({oracles.density(events_sql('EVENTS', _FINE_GRID), _FINE_GRID, EVENTS_BW)}), q as ({oracles.density(_E_SQL, EVENTS, EVENTS_BW)}), "
+    "g as (select coalesce(p.density, 0.0) as a, coalesce(q.density, 0.0) as b from p full join q on p.vx = q.vx and p.vy = q.vy and p.vt = q.vt) "
+    "select max(abs(a - b)) as largest, max(greatest(a, b)) as peak, round(avg(abs(a - b)) / max(greatest(a, b)), 9) as mean_of_peak from g",
+)
+add("cost_copies_added", lambda spark, sf: _replication(spark, sf, "path").agg(F.sum(F.col("copies") - 1).alias("added"), F.count_if(F.col("copies") > 1).alias("copied"), F.sum(F.when(F.col("copies") > 1, F.col("copies"))).alias("blocks")))
+
+
+def _rates(spark, sf):
+    rows = []
+    for m in ("scatter", "product_scatter", "tile_clip"):
+        r = measures.throughput(_E(spark, sf), cube(_E(spark, sf), EVENTS, EVENTS_BW, m))
+        rows.append((m, r["seconds"], r["events"], r["updates"]))
+    return spark.createDataFrame(rows, "method string, seconds double, events_a_second double, updates_a_second double")
+
+
+add("cost_throughput", _rates)
+add(
+    "source_extents",
+    lambda spark, sf: extents(_E(spark, sf)),
+    f"select min(x) as min_x, max(x) as max_x, min(y) as min_y, max(y) as max_y, min(t) as min_t, max(t) as max_t, count(*) as n from ({_E_SQL})",
+)
 
 
 def _estimates(spark, sf):
