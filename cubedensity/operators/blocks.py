@@ -11,8 +11,9 @@ that the tables stay mostly full, and only touched voxels leave as rows.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import product
+from typing import Iterator, Tuple  # noqa: UP035  the engine reads these hints
 
 import numpy as np
 import pyarrow as pa
@@ -20,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cubedensity.functions.kernels import in_bar, in_disk, spatial, temporal
-from cubedensity.spec import DOUBLE_LIMIT, LONG_LIMIT, Bandwidth, GridSpec, PlanOptions, largest_term
+from cubedensity.spec import DOUBLE_LIMIT, LONG_LIMIT, Bandwidth, GridSpec, PlanOptions, TileSpec, largest_term
 
 BATCH = 4096
 #: events that a cell should hold, and products an event may cost at most for it
@@ -184,6 +185,59 @@ def task_memory(spark: SparkSession) -> int:
     return max(64 << 20, whole // (2 * max(1, cores)))
 
 
+#: a part of a partial cube that one tile owns: its box, and its arrays as bytes, whole or (with ``at``) where events are
+PIECE = "a int, b int, c int, low array<int>, shape array<int>, at binary, hits binary, mass binary"
+#: share of touched voxels from which a part is sent whole
+MOSTLY_FULL = 0.5
+
+
+def pieces(mass, hits, box, tiles: TileSpec, grid: GridSpec) -> Iterator[pa.RecordBatch]:
+    """A partial cube cut along the tiles that own its voxels; parts without events are left out."""
+    ranges = [range(lo * n // g, (hi - 1) * n // g + 1) for (lo, hi), n, g in zip(box, tiles.counts, grid.shape)]
+    for owner in product(*ranges):
+        cut = [(max(p, lo), min(q, hi)) for (p, q), (lo, hi) in zip(tiles.bounds(owner, grid), box)]
+        spot = tuple(slice(p - lo, q - lo) for (p, q), (lo, _) in zip(cut, box))
+        h, m = hits[spot].reshape(-1), mass[spot].reshape(-1)
+        at = np.flatnonzero(h)
+        if not len(at):
+            continue
+        whole = len(at) >= MOSTLY_FULL * len(h) or len(h) > 1 << 31
+        held = [None, h, m] if whole else [at.astype(np.int32).tobytes(), h[at], m[at]]
+        one = lambda v, kind=pa.list_(pa.int32()): pa.array([v], kind)
+        yield pa.RecordBatch.from_arrays(
+            [*(pa.array([k], pa.int32()) for k in owner), one([p for p, _ in cut]), one([q - p for p, q in cut]), one(held[0], pa.binary()), one(held[1].astype(np.int32).tobytes(), pa.binary()), one(held[2].tobytes(), pa.binary())],
+            names=["a", "b", "c", "low", "shape", "at", "hits", "mass"],
+        )
+
+
+def sum_pieces(parts: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions, emit: str = "rows") -> DataFrame:
+    """Sum of partial cubes: each tile gets its pieces as arrays and adds them, so no voxel is shuffled as a row."""
+    kernel = Kernel(grid, bw, options)
+
+    def add(key: Tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:  # noqa: UP006
+        tile = tuple(k.as_py() for k in key)
+        box = tiles.bounds(tile, grid)
+        mass, hits = kernel.empty(box)
+        for batch in batches:
+            for low, shape, at, h, m in zip(*(batch.column(c).to_pylist() for c in ("low", "shape", "at", "hits", "mass"))):
+                spot = tuple(slice(p - lo, p - lo + n) for p, n, (lo, _) in zip(low, shape, box))
+                h, m = np.frombuffer(h, np.int32), np.frombuffer(m, mass.dtype)
+                if at is None:
+                    hits[spot] += h.reshape(shape)
+                    mass[spot] += m.reshape(shape)
+                else:  # each voxel of a piece once
+                    place = np.unravel_index(np.frombuffer(at, np.int32), shape)
+                    hits[spot][place] += h
+                    mass[spot][place] += m
+        if emit == "blocks":
+            yield kernel.block(mass, hits, box, tile)
+        else:
+            yield from kernel.rows(mass, hits, box)
+
+    keys = ("a", "b", "c")
+    return spread(parts, tiles.total, *keys).groupBy(*keys).applyInArrow(add, block_schema(options) if emit == "blocks" else row_schema(options))
+
+
 def columns(batches) -> Iterator[tuple[np.ndarray, ...]]:
     for batch in batches:
         yield tuple(batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("x", "y", "t", "w"))

@@ -13,20 +13,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cubedensity.operators import dag
-from cubedensity.operators.blocks import Kernel, columns, row_schema, spread
+from cubedensity.operators.blocks import PIECE, Kernel, columns, pieces, row_schema, spread, sum_pieces
 from cubedensity.operators.relational import merge_cubes
-from cubedensity.operators.replicas import sum_blocks
 from cubedensity.operators.tiles import AXES, owner, safe_tiles, tile_loads
 from cubedensity.plans.durable import durable
 from cubedensity.sources.ingest import inside
 from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
 
 
-def _halo_rows(owned: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions) -> DataFrame:
-    """Partial cubes of groups ``(color, tile, replica)``: the tile with the halo that its events reach."""
+def _halo(owned: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions, as_rows: bool = False) -> DataFrame:
+    """Partial cubes of groups ``(color, tile, replica)``: the tile with the halo that its events reach, cut along the tiles
+    that own its parts, or as voxel rows."""
     kernel = Kernel(grid, bw, options)
 
-    def halo(key: Tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:  # noqa: UP006
+    def fill(key: Tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:  # noqa: UP006
         tile = tuple(k.as_py() for k in key[1:4])
         bounds = tiles.bounds(tile, grid)
         hs, ht = bw.whole
@@ -34,10 +34,15 @@ def _halo_rows(owned: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec,
         mass, hits = kernel.empty(box)
         for x, y, t, w in columns(batches):
             kernel.fill(mass, hits, box, x, y, t, w)
-        yield from kernel.rows(mass, hits, box)
+        yield from kernel.rows(mass, hits, box) if as_rows else pieces(mass, hits, box, tiles, grid)
 
     keys = ("color", *AXES, "replica")
-    return spread(owned.select(*keys, "x", "y", "t", "w"), tiles.total, *keys).groupBy(*keys).applyInArrow(halo, row_schema(options))
+    dealt = spread(owned.select(*keys, "x", "y", "t", "w"), tiles.total, *keys)
+    return dealt.groupBy(*keys).applyInArrow(fill, row_schema(options) if as_rows else PIECE)
+
+
+def _summed(owned: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions, emit: str) -> DataFrame:
+    return sum_pieces(_halo(owned, grid, bw, tiles, options), grid, bw, tiles, options, emit)
 
 
 def _ready(events, grid, bw, tiles, options) -> DataFrame:
@@ -46,16 +51,16 @@ def _ready(events, grid, bw, tiles, options) -> DataFrame:
     return owner(inside(events, grid, options), grid, tiles)
 
 
-def parity_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), mode: str = "single") -> DataFrame:
+def parity_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), mode: str = "single", emit: str = "rows") -> DataFrame:
     """Eight sets by the parity of the tiles; tiles too small for the bandwidth are enlarged first."""
     tiles = safe_tiles(tiles, grid, bw)
     color = F.pmod("a", F.lit(2)) * 4 + F.pmod("b", F.lit(2)) * 2 + F.pmod("c", F.lit(2))
     owned = _ready(events, grid, bw, tiles, options).withColumns({"color": color, "replica": F.lit(0)})
     if mode == "single":
-        return sum_blocks(_halo_rows(owned, grid, bw, tiles, options))
+        return _summed(owned, grid, bw, tiles, options, emit)
     total = None
     for set_number in range(8):  # one set after the other, over a growing sum
-        part = _halo_rows(owned.filter(F.col("color") == set_number), grid, bw, tiles, options)
+        part = _halo(owned.filter(F.col("color") == set_number), grid, bw, tiles, options, as_rows=True)
         total = durable(part if total is None else merge_cubes(total, part))
     return total
 
@@ -75,20 +80,20 @@ def _painted(events, owned: DataFrame, colors: dict[int, int], copies: dict[int,
     return painted.withColumn("replica", F.pmod(F.xxhash64("event_id", "x", "y", "t"), F.col("copies")).cast("int"))
 
 
-def loadaware_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions()) -> DataFrame:
+def loadaware_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions = PlanOptions(), emit: str = "rows") -> DataFrame:
     """Colors by falling load instead of parity."""
     tiles = safe_tiles(tiles, grid, bw)
     owned = _ready(events, grid, bw, tiles, options)
     loads = loads_of(events, grid, tiles)
     colors = dag.greedy_colors(loads, tiles, "load")
-    return sum_blocks(_halo_rows(_painted(events, owned, {t: colors[t] for t in loads}), grid, bw, tiles, options))
+    return _summed(_painted(events, owned, {t: colors[t] for t in loads}), grid, bw, tiles, options, emit)
 
 
-def replicated_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, workers: int, options: PlanOptions = PlanOptions(), scope: str = "path") -> DataFrame:
+def replicated_sets(events: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, workers: int, options: PlanOptions = PlanOptions(), scope: str = "path", emit: str = "rows") -> DataFrame:
     """Load-aware sets with the tiles of the critical path copied: a copy takes a share of the tile's events, copies are summed."""
     tiles = safe_tiles(tiles, grid, bw)
     owned = _ready(events, grid, bw, tiles, options)
     loads = loads_of(events, grid, tiles)
     colors = dag.greedy_colors(loads, tiles, "load")
     plan = dag.replication_plan(loads, colors, tiles, workers, scope=scope)
-    return sum_blocks(_halo_rows(_painted(events, owned, {t: colors[t] for t in loads}, plan.copies), grid, bw, tiles, options))
+    return _summed(_painted(events, owned, {t: colors[t] for t in loads}, plan.copies), grid, bw, tiles, options, emit)

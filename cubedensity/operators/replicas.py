@@ -5,12 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.operators.blocks import CUBE_WIDTH, Kernel, columns, row_schema, task_memory
-from cubedensity.operators.relational import VOXEL
+from cubedensity.operators.blocks import CUBE_WIDTH, PIECE, Kernel, columns, pieces, sum_pieces, task_memory
 from cubedensity.sources.ingest import inside
-from cubedensity.spec import Bandwidth, GridSpec, PlanOptions
+from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
 
 WIDTH = CUBE_WIDTH
+#: parts of the domain in which private cubes are summed, along its longest axis
+SHARES = 32
 
 
 class ReplicaTooLarge(MemoryError):
@@ -27,26 +28,23 @@ def check_memory(grid: GridSpec, copies: int, limit: int | None, width: int = WI
         raise ReplicaTooLarge(f"{copies} cubes of {grid.cells} voxels take {need} bytes, {limit} are allowed")
 
 
-def sum_blocks(rows: DataFrame) -> DataFrame:
-    """Sum of partial cubes by voxel."""
-    kind = dict(rows.dtypes)["mass"]
-    return rows.groupBy(*VOXEL).agg(F.sum("hits").alias("hits"), F.sum("mass").cast(kind).alias("mass"))
-
-
-def replica_sum(events: DataFrame, grid: GridSpec, bw: Bandwidth, copies: int, options: PlanOptions = PlanOptions(), memory_limit: int | None = None) -> DataFrame:
+def replica_sum(events: DataFrame, grid: GridSpec, bw: Bandwidth, copies: int, options: PlanOptions = PlanOptions(), memory_limit: int | None = None, emit: str = "rows") -> DataFrame:
     """``copies`` private cubes, then their sum. Refused where one cube exceeds the memory of a task, or where all exceed
     ``memory_limit`` bytes, if that is given."""
     check_memory(grid, 1, task_memory(events.sparkSession))
     check_memory(grid, copies, memory_limit)
     kernel = Kernel(grid, bw, options)
     box = [(0, g) for g in grid.shape]
+    # the cubes are summed in shares that lie along the longest axes, a few for each worker
+    shares = TileSpec(*(min(g, SHARES if g == max(grid.shape) else 1) for g in grid.shape))
 
     def fill(batches):
         mass, hits = kernel.empty(box)
         for x, y, t, w in columns(batches):
             kernel.fill(mass, hits, box, x, y, t, w)
-        yield from kernel.rows(mass, hits, box)
+        yield from pieces(mass, hits, box, shares, grid)
 
     ready = inside(events, grid, options, bw.lattice(grid)).select("event_id", "x", "y", "t", "w")
     # dealt by a hash of the whole event, so a task that runs again gets the same share
-    return sum_blocks(ready.repartition(copies, F.xxhash64("event_id", "x", "y", "t")).mapInArrow(fill, row_schema(options)))
+    parts = ready.repartition(copies, F.xxhash64("event_id", "x", "y", "t")).mapInArrow(fill, PIECE)
+    return sum_pieces(parts, grid, bw, shares, options, emit)
