@@ -6,7 +6,7 @@ import math
 from typing import Iterator, Tuple  # noqa: UP035  the engine reads these hints
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cubedensity.operators.blocks import CUBE_WIDTH, Kernel, block_schema, columns, row_schema, spread, task_memory
@@ -127,6 +127,21 @@ def _clip_blocks(ready: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpe
     return spread(ready.select(*AXES, "x", "y", "t", "w"), tiles.total, *AXES).groupBy(*AXES).applyInArrow(clip, schema)
 
 
+def zero_blocks(spark: SparkSession, grid: GridSpec, tiles: TileSpec, options: PlanOptions = PlanOptions()) -> DataFrame:
+    """The whole domain as arrays of zeros, one row a tile: what a dense cube costs before any event."""
+    tiles = fitting(tiles.clamp(grid), grid, task_memory(spark))
+    kernel = Kernel(grid, Bandwidth(1, 1), options)
+
+    def fill(batches):
+        for batch in batches:
+            for k in batch.column("id").to_pylist():
+                tile = (k // (tiles.b * tiles.c), k // tiles.c % tiles.b, k % tiles.c)
+                box = tiles.bounds(tile, grid)
+                yield kernel.block(*kernel.empty(box), box, tile)
+
+    return spark.range(tiles.total).mapInArrow(fill, block_schema(options))
+
+
 def _clip_rows(ready: DataFrame, grid: GridSpec, bw: Bandwidth, tiles: TileSpec, options: PlanOptions) -> DataFrame:
     """The relational twin: boxes clipped to the tile, then sums by tile and voxel."""
     hs, half = bw.whole

@@ -6,7 +6,8 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cubedensity.operators.density import cube
+from cubedensity.operators.density import cube, default_tiles
+from cubedensity.operators.tiles import zero_blocks
 from cubedensity.plans import measures
 from cubedensity.sources.sets import events
 from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
@@ -75,33 +76,32 @@ REPORTED = {
 }
 
 
-def compare_sequential(spark: SparkSession, sf_dir: str, names=("w01", "w06", "w12"), methods=("block_scan", "scatter", "disk_scatter", "bar_scatter", "product_scatter")) -> list[tuple[str, str, float]]:
+FAMILIES = {f: [w.name for w in WORKLOADS if w.set == s] for f, s in (("city", "CITY"), ("posts", "POSTS"), ("birds", "BIRDS"), ("world", "WORLD"))}
+#: one workload of each family, with wide cylinders where it has some
+CLASSES = ("w02", "w08", "w13", "w19")
+SEQUENTIAL = ("voxel_scan", "block_scan", "scatter", "disk_scatter", "bar_scatter", "product_scatter")
+
+
+def compare_sequential(spark: SparkSession, sf_dir: str, names, methods=SEQUENTIAL) -> list[tuple[str, str, float]]:
     """Seconds of the sequential methods, each a whole run without output."""
     return [(w, m, measures.seconds(BY_NAME[w].cube(spark, sf_dir, m))) for w in names for m in methods]
 
 
-def zero_and_compute(spark: SparkSession, sf_dir: str, names=("w01", "w06", "w12")) -> list[tuple[str, float, float]]:
-    """(workload, seconds of making all voxels, seconds of the cube)."""
-    from cubedensity.operators.relational import with_zeros
-
+def zero_and_compute(spark: SparkSession, sf_dir: str, names) -> list[tuple[str, float, float, float]]:
+    """(workload, seconds of making all arrays, seconds of the whole dense cube, share of the first)."""
     out = []
     for n in names:
         w = BY_NAME[n]
-        empty = spark.createDataFrame([], "vx int, vy int, vt int, hits bigint, mass bigint")
-        out.append((n, measures.seconds(with_zeros(empty, w.grid())), measures.seconds(w.cube(spark, sf_dir, "product_scatter"))))
+        tiles = default_tiles(w.grid(), w.bw(), spark.sparkContext.defaultParallelism)
+        zero = measures.seconds(zero_blocks(spark, w.grid(), tiles))
+        whole = measures.seconds(w.cube(spark, sf_dir, "tile_clip", tiles=tiles, emit="blocks"))
+        out.append((n, zero, whole, zero / (zero + whole)))
     return out
 
 
-def over_decomposition(spark: SparkSession, sf_dir: str, name: str = "w06", counts=(1, 2, 4, 8, 16)) -> list[tuple[int, float, float]]:
-    """(tiles an axis, seconds of clipped tiles, copies per event)."""
-    w = BY_NAME[name]
-    ev = w.events(spark, sf_dir)
-    out = []
-    for k in counts:
-        tiles = TileSpec(k, k, k).clamp(w.grid())
-        r = measures.replication(ev, w.grid(), w.bw(), tiles).first()
-        out.append((k, measures.seconds(w.cube(spark, sf_dir, "tile_clip", tiles=tiles)), r["copies"] / max(1, r["events"])))
-    return out
+def over_decomposition(spark: SparkSession, sf_dir: str, names=CLASSES, counts=(1, 2, 4, 8)) -> list[tuple[str, int, float]]:
+    """(workload, tiles an axis, seconds of clipped tiles)."""
+    return [(n, k, measures.seconds(BY_NAME[n].cube(spark, sf_dir, "tile_clip", tiles=TileSpec(k, k, k)))) for n in names for k in counts]
 
 
 def parallel_methods(spark: SparkSession, sf_dir: str, name: str = "w06", counts=(2, 4, 8)) -> list[tuple[str, int, float]]:
@@ -113,13 +113,13 @@ def parallel_methods(spark: SparkSession, sf_dir: str, name: str = "w06", counts
     return out
 
 
-def best_methods(spark: SparkSession, sf_dir: str, names=("w01", "w06", "w12", "w18")) -> list[tuple[str, str, int, float, str]]:
+def best_methods(spark: SparkSession, sf_dir: str, names, counts=(2, 4)) -> list[tuple[str, str, int, float, str]]:
     """(workload, best method, tiles, seconds, method that the model chooses)."""
     from cubedensity.plans.chooser import choose
 
     out = []
     for n in names:
         w = BY_NAME[n]
-        m, k, s = min(parallel_methods(spark, sf_dir, n), key=lambda r: r[2])
+        m, k, s = min(parallel_methods(spark, sf_dir, n, counts), key=lambda r: r[2])
         out.append((n, m, k, s, choose(w.events(spark, sf_dir), w.grid(), w.bw(), spark.sparkContext.defaultParallelism).method))
     return out
