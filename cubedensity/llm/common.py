@@ -59,17 +59,27 @@ MOST_MARKS = 1 << 27
 _WORD = 32_768  # bits of one bitmap of the engine
 
 
-def where_marked(keyed: DataFrame, marked: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """``keyed`` in two parts by the keys of content_key: rows that may have one of ``marked``'s, and rows that have none for certain.
+def where_marked(keyed: DataFrame, marked: DataFrame, *key: str) -> tuple[DataFrame, DataFrame]:
+    """``keyed`` in two parts by a key, that of content_key as a rule: rows that may have one of ``marked``'s, and rows that
+    have none for certain.
 
     The second part needs no join, so few rows are shuffled where few are marked. The keys are sent as a bitmap over
     their hashes, 16 bits a key and ``MOST_MARKS`` at most; a fuller bitmap lets more rows into the first part, and loses none.
     """
     bits = min(MOST_MARKS, max(_WORD, 1 << (16 * max(1, marked.count()) - 1).bit_length()))
-    slot = F.pmod(F.xxhash64("_kid", "_kh"), F.lit(bits))
+    slot = F.pmod(F.xxhash64(*(key or ("_kid", "_kh"))), F.lit(bits))
     place = [F.floor(slot / _WORD).alias("_word"), F.pmod(slot, F.lit(_WORD)).alias("_spot")]
     words = marked.select(*place).groupBy("_word").agg(F.bitmap_construct_agg("_spot").alias("_marks"))
     byte = F.conv(F.hex(F.substring("_marks", F.floor(F.col("_spot") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
     hit = F.coalesce(F.getbit(byte, F.pmod("_spot", F.lit(8)).cast("int")) == 1, F.lit(False))
     told = keyed.select("*", *place).join(F.broadcast(durable(words)), "_word", "left").withColumn("_hit", hit)
     return tuple(told.filter(c).select(*keyed.columns) for c in (F.col("_hit"), ~F.col("_hit")))
+
+
+#: rows of a list that is sent to all tasks, at most: some 16 MB
+SENT = 1_000_000
+
+
+def sent(rows: DataFrame) -> DataFrame:
+    """A written table, to be broadcast if it has no more than ``SENT`` rows, and joined as any other beyond."""
+    return F.broadcast(rows) if rows.limit(SENT + 1).count() <= SENT else rows

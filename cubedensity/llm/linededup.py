@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import bind, content_key, durable, where_marked
+from cubedensity.llm.common import bind, content_key, durable, sent, where_marked
 from cubedensity.llm.components import components
 
 SHORT = 5
@@ -203,10 +203,10 @@ def _recurring(texts: DataFrame, group: DataFrame) -> DataFrame:
     """``(mask, template, size)`` of templates that recur: lines as they stand, and groups of alike lines by distinct row."""
     plain = texts.groupBy("mask").agg(F.sum("n").alias("texts"), F.max("size").alias("size")).filter(_recurs())
     plain = plain.select("mask", F.col("mask").alias("template"), "size")
-    mine = texts.join(group, "mask")
+    mine = texts.join(sent(group), "mask")
     each = mine.groupBy("template", "_kh").agg(F.max("n").alias("n"), F.max("size").alias("size"))  # lines of a leaf have one size
     wide = each.groupBy("template").agg(F.sum("n").alias("texts"), F.max("size").alias("size")).filter(_recurs()).select("template", "size")
-    wide = group.join(wide, "template").select("mask", "template", "size")
+    wide = group.join(sent(durable(wide)), "template").select("mask", "template", "size")
     return durable(plain.join(wide.select("mask"), "mask", "left_anti").union(wide))
 
 
@@ -240,7 +240,7 @@ def resemblance(a: bytes, b: bytes) -> float:
 def _among_unlike(texts: DataFrame, sketches: DataFrame, found: DataFrame, copies: float) -> DataFrame:
     """``found`` without the templates that too few texts share which are unlike each other."""
     kind = "template bigint, salt bigint, size int, _kh bigint, sketch binary"
-    each = texts.select("_kh", "mask").join(found, "mask").groupBy("template", "_kh").agg(F.max("size").alias("size"))
+    each = texts.select("_kh", "mask").join(sent(found), "mask").groupBy("template", "_kh").agg(F.max("size").alias("size"))
     held = each.join(sketches, "_kh").withColumn("salt", F.lit(0).cast("bigint")).select("template", "salt", "size", "_kh", "sketch")
     # first the texts of a partition, where they are, then in shares of a template's texts, then a template's
     held = durable(held.sortWithinPartitions("template", "salt", "_kh").mapInArrow(_unlike(copies), kind))
@@ -257,8 +257,11 @@ def recurring(lines: DataFrame, copies: float = 0.0) -> DataFrame:
     """``(mask)`` of all lines of recurring templates."""
     # a text's lines once, however many rows hold the text
     texts = durable(lines.filter("mask is not null").groupBy("_kh", "mask").agg(F.max("leaf").alias("leaf"), F.max("size").alias("size"), F.count("*").alias("n")))
-    leaves = texts.groupBy("leaf").agg(F.sum("n").alias("n")).filter(F.col("n") >= LEAST_TEXTS).select("leaf")
-    masks = durable(lines.join(leaves, "leaf", "left_semi").groupBy("leaf", "mask").agg(F.max("tokens").alias("tokens")))
+    leaves = durable(texts.groupBy("leaf").agg(F.sum("n").alias("n")).filter(F.col("n") >= LEAST_TEXTS).select("leaf"))
+    # most lines are alone in their leaf and stay where they are; the others are combined before the shuffle
+    near, _ = where_marked(lines.filter("mask is not null"), leaves, "leaf")
+    masks = near.groupBy("leaf", "mask").agg(F.max("tokens").alias("tokens"))
+    masks = durable(masks.join(leaves, "leaf", "left_semi"))
     found = _recurring(texts, durable(alike(masks)))
     if copies <= 0:
         return found.select("mask")
@@ -271,7 +274,8 @@ def drop_templates(docs: DataFrame, copies: float = 0.0) -> DataFrame:
     columns = docs.columns
     lines = durable(line_table(docs))
     masks = durable(recurring(lines.drop("_kid", "nos"), copies))
-    drops = lines.select("_kid", "_kh", "nos", "mask").join(masks, "mask", "left_semi")
+    near, _ = where_marked(lines.select("_kid", "_kh", "nos", "mask").filter("mask is not null"), masks, "mask")
+    drops = near.join(sent(masks), "mask", "left_semi")
     # repeated rows give repeated lists of the same lines
     drops = durable(drops.groupBy("_kid", "_kh").agg(F.array_distinct(F.flatten(F.collect_set("nos"))).alias("nos")))
     row = docs.select(F.struct(*columns).alias("row"), *content_key())

@@ -38,9 +38,9 @@ HOT_KEY = 64
 CHUNK = 1 << 16
 #: least hashes of a text's distinct shingles that are kept to estimate similarity; exact for texts of no more shingles
 SKETCH = 256
-#: nodes whose hashes are counted to find common ones, and the number of common hashes that are told apart, at most
-SAMPLE = 20_000
-COMMON = 100_000
+#: one in so many nodes has its hashes counted to find common ones; common hashes that are told apart, at most
+SAMPLED = 4
+COMMON = 500_000
 
 
 def fingerprint_bytes(text: bytes, shingle: int) -> bytes:
@@ -136,11 +136,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 3, k: int = 2) -> DataFrame:
     )
 
 
-def resemblance(a: bytes, b: bytes, keep: int = SKETCH) -> float:
+def resemblance(a: bytes, b: bytes, keep: int = SKETCH, kind=np.uint64) -> float:
     """Similarity of two sets of shingles from their least hashes; exact if both are held whole."""
     if not a or not b:
         return float(a == b)
-    p, q = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
+    p, q = np.frombuffer(a, kind), np.frombuffer(b, kind)
     union = np.union1d(p, q)
     if max(len(p), len(q)) == keep:
         union = union[:keep]
@@ -159,33 +159,31 @@ def sketch_bytes(text: bytes, shingle: int, keep: int = SKETCH) -> bytes:
 
 
 def sketches(docs: DataFrame, shingle: int = 5, keep: int = SKETCH) -> DataFrame:
-    """``(doc_id, text) -> (doc_id, node, sketch)``; texts of equal sketches are one node."""
+    """``(doc_id, node, text) -> (doc_id, node, sketch)``."""
 
     def run(batches):
         for batch in batches:
             made = [sketch_bytes(t or b"", shingle, keep) for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(made, pa.binary())], names=["doc_id", "sketch"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("node"), pa.array(made, pa.binary())], names=["doc_id", "node", "sketch"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    made = docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, sketch binary")
-    return made.select("doc_id", F.xxhash64("sketch").alias("node"), "sketch")
+    return docs.select("doc_id", "node", "text").mapInArrow(run, f"doc_id {kind}, node bigint, sketch binary")
 
 
 def common_hashes(nodes: DataFrame) -> np.ndarray:
-    """Hashes that several of about SAMPLE nodes hold, rarest first, COMMON at most.
+    """Hashes that several of a ``SAMPLED``th of the nodes hold, rarest first, COMMON at most.
 
     They only set the order in which hashes become keys: any order finds every pair, one with the rare hashes first
     makes fewer candidates.
     """
-    part = max(1, -(-nodes.count() // SAMPLE))
 
     def run(batches):
         for batch in batches:
             held = b"".join(batch.column("sketch").to_pylist())
             yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(held, np.uint64).view(np.int64))], names=["h"])
 
-    each = nodes.filter(F.pmod(F.xxhash64("node"), F.lit(part)) == 0).select("sketch").mapInArrow(run, "h bigint")
-    top = each.groupBy("h").agg(F.count("*").alias("n")).filter("n > 2").orderBy(F.desc("n"), "h").limit(COMMON)
+    each = nodes.filter(F.pmod(F.xxhash64("node"), F.lit(SAMPLED)) == 0).select("sketch").mapInArrow(run, "h bigint")
+    top = each.groupBy("h").agg(F.count("*").alias("n")).filter("n > 1").orderBy(F.desc("n"), "h").limit(COMMON)
     return np.array([r.h for r in top.collect()][::-1], np.int64).view(np.uint64)
 
 
@@ -225,40 +223,63 @@ def prefixes(nodes: DataFrame, least: float) -> DataFrame:
 
 
 def similar(edges: DataFrame, nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFrame:
-    """Links whose texts have a similarity of ``least`` or more, by the sketches of ``nodes(node, sketch)``."""
+    """Links whose texts have a similarity of ``least`` or more, by the sketches of ``nodes(node, sketch)``.
+
+    The upper halves of the hashes tell them apart as well and keep their order; only those travel.
+    """
+
+    def halves(batches):
+        for batch in batches:
+            made = [(np.frombuffer(s, np.uint64) >> np.uint64(32)).astype(np.uint32).tobytes() for s in batch.column("sketch").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(made, pa.binary())], names=["node", "sketch"])
 
     def run(batches):
         for batch in batches:
             both = zip(batch.column("a").to_pylist(), batch.column("b").to_pylist())
-            near = [resemblance(a, b, keep) >= least for a, b in both]
+            near = [resemblance(a, b, keep, np.uint32) >= least for a, b in both]
             yield batch.select(["u", "v"]).filter(pa.array(near, pa.bool_()))
 
     ends = edges.select(F.col("u").alias("node")).union(edges.select("v")).distinct()
-    held = durable(nodes.select("node", "sketch").join(ends, "node", "left_semi"))
+    held = nodes.select("node", "sketch").join(ends, "node", "left_semi").mapInArrow(halves, "node bigint, sketch binary")
+    held = durable(held)
     both = edges.join(held.select(F.col("node").alias("u"), F.col("sketch").alias("a")), "u")
     both = both.join(held.select(F.col("node").alias("v"), F.col("sketch").alias("b")), "v")
     return both.select("u", "v", "a", "b").mapInArrow(run, "u bigint, v bigint")
 
 
+def _rooted(members: DataFrame, near: DataFrame) -> DataFrame:
+    """Members of keys whose nodes the links do not connect yet, with the component that each is in."""
+    roots = components(near).select(F.col("node").alias("_n"), "root")
+    rooted = members.join(roots, F.col("node") == F.col("_n"), "left").select("key", "node", "size", "n", F.coalesce("root", "node").alias("root"))
+    rooted = durable(rooted)
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
+    return durable(rooted.join(mixed, "key", "left_semi"))
+
+
 def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFrame:
     """Links ``(u, v)`` whose components are those of all pairs of ``nodes(node, sketch)`` with a similarity of ``least`` or more.
 
-    Every such pair shares a key. First each node is tried against the member of each of its keys that shares most keys with
-    others, as an original does with its copies. Then all pairs of a key that are not connected by now are tried; pairs
-    inside one component can add nothing. So a group of near copies costs links in proportion to its size.
+    Every such pair shares a key. First each node is tried against one other, of those that lead its keys the one that shares
+    most keys with others, as an original does with its copies. In keys that this leaves in several components, all nodes
+    are tried against the key's leader, and then all pairs that are not connected by now; pairs inside one component can
+    add nothing. So a group of near copies costs links in proportion to its size.
     """
     keyed = durable(prefixes(nodes, least))
     sizes = durable(keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"))
     members = durable(keyed.join(sizes, "key"))
-    weight = members.groupBy("node").agg(F.sum("n").alias("w"))
-    first = members.select("key", "node").join(weight, "node").groupBy("key").agg(F.max_by("node", F.struct("w", "node")).alias("v"))
-    star = members.join(first, "key").filter("node <> v").select(F.least("node", "v").alias("u"), F.greatest("node", "v").alias("v")).distinct()
-    near = durable(similar(durable(star), nodes, least, keep))
-    roots = components(near).select(F.col("node").alias("_n"), "root")
-    rooted = members.join(roots, F.col("node") == F.col("_n"), "left").select("key", "node", "size", F.coalesce("root", "node").alias("root"))
-    rooted = durable(rooted)
-    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo < hi").select("key")
-    open_ = durable(rooted.join(mixed, "key", "left_semi"))
+    weight = durable(members.groupBy("node").agg(F.sum("n").alias("w")))
+    ordered = lambda rows: rows.select(F.least("node", "v").alias("u"), F.greatest("node", "v").alias("v"))
+
+    def leaders(rows):
+        first = rows.select("key", "node").join(weight, "node").groupBy("key").agg(F.max(F.struct("w", "node")).alias("lead"))
+        return rows.join(first, "key").filter("node <> lead.node")
+
+    one = leaders(members).groupBy("node").agg(F.max("lead")["node"].alias("v"))
+    near = durable(similar(durable(ordered(one).distinct()), nodes, least, keep))
+    open_ = _rooted(members, near)
+    star = leaders(open_).select("node", F.col("lead.node").alias("v"), "root").join(open_.select(F.col("node").alias("v"), F.col("root").alias("r")).distinct(), "v").filter("root <> r")
+    near = durable(near.union(similar(durable(ordered(star).distinct()), nodes, least, keep)))
+    open_ = _rooted(open_.select("key", "node", "size", "n"), near)
     a = open_.select("key", *(F.col(x).alias(f"a_{x}") for x in ("node", "size", "root")))
     b = open_.select("key", *(F.col(x).alias(f"b_{x}") for x in ("node", "size", "root")))
     # similar sketches have like sizes
@@ -272,10 +293,11 @@ def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, keep:
     """Near duplicates of five-word shingle similarity ``least`` or more: ``(doc_id, component_id, group)``.
 
     Similarity is that of the sketches, which is exact for texts of fewer than ``keep`` shingles; no pair is left out.
-    Texts of equal sketches are one node; texts without words form one group.
+    Equal texts are one node; texts without words form one group.
     """
-    held = durable(sketches(docs, shingle, keep))
-    nodes = durable(held.groupBy("node").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")))
+    text = F.coalesce("text", F.lit(""))
+    keyed = docs.select("doc_id", F.when(text.rlike("[^ \\t-\\r]"), F.xxhash64(text)).otherwise(0).alias("node"), "text")
+    nodes = durable(sketches(keyed, shingle, keep).groupBy("node").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")))
     linked = components(similar_links(nodes, least, keep))
     rooted = durable(
         nodes.join(linked.withColumnRenamed("node", "n2"), F.col("node") == F.col("n2"), "left").select(
@@ -284,7 +306,7 @@ def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, keep:
     )
     named = durable(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
     naming = durable(rooted.join(named, "root").select(F.col("node").alias("nn"), "component_id", F.col("root").alias("group")))
-    return held.select("doc_id", "node").join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
+    return keyed.select("doc_id", "node").join(naming, F.col("node") == F.col("nn")).select("doc_id", "component_id", "group")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
