@@ -1,8 +1,9 @@
 """Counterfactual-regularised toxicity classifier.
 
 A logistic model over the words of a text and their beginnings (presence, whole text). While it is fitted, every
-labelled sentence that names a group is repeated with the term swapped for another of its list, and the change of
-the score is penalised, so that naming a group does not move the score by itself.
+labelled sentence that names a group is repeated with the term swapped for others of its list and for no term at all,
+and the change of the score is penalised, so that naming a group does not move the score by itself. (Swaps among groups
+alone would only make all groups of a list equally suspect.)
 
 Fitting uses at most about ``SAMPLE_ROWS`` labelled rows, taken by a hash of the id and never from the held-out
 fifth; features are counted on the executors. Scores are given for every row from the text alone.
@@ -69,13 +70,14 @@ def expand(words: set[str]) -> set[str]:
 
 
 def swapped(text: str | None) -> list[tuple[str, str]]:
-    """(term, other term) for the group terms in the sentences of a text."""
+    """(term, other term or nothing) for the group terms in the sentences of a text."""
     out = []
     for sentence in _SENTENCE.findall((text or "").lower()):
         for w in _WORD.findall(sentence):
             if w in _GROUP:
                 g, i = _GROUP[w]
                 out += [(w, IDENTITY[g][(i + k) % len(IDENTITY[g])]) for k in range(1, min(SWAPS, len(IDENTITY[g]) - 1) + 1)]
+                out.append((w, ""))
     return sorted(set(out))
 
 
@@ -177,7 +179,7 @@ def _descend(data, number: dict[str, int], swap_weight: float):
     for _, has, pairs in data:
         present = set(has)
         for pair in pairs:
-            a, b = (expand({w}) for w in pair.split(" "))
+            a, b = (expand({w}) if w else set() for w in pair.split(" "))
             # beginnings that other words of the text have too stay as they are
             change = [(number[f], -1.0) for f in sorted(a - b) if number[f] in present] + [(number[f], 1.0) for f in sorted(b - a) if number[f] not in present]
             s_row += [swaps] * len(change)

@@ -159,3 +159,42 @@ def test_hot_group_of_edited_copies_loses_no_link(spark):
                 parent[y] = x
     got = simhash.wide_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
     assert {r.doc_id: r.component_id for r in got} == {i: find(i) for i in sets}
+
+
+def exact_pairs(texts, least=0.8):
+    """All pairs of texts whose sets of five-word shingles have a similarity of ``least`` or more, by whole sets."""
+    import math
+    from collections import Counter, defaultdict
+
+    sets = []
+    for t in texts:
+        words = (t or "").encode().lower().split()
+        sets.append({b" ".join(words[k : k + 5]) for k in range(max(1, len(words) - 4))} if words else set())
+    count = Counter(s for held in sets for s in held)
+    found, index = set(), defaultdict(list)
+    for i, held in enumerate(sets):
+        rare = sorted(held, key=lambda s: (count[s], s))[: len(held) - math.ceil(least * len(held)) + 1]
+        near = {j for s in rare for j in index[s] if least <= len(sets[j]) / len(held) <= 1 / least}
+        found |= {(j, i) for j in near if len(held & sets[j]) >= least * len(held | sets[j])}
+        for s in rare:
+            index[s].append(i)
+    return found
+
+
+@pytest.mark.skipif(not __import__("os").path.isdir("/root/testdata/sf0.01"), reason="needs the given tables")
+def test_recall_over_all_pairs_of_the_given_table(spark):
+    rows = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").collect()
+    pairs = exact_pairs([r.text for r in rows])
+    groups = simhash.wide_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    of = {r.doc_id: r.group for r in groups}
+    met = sum(of[rows[i].doc_id] == of[rows[j].doc_id] for i, j in pairs)
+    print(f"{met} of {len(pairs)} pairs")
+    assert len(pairs) > 50 and met >= 0.9 * len(pairs)
+
+
+def test_texts_that_share_a_passage_both_stay(spark):
+    rng = random.Random(4)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(6))
+    passage = " ".join(word() for _ in range(30)) + " "
+    rows = [(i, passage * 12 + " ".join(word() for _ in range(60))) for i in range(2)]
+    assert simhash.keep_one(spark.createDataFrame(rows, "doc_id bigint, text string")).count() == 2

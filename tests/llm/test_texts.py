@@ -164,10 +164,34 @@ def test_toxicity_learns_and_swaps_do_not_matter(spark):
     held = [r for r in got if r.held_out]
     assert sum(r.predicted == truth[r.doc_id] for r in held) >= 0.95 * len(held)
     gap = {}
-    for weight in (0.0, 5.0):
+    for weight in (0.0, 1.0, 5.0):
         model = toxicity.fit(docs, labels, swap_weight=weight)
         gap[weight] = abs(model.logit("the muslim wake") - model.logit("the christian wake"))
-    assert gap[5.0] < 0.5 * gap[0.0] or gap[0.0] < 1e-6
+    assert gap[0.0] > 0.5 and gap[5.0] < gap[1.0] < gap[0.0] and gap[5.0] < 0.5 * gap[0.0]
+
+
+def test_neutral_mentions_are_not_called_toxic(spark):
+    """Groups that stand in toxic texts mostly: without the penalty their names alone make neutral texts toxic."""
+    rng = random.Random(18)
+    plain = [f"w{c}{d}e" for c in "abcdefgh" for d in "klmnop"]
+    names = ["muslim", "jewish", "gay", "mexican"]
+    text = lambda *more: " ".join(rng.sample([*(rng.choice(plain) for _ in range(25)), *more], 25 + len(more)))
+    rows = []
+    for i in range(600):
+        toxic = i % 3 == 0
+        said = [rng.choice(["nasty", "vile", "rotten"])] if toxic and rng.random() < 0.7 else []
+        said += [rng.choice(names)] if rng.random() < (0.9 if toxic else 0.05) else []
+        rows.append((i, text(*said), int(toxic)))
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id bigint, text string")
+    labels = spark.createDataFrame([(i, 1, t) for i, _, t in rows], "doc_id bigint, quality int, toxic int")
+    neutral, insults = [text(rng.choice(names)) for _ in range(200)], [text(rng.choice(["nasty", "vile", "rotten"])) for _ in range(200)]
+    wrong, caught = {}, {}
+    for weight in (0.0, 1.0, 5.0, 25.0):
+        model = toxicity.fit(docs, labels, swap_weight=weight)
+        wrong[weight] = sum(model.score(t) >= 0.5 for t in neutral) / 200
+        caught[weight] = sum(model.score(t) >= 0.5 for t in insults) / 200
+    print("neutral mentions called toxic", wrong, "insults caught", caught)
+    assert wrong[0.0] > 0.5 and wrong[5.0] < 0.2 * wrong[0.0] and caught[5.0] > 0.9
 
 
 def test_held_out_labels_are_not_read(spark):
