@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import re
 import tempfile
 
@@ -25,6 +26,15 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Let the engine's cleaner remove shuffle and checkpoint files that nothing refers to any more.
+
+    It acts when the driver collects garbage, which a driver of a long run of small jobs seldom does by itself.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The folder that the session names for files that all of the cluster share; one of this machine only in local mode."""
     sc = spark.sparkContext

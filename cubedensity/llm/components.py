@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import durable
+from cubedensity.llm.common import durable, tidy
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
@@ -39,6 +39,7 @@ def components(edges: DataFrame) -> DataFrame:
         if new == mark:
             break
         mark = new
+        tidy(now.sparkSession)
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(
         now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
     )

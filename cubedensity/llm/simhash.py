@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import content_key, durable
+from cubedensity.llm.common import content_key, durable, tidy
 from cubedensity.llm.components import components
 
 HOT_KEY = 64
@@ -276,10 +276,16 @@ def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFra
 
     one = leaders(members).groupBy("node").agg(F.max("lead")["node"].alias("v"))
     near = durable(similar(durable(ordered(one).distinct()), nodes, least, keep))
+    tidy(nodes.sparkSession)
     open_ = _rooted(members, near)
+    del keyed, sizes, members
+    tidy(nodes.sparkSession)
+    if open_.isEmpty():
+        return near
     star = leaders(open_).select("node", F.col("lead.node").alias("v"), "root").join(open_.select(F.col("node").alias("v"), F.col("root").alias("r")).distinct(), "v").filter("root <> r")
     near = durable(near.union(similar(durable(ordered(star).distinct()), nodes, least, keep)))
     open_ = _rooted(open_.select("key", "node", "size", "n"), near)
+    tidy(nodes.sparkSession)
     a = open_.select("key", *(F.col(x).alias(f"a_{x}") for x in ("node", "size", "root")))
     b = open_.select("key", *(F.col(x).alias(f"b_{x}") for x in ("node", "size", "root")))
     # similar sketches have like sizes
