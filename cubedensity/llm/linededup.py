@@ -43,7 +43,7 @@ ALIKE = 0.7
 BATCH_LINES = 20_000
 #: bytes of tokens of one run that a task walks before they are dealt out, and prints that a task remembers
 RUN_BYTES = 4_000_000
-REMEMBERED = 500_000
+REMEMBERED = 50_000
 #: least hashes of a text that tell its copies, and texts of a template that are walked in one task before their number is cut
 SKETCH = 32
 HOLDERS = 4096

@@ -40,7 +40,7 @@ CHUNK = 1 << 16
 SKETCH = 256
 #: one in so many nodes has its hashes counted to find common ones; common hashes that are told apart, at most
 SAMPLED = 4
-COMMON = 500_000
+COMMON = 200_000
 
 
 def fingerprint_bytes(text: bytes, shingle: int) -> bytes:
