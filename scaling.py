@@ -44,7 +44,7 @@ def session(workers: int):
     return spark
 
 
-def one(workers: int, part: str, sf: str, names: list[str], limit: float) -> None:
+def one(workers: int, part: str, sf: str, names: list[str], limit: float, counts: list[int]) -> None:
     """All runs of a part on a number of workers, one JSON line each."""
     spark = session(workers)
     from cubedensity.operators.density import cube
@@ -67,13 +67,13 @@ def one(workers: int, part: str, sf: str, names: list[str], limit: float) -> Non
             for form in FORMS:
                 tell(form=form, seconds=seconds(w, events, "tile_clip", whole, kernel_form=form))
         elif part == "overhead":
-            for k in OVERHEAD_TILES:
+            for k in (x for x in OVERHEAD_TILES if x <= max(counts) or len(counts) >= len(TILES)):
                 tell(tiles=k, seconds=seconds(w, events, "tile_clip", TileSpec(k, k, k).clamp(w.grid(True))))
         else:
             if workers == 1:
                 tell(method="undivided", tiles=1, seconds=seconds(w, events, "tile_clip", whole))
             for method in METHODS:
-                for k in (0,) if method == "replica_sum" else TILES:
+                for k in (0,) if method == "replica_sum" else counts:
                     try:
                         took = seconds(w, events, method, TileSpec(k, k, k).clamp(w.grid(True)) if k else None)
                     except MemoryError:
@@ -100,7 +100,7 @@ def report(runs: list[dict]) -> None:
         for w in dict.fromkeys(r["workload"] for r in runs if r["part"] == "methods"):
             base = of(part="methods", workload=w, method="undivided")
             for m in METHODS:
-                for k in (0,) if m == "replica_sum" else TILES:
+                for k in sorted({r["tiles"] for r in runs if r.get("method") == m}):
                     took = [of(part="methods", workload=w, method=m, tiles=k, workers=p) for p in counts]
                     if any(t is not None for t in took):
                         rows.append([w, m, k or "-", *took, *(base / t if base and t else None for t in took)])
@@ -118,6 +118,7 @@ def main() -> None:
     ask.add_argument("--sf", default=os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"))
     ask.add_argument("--workers", default="1,2,4,8")
     ask.add_argument("--workloads", default="")
+    ask.add_argument("--tiles", default=",".join(map(str, TILES)), help="tiles an axis")
     ask.add_argument("--part", default="all", choices=("all", "methods", "forms", "overhead"))
     ask.add_argument("--limit", type=float, default=60, help="seconds of a run beyond which finer tiles are left out")
     ask.add_argument("--out", default="")
@@ -125,13 +126,13 @@ def main() -> None:
     a = ask.parse_args()
     names = [x for x in a.workloads.split(",") if x]
     if a.one:
-        return one(a.one, a.part, a.sf, names, a.limit)
+        return one(a.one, a.part, a.sf, names, a.limit, [int(k) for k in a.tiles.split(",")])
     jobs = [("methods", p, names or WORKLOADS) for p in map(int, a.workers.split(","))] + [("forms", 1, names or FORM_WORKLOADS), ("overhead", 1, names or WORKLOADS)]
     runs = []
     for part, p, which in jobs:
         if a.part not in ("all", part):
             continue
-        call = [sys.executable, os.path.abspath(__file__), "--one", str(p), "--part", part, "--sf", a.sf, "--workloads", ",".join(which), "--limit", str(a.limit)]
+        call = [sys.executable, os.path.abspath(__file__), "--one", str(p), "--part", part, "--sf", a.sf, "--workloads", ",".join(which), "--tiles", a.tiles, "--limit", str(a.limit)]
         got = subprocess.run(call, capture_output=True, text=True)
         runs += [json.loads(x[4:]) for x in got.stdout.splitlines() if x.startswith("RUN ")]
         if got.returncode:
