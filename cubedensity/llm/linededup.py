@@ -87,8 +87,8 @@ def sketch_of(prints: np.ndarray) -> bytes:
     return np.unique(h)[:SKETCH].tobytes()
 
 
-def lines_of(text: str, prints: dict) -> tuple[list[list], bytes]:
-    """([[leaf, generalised line, size, line numbers, prints of the tokens]], sketch) of a text."""
+def lines_of(text: str, prints: dict, sketch: bool) -> tuple[list[list], bytes]:
+    """([[leaf, generalised line, size, line numbers, prints of the tokens]], sketch if asked for) of a text."""
     found: dict[int, list] = {}
     line_up: list[bytes] = []
     for number, line in enumerate(text.split("\n")):
@@ -102,11 +102,11 @@ def lines_of(text: str, prints: dict) -> tuple[list[list], bytes]:
             held = np.fromiter(map(prints.__getitem__, tokens), np.uint32, len(tokens)).tobytes()
             found[mask] = [_hash([str(len(tokens)), *tokens[:LEAD]]), mask, len(tokens), [number], held]
         line_up.append(found[mask][4])
-    return list(found.values()), sketch_of(np.frombuffer(b"".join(line_up), np.uint32).astype(np.uint64)) if found else b""
+    return list(found.values()), sketch_of(np.frombuffer(b"".join(line_up), np.uint32).astype(np.uint64)) if found and sketch else b""
 
 
-def line_table(docs: DataFrame) -> DataFrame:
-    """One row for each distinct generalised line of each row of ``docs``, and one without a line that holds its sketch."""
+def line_table(docs: DataFrame, sketch: bool) -> DataFrame:
+    """One row for each distinct generalised line of each row of ``docs``, and if asked for one without a line that holds its sketch."""
     kind = dict(docs.dtypes)["doc_id"]
 
     def run(batches):
@@ -115,10 +115,10 @@ def line_table(docs: DataFrame) -> DataFrame:
             held: list[tuple] = []
             id_type = batch.schema.field("_kid").type
             for kid, kh, text in zip(batch.column("_kid").to_pylist(), batch.column("_kh").to_pylist(), batch.column("text").to_pylist()):
-                lines, sketch = lines_of(text, prints)
-                if lines:
-                    held += [(kid, kh, *r) for r in lines]
-                    held.append((kid, kh, None, None, None, None, sketch))
+                lines, least = lines_of(text, prints, sketch)
+                held += [(kid, kh, *r) for r in lines]
+                if least:
+                    held.append((kid, kh, None, None, None, None, least))
                 if len(held) >= BATCH_LINES:
                     yield _batch(held, id_type)
                     held = []
@@ -272,7 +272,7 @@ def recurring(lines: DataFrame, copies: float = 0.0) -> DataFrame:
 def drop_templates(docs: DataFrame, copies: float = 0.0) -> DataFrame:
     """``docs`` with the lines of recurring templates taken out of ``text``; all columns stay. See above for ``copies``."""
     columns = docs.columns
-    lines = durable(line_table(docs))
+    lines = durable(line_table(docs, copies > 0))
     masks = durable(recurring(lines.drop("_kid", "nos"), copies))
     near, _ = where_marked(lines.select("_kid", "_kh", "nos", "mask").filter("mask is not null"), masks, "mask")
     drops = near.join(sent(masks), "mask", "left_semi")
