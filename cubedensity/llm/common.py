@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import re
 import tempfile
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,6 +37,26 @@ def tidy(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def released(run):
+    """``run`` for ``mapInArrow``, after which its worker gives back what it freed.
+
+    Workers live on between stages, and the allocators of Arrow and the C library keep freed memory, so without this every
+    worker of an executor holds the most that any stage took so far.
+    """
+
+    def whole(batches):
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # not every C library has it
+            if trim:
+                trim(0)
+
+    return whole
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The folder that the session names for files that all of the cluster share; one of this machine only in local mode."""
     sc = spark.sparkContext

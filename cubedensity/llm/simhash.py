@@ -8,10 +8,11 @@ A key that many fingerprints share is not compared pair by pair. For ``k = 2`` i
 neighbours instead: two words within two bits have a common neighbour within one bit of both, and a word has at
 most 65 of those, so the work stays linear and no link is lost.
 
-Near duplicates by shingle similarity (``wide_duplicates``) are another matter: five-word sets that share four fifths differ
-in some 20 of 128 fingerprint bits, and blocks that such pairs share for certain are too short to tell texts apart. There
-the blocks are of shingle hashes instead: the rarest fifth of the least hashes of a text, of which similar texts share
-one for certain, and every pair is verified.
+Near duplicates by shingle similarity (``wide_duplicates``) begin with the same fingerprints, blocks and Hamming distance,
+whose links are verified by similarity before texts are merged. That alone is not the whole job: five-word sets that share
+four fifths differ in some 20 of 128 fingerprint bits, and blocks that such pairs share for certain are too short to tell
+texts apart. What the fingerprints leave apart goes through blocks of shingle hashes: the rarest fifth of the least hashes
+of a text, of which similar texts share one for certain, and every pair is verified.
 
 Inputs: null texts count as empty; an empty text has fingerprint zero and links as any other; texts of any length are read
 whole; repeated rows give repeated results; a null id takes part and never becomes the component's name unless all ids in
@@ -31,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import content_key, durable, tidy
+from cubedensity.llm.common import content_key, durable, released, tidy
 from cubedensity.llm.components import components
 
 HOT_KEY = 64
@@ -71,7 +72,7 @@ def fingerprints(docs: DataFrame, shingle: int = 3) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(longs, pa.int64())], names=["doc_id", "fp"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp bigint")
+    return docs.select("doc_id", "text").mapInArrow(released(run), f"doc_id {kind}, fp bigint")
 
 
 def block_masks(bits: int, blocks: int, keep: int) -> list[int]:
@@ -158,16 +159,18 @@ def sketch_bytes(text: bytes, shingle: int, keep: int = SKETCH) -> bytes:
     return least.tobytes()
 
 
-def sketches(docs: DataFrame, shingle: int = 5, keep: int = SKETCH) -> DataFrame:
-    """``(doc_id, node, text) -> (doc_id, node, sketch)``."""
+def sketches(docs: DataFrame, shingle: int = 5, keep: int = SKETCH, words: int = 3) -> DataFrame:
+    """``(doc_id, node, text) -> (doc_id, node, sketch, fp)``: least hashes, and the fingerprint of shingles of ``words`` words."""
 
     def run(batches):
         for batch in batches:
-            made = [sketch_bytes(t or b"", shingle, keep) for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("node"), pa.array(made, pa.binary())], names=["doc_id", "node", "sketch"])
+            texts = [t or b"" for t in pc.cast(batch.column("text"), pa.binary()).to_pylist()]
+            made = pa.array([sketch_bytes(t, shingle, keep) for t in texts], pa.binary())
+            longs = np.frombuffer(b"".join(fingerprint_bytes(t, words) for t in texts), ">i8").astype(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("node"), made, pa.array(longs, pa.int64())], names=["doc_id", "node", "sketch", "fp"])
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "node", "text").mapInArrow(run, f"doc_id {kind}, node bigint, sketch binary")
+    return docs.select("doc_id", "node", "text").mapInArrow(released(run), f"doc_id {kind}, node bigint, sketch binary, fp bigint")
 
 
 def common_hashes(nodes: DataFrame) -> np.ndarray:
@@ -182,7 +185,7 @@ def common_hashes(nodes: DataFrame) -> np.ndarray:
             held = b"".join(batch.column("sketch").to_pylist())
             yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(held, np.uint64).view(np.int64))], names=["h"])
 
-    each = nodes.filter(F.pmod(F.xxhash64("node"), F.lit(SAMPLED)) == 0).select("sketch").mapInArrow(run, "h bigint")
+    each = nodes.filter(F.pmod(F.xxhash64("node"), F.lit(SAMPLED)) == 0).select("sketch").mapInArrow(released(run), "h bigint")
     top = each.groupBy("h").agg(F.count("*").alias("n")).filter("n > 1").orderBy(F.desc("n"), "h").limit(COMMON)
     return np.array([r.h for r in top.collect()][::-1], np.int64).view(np.uint64)
 
@@ -219,7 +222,7 @@ def prefixes(nodes: DataFrame, least: float) -> DataFrame:
             key = np.concatenate([np.zeros(0, np.uint64), *keys]).view(np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(size), pa.array(key)], names=["node", "size", "key"])
 
-    return nodes.select("node", "sketch").mapInArrow(run, "node bigint, size int, key bigint")
+    return nodes.select("node", "sketch").mapInArrow(released(run), "node bigint, size int, key bigint")
 
 
 def similar(edges: DataFrame, nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFrame:
@@ -240,11 +243,11 @@ def similar(edges: DataFrame, nodes: DataFrame, least: float, keep: int = SKETCH
             yield batch.select(["u", "v"]).filter(pa.array(near, pa.bool_()))
 
     ends = edges.select(F.col("u").alias("node")).union(edges.select("v")).distinct()
-    held = nodes.select("node", "sketch").join(ends, "node", "left_semi").mapInArrow(halves, "node bigint, sketch binary")
+    held = nodes.select("node", "sketch").join(ends, "node", "left_semi").mapInArrow(released(halves), "node bigint, sketch binary")
     held = durable(held)
     both = edges.join(held.select(F.col("node").alias("u"), F.col("sketch").alias("a")), "u")
     both = both.join(held.select(F.col("node").alias("v"), F.col("sketch").alias("b")), "v")
-    return both.select("u", "v", "a", "b").mapInArrow(run, "u bigint, v bigint")
+    return both.select("u", "v", "a", "b").mapInArrow(released(run), "u bigint, v bigint")
 
 
 def _rooted(members: DataFrame, near: DataFrame) -> DataFrame:
@@ -256,11 +259,24 @@ def _rooted(members: DataFrame, near: DataFrame) -> DataFrame:
     return durable(rooted.join(mixed, "key", "left_semi"))
 
 
+def fingerprint_pairs(nodes: DataFrame) -> DataFrame:
+    """Pairs ``(u, v)`` of ``nodes(node, fp)`` that connect all whose fingerprints link, to be verified.
+
+    A node is paired with the least one of its fingerprint, and those of two fingerprints that link with each other.
+    """
+    heads = durable(nodes.groupBy("fp").agg(F.min("node").alias("head")))
+    same = nodes.select("node", "fp").join(heads, "fp").filter("node <> head").select(F.col("head").alias("u"), F.col("node").alias("v"))
+    named = lambda end, to: heads.select(F.col("fp").alias(end), F.col("head").alias(to))
+    across = near_edges(heads.select("fp")).join(named("u", "a"), "u").join(named("v", "b"), "v")
+    return same.union(across.select(F.col("a").alias("u"), F.col("b").alias("v")))
+
+
 def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFrame:
-    """Links ``(u, v)`` whose components are those of all pairs of ``nodes(node, sketch)`` with a similarity of ``least`` or more.
+    """Links ``(u, v)`` whose components are those of all pairs of ``nodes(node, sketch, fp)`` with a similarity of ``least`` or more.
 
-    Every such pair shares a key. First each node is tried against one other, of those that lead its keys the one that shares
-    most keys with others, as an original does with its copies. In keys that this leaves in several components, all nodes
+    First come the pairs that the fingerprints link. Every pair of that similarity shares a key as well: each node is tried
+    against one other, of those that lead its keys the one that shares most keys with others, as an original does with its
+    copies. In keys that this leaves in several components, all nodes
     are tried against the key's leader, and then all pairs that are not connected by now; pairs inside one component can
     add nothing. So a group of near copies costs links in proportion to its size.
     """
@@ -275,7 +291,8 @@ def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFra
         return rows.join(first, "key").filter("node <> lead.node")
 
     one = leaders(members).groupBy("node").agg(F.max("lead")["node"].alias("v"))
-    near = durable(similar(durable(ordered(one).distinct()), nodes, least, keep))
+    linked = fingerprint_pairs(nodes).select(F.col("u").alias("node"), "v")
+    near = durable(similar(durable(ordered(linked.union(one)).distinct()), nodes, least, keep))
     tidy(nodes.sparkSession)
     open_ = _rooted(members, near)
     del keyed, sizes, members
@@ -298,12 +315,12 @@ def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFra
 def wide_duplicates(docs: DataFrame, shingle: int = 5, least: float = 0.8, keep: int = SKETCH) -> DataFrame:
     """Near duplicates of five-word shingle similarity ``least`` or more: ``(doc_id, component_id, group)``.
 
-    Similarity is that of the sketches, which is exact for texts of fewer than ``keep`` shingles; no pair is left out.
+    Links of the fingerprints are verified, and the pairs that they leave apart are sought among shingle hashes. Similarity is that of the sketches, which is exact for texts of fewer than ``keep`` shingles; no pair is left out.
     Equal texts are one node; texts without words form one group.
     """
     text = F.coalesce("text", F.lit(""))
     keyed = docs.select("doc_id", F.when(text.rlike("[^ \\t-\\r]"), F.xxhash64(text)).otherwise(0).alias("node"), "text")
-    nodes = durable(sketches(keyed, shingle, keep).groupBy("node").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch")))
+    nodes = durable(sketches(keyed, shingle, keep).groupBy("node").agg(F.min("doc_id").alias("least"), F.min("sketch").alias("sketch"), F.min("fp").alias("fp")))
     linked = components(similar_links(nodes, least, keep))
     rooted = durable(
         nodes.join(linked.withColumnRenamed("node", "n2"), F.col("node") == F.col("n2"), "left").select(

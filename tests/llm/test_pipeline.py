@@ -198,3 +198,15 @@ def test_texts_that_share_a_passage_both_stay(spark):
     passage = " ".join(word() for _ in range(30)) + " "
     rows = [(i, passage * 12 + " ".join(word() for _ in range(60))) for i in range(2)]
     assert simhash.keep_one(spark.createDataFrame(rows, "doc_id bigint, text string")).count() == 2
+
+
+def test_fingerprints_link_texts_by_themselves(spark, monkeypatch):
+    rng = random.Random(5)
+    base = [[f"w{rng.randrange(5000)}" for _ in range(120)] for _ in range(4)]
+    rows = [(10 * i + k, " ".join(w) if k == 0 else " ".join(w).upper() if k == 1 else "  ".join(w)) for i, w in enumerate(base) for k in range(3)]
+    # one passage over and over: one fingerprint for both, and little else in common
+    rows += [(90 + k, "a b c d e f g h i j " * 60 + " ".join(f"x{k}_{i}" for i in range(300))) for k in range(2)]
+    # no shingle hash becomes a key, so all links are those of the fingerprints
+    monkeypatch.setattr(simhash, "prefixes", lambda nodes, least: nodes.limit(0).select("node", F.lit(0).alias("size"), F.lit(0).cast("bigint").alias("key")))
+    got = simhash.keep_one(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert sorted(r.doc_id for r in got) == [0, 10, 20, 30, 90, 91]
