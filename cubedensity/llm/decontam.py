@@ -22,7 +22,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import durable, where_marked
+from cubedensity.llm.common import durable, released, where_marked
 
 WINDOW = 10
 SHARD_WORDS = 1_000_000
@@ -176,7 +176,7 @@ def _pass(docs: DataFrame, items: DataFrame, window: int) -> DataFrame:
     """``docs`` with ``_n_words`` and ``_found``, the matches with a block of items."""
     index = ItemIndex([(r[0], r[1]) for r in items.orderBy("item_id", "text").collect()], window)
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(_search(index, docs.columns), f"{kinds}, _n_words bigint, _found array<{MATCH}>")
+    return docs.mapInArrow(released(_search(index, docs.columns)), f"{kinds}, _n_words bigint, _found array<{MATCH}>")
 
 
 def longest_matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_chars: int = BLOCK_CHARS) -> DataFrame:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import durable
+from cubedensity.llm.common import durable, released
 
 SAMPLE_ROWS = 12_000
 FEATURES = 6_000
@@ -156,13 +156,13 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, features: i
     if not p or not q:
         share = p / (p + q) if p + q else 0.0
         return Model(30.0 if share == 1 else -30.0)
-    counted = sample.mapInArrow(_counted, "feature string, toxic bigint, other bigint").groupBy("feature").agg(F.sum("toxic").alias("t"), F.sum("other").alias("o"))
+    counted = sample.mapInArrow(released(_counted), "feature string, toxic bigint, other bigint").groupBy("feature").agg(F.sum("toxic").alias("t"), F.sum("other").alias("o"))
     lift = F.log((F.col("t") + 0.5) / p) - F.log((F.col("o") + 0.5) / q)
     best = counted.filter((F.col("t") >= LEAST_TOXIC) & (lift > math.log(3))).orderBy((F.col("t") * lift).desc(), "feature").limit(features)
     names = [r["feature"] for r in best.select("feature").collect()]
     names += sorted({f for w in _GROUP for f in expand({w})} - set(names))
     number = {f: i for i, f in enumerate(names)}
-    got = sample.mapInArrow(_rows(number), "toxic int, has array<int>, swap array<string>").toArrow()
+    got = sample.mapInArrow(released(_rows(number)), "toxic int, has array<int>, swap array<string>").toArrow()
     # one order for the sums, however the rows arrive
     data = sorted(zip(got["toxic"].to_pylist(), map(tuple, got["has"].to_pylist()), map(tuple, got["swap"].to_pylist())))
     weights, bias = _descend(data, number, swap_weight)
@@ -213,7 +213,7 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns, made], names=[*batch.schema.names, "_score"])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(run, f"{kinds}, _score double")
+    return docs.mapInArrow(released(run), f"{kinds}, _score double")
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
