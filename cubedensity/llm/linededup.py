@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import bind, content_key, durable, sent, where_marked
+from cubedensity.llm.common import bind, content_key, durable, released, sent, tidy, where_marked
 from cubedensity.llm.components import components
 
 SHORT = 5
@@ -124,7 +124,7 @@ def line_table(docs: DataFrame, sketch: bool) -> DataFrame:
                     held = []
             yield _batch(held, id_type)
 
-    return docs.filter("text is not null").select(*content_key(), "text").mapInArrow(run, LINES.format(kind=kind))
+    return docs.filter("text is not null").select(*content_key(), "text").mapInArrow(released(run), LINES.format(kind=kind))
 
 
 def _batch(rows, id_type) -> pa.RecordBatch:
@@ -178,12 +178,12 @@ def _walk(batches):
 
 def _leaders(rows: DataFrame) -> DataFrame:
     dealt = rows.repartition("key", "salt").sortWithinPartitions("key", "salt", "mask")
-    return dealt.select("key", "salt", "mask", "tokens").mapInArrow(_walk, "key bigint, u bigint, v bigint")
+    return dealt.select("key", "salt", "mask", "tokens").mapInArrow(released(_walk), "key bigint, u bigint, v bigint")
 
 
 def alike(masks: DataFrame) -> DataFrame:
     """``(mask, template)`` of the lines ``masks(leaf, mask, tokens)`` that agree with another."""
-    keyed = durable(masks.select("leaf", "mask", "tokens").mapInArrow(_runs, "key bigint, mask bigint"))
+    keyed = durable(masks.select("leaf", "mask", "tokens").mapInArrow(released(_runs), "key bigint, mask bigint"))
     sized = keyed.join(masks.select("mask", F.octet_length("tokens").alias("bytes")), "mask").groupBy("key").agg(F.count("*").alias("n"), F.sum("bytes").alias("bytes"))
     shared = durable(sized.filter("n > 1").select("key", F.ceil(F.col("bytes") / RUN_BYTES).alias("salts")))
     members = keyed.join(shared, "key").join(masks.select("mask", "tokens"), "mask")
@@ -191,6 +191,8 @@ def alike(masks: DataFrame) -> DataFrame:
     # leaders of a run that was dealt out meet each other
     again = first.filter("u = v").select("key", F.col("u").alias("mask")).join(shared.filter("salts > 1").select("key"), "key", "left_semi")
     second = _leaders(again.join(masks.select("mask", "tokens"), "mask").withColumn("salt", F.lit(0).cast("bigint")))
+    del keyed, sized, members
+    tidy(masks.sparkSession)
     links = first.select("u", "v").union(second.select("u", "v")).filter("u <> v")
     return components(links).select(F.col("node").alias("mask"), F.col("root").alias("template"))
 
@@ -243,12 +245,12 @@ def _among_unlike(texts: DataFrame, sketches: DataFrame, found: DataFrame, copie
     each = texts.select("_kh", "mask").join(sent(found), "mask").groupBy("template", "_kh").agg(F.max("size").alias("size"))
     held = each.join(sketches, "_kh").withColumn("salt", F.lit(0).cast("bigint")).select("template", "salt", "size", "_kh", "sketch")
     # first the texts of a partition, where they are, then in shares of a template's texts, then a template's
-    held = durable(held.sortWithinPartitions("template", "salt", "_kh").mapInArrow(_unlike(copies), kind))
+    held = durable(held.sortWithinPartitions("template", "salt", "_kh").mapInArrow(released(_unlike(copies)), kind))
     sizes = held.groupBy("template").agg(F.ceil(F.count("*") / HOLDERS).alias("salts"))
     held = held.drop("salt").join(sizes, "template").withColumn("salt", F.pmod("_kh", "salts")).select("template", "salt", "size", "_kh", "sketch")
     for last in (False, True):
         held = held.withColumn("salt", F.lit(0).cast("bigint")) if last else held
-        held = held.repartition("template", "salt").sortWithinPartitions("template", "salt", "_kh").mapInArrow(_unlike(copies), kind)
+        held = held.repartition("template", "salt").sortWithinPartitions("template", "salt", "_kh").mapInArrow(released(_unlike(copies)), kind)
     good = held.groupBy("template").agg(F.count("*").alias("texts"), F.max("size").alias("size")).filter(_recurs()).select("template")
     return durable(found.join(good, "template").select("mask"))
 
@@ -274,10 +276,14 @@ def drop_templates(docs: DataFrame, copies: float = 0.0) -> DataFrame:
     columns = docs.columns
     lines = durable(line_table(docs, copies > 0))
     masks = durable(recurring(lines.drop("_kid", "nos"), copies))
+    tidy(docs.sparkSession)
     near, _ = where_marked(lines.select("_kid", "_kh", "nos", "mask").filter("mask is not null"), masks, "mask")
     drops = near.join(sent(masks), "mask", "left_semi")
     # repeated rows give repeated lists of the same lines
     drops = durable(drops.groupBy("_kid", "_kh").agg(F.array_distinct(F.flatten(F.collect_set("nos"))).alias("nos")))
+    # the rows travel next: what the lines took on disk goes first
+    del lines, near, _
+    tidy(docs.sparkSession)
     row = docs.select(F.struct(*columns).alias("row"), *content_key())
     named = drops.select(F.col("_kid").alias("_did"), F.col("_kh").alias("_dh"), "nos")
     held, free = where_marked(row, drops)
