@@ -11,7 +11,7 @@ from cubedensity.operators import dag, output, relational, replicas
 from cubedensity.operators.blocks import FORMS, Kernel, rows_of_blocks, task_memory
 from cubedensity.operators.density import cube
 from cubedensity.operators.tiles import finer, fitting, tile_clip, zero_blocks
-from cubedensity.plans import chooser
+from cubedensity.plans import chooser, measures
 from cubedensity.plans.durable import shared_folder
 from cubedensity.spec import Bandwidth, GridSpec, PlanOptions, TileSpec
 from cubedensity.streaming import stream
@@ -212,3 +212,30 @@ def test_runtime_filter_prunes_slabs(spark):
 
     plan = entry.queries()["op_skip_empty_tiles"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "dynamicpruning" in plan
+
+
+def test_voxel_scan_takes_any_number_of_events(spark):
+    ev = spark.range(1_000_001).select(F.col("id").alias("event_id"), *(F.lit(8).cast("long").alias(c) for c in "xyt"), F.lit(1).cast("long").alias("w"))
+    got = relational.voxel_scan(ev, GridSpec(2, 1, 1), Bandwidth(1, 1)).collect()
+    assert [(r.vx, r.hits) for r in got] == [(0, 1_000_001)]
+
+
+def test_block_scan_moves_every_event_once(spark):
+    ev = crowd(spark, 3)
+    made = relational.block_scan(ev, GRID, BW)
+    # shares and three axes of voxels are the only rows that are made
+    assert made._jdf.queryExecution().optimizedPlan().toString().count("Generate explode") == 4
+    assert rows_of(made) == rows_of(relational.scatter(ev, GRID, BW))
+
+
+def test_running_share_beyond_a_long(spark):
+    rows = [(i, 0, 0, 1, 4 * 10**18) for i in range(5)]
+    got = output.running_share(spark.createDataFrame(rows, "vx int, vy int, vt int, hits bigint, mass bigint")).collect()
+    assert sorted(int(r.running) for r in got) == [4 * 10**18 * k for k in range(1, 6)]
+
+
+def test_entries_once_a_place_are_those_of_every_event(spark):
+    ev = crowd(spark, 4, 80)
+    ev = ev.union(ev)
+    each = measures.box_sizes(ev, GRID, BW).agg(F.sum(F.col("n_place") + F.col("n_time")), F.sum(F.col("n_disk") * F.col("n_bar"))).first()
+    assert tuple(measures.table_entries(ev, GRID, BW).first()) == tuple(each)
