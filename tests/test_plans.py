@@ -81,3 +81,18 @@ def test_core_does_not_know_the_training_data_operators():
 def test_theta_join_reads_all_events(spark):
     found = {n: sorted(map(tuple, entry.queries()[n](spark, SF).collect())) for n in ("op_theta_join", "op_block_join")}
     assert found["op_theta_join"] == found["op_block_join"]
+
+
+@pytest.mark.parametrize("name", ["cost_colors_used", "cost_memory", "cost_zero_fill_cap", "oriented_edges", "parity_color", "replica_guard", "safe_tiles", "source_voxelgrid", "sql_udf_morton", "stencil_edges"])
+def test_queries_take_their_data_from_a_given_table(spark, tmp_path, name):
+    import duckdb
+
+    # a table with few events: results that a made-up table would not have
+    few = spark.read.parquet(f"{SF}/events.parquet").filter("user_id < 4")
+    few.coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
+    got = [tuple(r) for r in entry.queries()[name](spark, str(tmp_path)).collect()]
+    con = duckdb.connect()
+    con.execute(f"create view events as select * from read_parquet('{tmp_path}/events.parquet/*.parquet')")
+    want = con.execute(entry.oracle_sql()[name]).fetchall()
+    assert sorted(got) == sorted(want) and got
+    assert sorted(got) != sorted(tuple(r) for r in entry.queries()[name](spark, SF).collect())
