@@ -239,3 +239,15 @@ def test_entries_once_a_place_are_those_of_every_event(spark):
     ev = ev.union(ev)
     each = measures.box_sizes(ev, GRID, BW).agg(F.sum(F.col("n_place") + F.col("n_time")), F.sum(F.col("n_disk") * F.col("n_bar"))).first()
     assert tuple(measures.table_entries(ev, GRID, BW).first()) == tuple(each)
+
+
+def test_tiled_entries_need_no_copies(spark):
+    ev, cut = crowd(spark, 5, 60), TileSpec(5, 3, 4)
+    made = measures.tiled_entries(ev, GRID, BW, cut)
+    assert "Generate" not in made._jdf.queryExecution().optimizedPlan().toString()
+    want = 0
+    for r in ev.collect():
+        ends = [(max(0, c // GRID.sub - h), min(g - 1, c // GRID.sub + h)) for c, g, h in zip((r.x, r.y, r.t), GRID.shape, (2, 2, BW.whole[1]))]
+        parts = [[sum(v * n // g == k for v in range(lo, hi + 1)) for k in range(n)] for (lo, hi), n, g in zip(ends, cut.counts, GRID.shape)]
+        want += sum(p * q + t for p in parts[0] for q in parts[1] for t in parts[2] if p and q and t)
+    assert made.first()[0] == want
