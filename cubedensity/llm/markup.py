@@ -12,6 +12,8 @@ LOWER = {c: c + 32 for c in range(65, 91)}
 
 _NAME = re.compile(r"[a-zA-Z][^\s/>]*")
 _STOP = re.compile(r"""[>"']""")
+#: what ends a raw element, in ASCII letters of either case
+_CLOSE = {tag: re.compile(f"</{tag}(?=[ \\t\\n\\f\\r/>]|\\Z)", re.I | re.A) for tag in RAW}
 
 
 class _Ends:
@@ -29,6 +31,10 @@ class _Ends:
         return found
 
 
+def lowered(name: str) -> str:
+    return name.lower() if name.isascii() else name.translate(LOWER)
+
+
 def _tag_end(html: str, at: int, ends: _Ends) -> int:
     """The place of the ``>`` that closes a tag; quoted values may hold others. A quote that never ends is no quote.
 
@@ -59,7 +65,6 @@ def tokens(html: str) -> Iterator[tuple[str, str, str]]:
     tag takes the rest.
     """
     at, end, ends = 0, len(html), _Ends(html)
-    low: str | None = None
     while at < end:
         lt = html.find("<", at)
         if lt < 0:
@@ -81,23 +86,20 @@ def tokens(html: str) -> Iterator[tuple[str, str, str]]:
             yield "text", "<", ""
             at = lt + 1
             continue
-        stop = _tag_end(html, m.end(), ends)
+        stop = m.end() if html.startswith(">", m.end()) else _tag_end(html, m.end(), ends)
         if stop < 0:
             return
-        tag, at = m[0].translate(LOWER), stop + 1
+        tag, at = lowered(m[0]), stop + 1
         if closing:
             yield "close", tag, ""
             continue
         yield "open", tag, html[m.end() : stop]
         if tag in RAW:
-            low = html.translate(LOWER) if low is None else low
-            stop = low.find("</" + tag, at)
-            while stop >= 0 and not (low[stop + len(tag) + 2 : stop + len(tag) + 3] or ">") in " \t\n\f\r/>":
-                stop = low.find("</" + tag, stop + 2)
-            yield "raw", tag, html[at:] if stop < 0 else html[at:stop]
-            if stop < 0:
+            close = _CLOSE[tag].search(html, at)
+            yield "raw", tag, html[at : close.start()] if close else html[at:]
+            if close is None:
                 return
-            gt = html.find(">", stop)
+            gt = html.find(">", close.start())
             if gt < 0:
                 return
             at = gt + 1
