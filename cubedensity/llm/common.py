@@ -6,6 +6,8 @@ import ctypes
 import gc
 import re
 import tempfile
+import uuid
+from collections.abc import Callable
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -28,6 +30,25 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def written(df: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
+    """``df`` as a compressed table in the shared folder of the session, and what removes it.
+
+    For wide tables that are read several times, a few columns each: a checkpoint holds rows as they are in memory, some
+    three times the bytes, and every reading takes all columns. Types that such files do not hold are checkpointed.
+    """
+    spark = df.sparkSession
+    if any(re.search("void|interval|variant", kind) for _, kind in df.dtypes):
+        return durable(df), lambda: None
+    place = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(place)
+
+    def remove() -> None:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(place)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+    return spark.read.parquet(place), remove
+
+
 def tidy(spark: SparkSession) -> None:
     """Let the engine's cleaner remove shuffle and checkpoint files that nothing refers to any more.
 

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubedensity.llm.common import bind, content_key, durable, released, sent, tidy, where_marked
+from cubedensity.llm.common import bind, content_key, durable, released, sent, tidy, where_marked, written
 from cubedensity.llm.components import components
 
 SHORT = 5
@@ -255,15 +255,20 @@ def _among_unlike(texts: DataFrame, sketches: DataFrame, found: DataFrame, copie
     return durable(found.join(good, "template").select("mask"))
 
 
-def recurring(lines: DataFrame, copies: float = 0.0) -> DataFrame:
-    """``(mask)`` of all lines of recurring templates."""
+def _counted(lines: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Lines by text, ``(_kh, mask, leaf, size, n)``, and the lines of leaves that could recur, ``(leaf, mask, tokens)``."""
     # a text's lines once, however many rows hold the text
     texts = durable(lines.filter("mask is not null").groupBy("_kh", "mask").agg(F.max("leaf").alias("leaf"), F.max("size").alias("size"), F.count("*").alias("n")))
     leaves = durable(texts.groupBy("leaf").agg(F.sum("n").alias("n")).filter(F.col("n") >= LEAST_TEXTS).select("leaf"))
+    tidy(lines.sparkSession)
     # most lines are alone in their leaf and stay where they are; the others are combined before the shuffle
     near, _ = where_marked(lines.filter("mask is not null"), leaves, "leaf")
     masks = near.groupBy("leaf", "mask").agg(F.max("tokens").alias("tokens"))
-    masks = durable(masks.join(leaves, "leaf", "left_semi"))
+    return texts, durable(masks.join(leaves, "leaf", "left_semi"))
+
+
+def recurring(texts: DataFrame, masks: DataFrame, lines: DataFrame, copies: float = 0.0) -> DataFrame:
+    """``(mask)`` of all lines of recurring templates, from ``_counted``'s tables; with ``copies``, sketches are taken from ``lines``."""
     found = _recurring(texts, durable(alike(masks)))
     if copies <= 0:
         return found.select("mask")
@@ -274,15 +279,28 @@ def recurring(lines: DataFrame, copies: float = 0.0) -> DataFrame:
 def drop_templates(docs: DataFrame, copies: float = 0.0) -> DataFrame:
     """``docs`` with the lines of recurring templates taken out of ``text``; all columns stay. See above for ``copies``."""
     columns = docs.columns
-    lines = durable(line_table(docs, copies > 0))
-    masks = durable(recurring(lines.drop("_kid", "nos"), copies))
+    lines, remove = written(line_table(docs, copies > 0))
+    try:
+        texts, masks = _counted(lines)
+        # the tokens, most of the bytes, are in masks as far as they are still needed
+        sketch = F.when(F.col("mask").isNull(), F.col("tokens")).alias("tokens")
+        slim, forget = written(lines.select("_kid", "_kh", "nos", "mask", sketch))
+    finally:
+        remove()
+    del lines
     tidy(docs.sparkSession)
-    near, _ = where_marked(lines.select("_kid", "_kh", "nos", "mask").filter("mask is not null"), masks, "mask")
-    drops = near.join(sent(masks), "mask", "left_semi")
-    # repeated rows give repeated lists of the same lines
-    drops = durable(drops.groupBy("_kid", "_kh").agg(F.array_distinct(F.flatten(F.collect_set("nos"))).alias("nos")))
+    try:
+        masks = durable(recurring(texts, masks, slim, copies))
+        del texts
+        tidy(docs.sparkSession)
+        near, _ = where_marked(slim.select("_kid", "_kh", "nos", "mask").filter("mask is not null"), masks, "mask")
+        drops = near.join(sent(masks), "mask", "left_semi")
+        # repeated rows give repeated lists of the same lines
+        drops = durable(drops.groupBy("_kid", "_kh").agg(F.array_distinct(F.flatten(F.collect_set("nos"))).alias("nos")))
+    finally:
+        forget()
     # the rows travel next: what the lines took on disk goes first
-    del lines, near, _
+    del near, _
     tidy(docs.sparkSession)
     row = docs.select(F.struct(*columns).alias("row"), *content_key())
     named = drops.select(F.col("_kid").alias("_did"), F.col("_kh").alias("_dh"), "nos")

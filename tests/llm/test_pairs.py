@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 
+import pytest
 import xxhash
 from pyspark.sql import functions as F
 
@@ -101,6 +102,28 @@ def test_near_edges_of_dense_words(spark):
         assert {x: root.get(x, x) for x in parent} == want
 
 
+@pytest.mark.parametrize("few", [0, components.FEW])
+def test_components_of_few_and_many_edges(spark, monkeypatch, few):
+    rng, cuts = random.Random(8), []
+    edges = [(rng.randrange(-300, 300), rng.randrange(-300, 300)) for _ in range(250)] + [(7, 7)]
+    held, parent = components.durable, {x: x for e in edges for x in e if e[0] != e[1]}
+    monkeypatch.setattr(components, "durable", lambda df: cuts.append(1) or held(df))
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in edges[:-1]:
+        if a != b:
+            a, b = sorted((find(a), find(b)))
+            parent[b] = a
+    df = spark.createDataFrame(edges, "u bigint, v bigint")
+    assert sorted(map(tuple, components.components(df, few).collect())) == sorted((x, find(x)) for x in parent)
+    assert (len(cuts) == 1) == (few > 0)  # no rounds of small tables
+    assert components.components(df.limit(0), few).count() == 0
+
+
 def test_components_path(spark):
     edges = spark.range(60).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
     got = {r.node: r.root for r in components.components(edges).collect()}

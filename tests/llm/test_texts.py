@@ -9,7 +9,7 @@ from itertools import combinations
 import pytest
 from pyspark.sql import functions as F
 
-from cubedensity.llm import linededup, packing, pii, quality, secrets, toxicity
+from cubedensity.llm import common, linededup, packing, pii, quality, secrets, toxicity
 
 ODD = [None, "", " ", "\n\n", "a", "é" * 3, "word " * 30_000, "x\ty\x0bz\r\n" * 3]
 
@@ -577,3 +577,22 @@ def test_key_comes_from_the_session(spark):
     assert pii.key_of(spark) == "from the vault"
     spark.conf.unset(pii.KEY_SETTING)
     assert pii.key_of(spark) != pii.key_of(spark)
+
+
+@pytest.mark.parametrize("copies", [0.0, 0.5])
+def test_tokens_are_not_held_while_lines_are_compared(spark, monkeypatch, copies):
+    import os
+
+    folder = spark.sparkContext.getCheckpointDir() or linededup.durable(spark.range(1)) and spark.sparkContext.getCheckpointDir()
+    folder = os.path.dirname(folder.removeprefix("file:"))
+    size = lambda: {os.path.join(d, f): os.path.getsize(os.path.join(d, f)) for d, _, files in os.walk(folder) for f in files}
+    rng, seen, compared = random.Random(5), [], linededup.alike
+    monkeypatch.setattr(linededup, "alike", lambda masks: seen.append(size()) or compared(masks))
+    line = lambda: " ".join("".join(rng.choices("abcdefghij", k=6)) for _ in range(200))
+    rows = [(i, "\n".join(line() for _ in range(10)) + "\nthe same last line of them all") for i in range(150)]
+    before = size()
+    monkeypatch.setattr(common, "shared_folder", lambda _: folder)
+    got = rows_in(linededup.drop_templates(spark.createDataFrame(rows, "doc_id bigint, text string"), copies=copies))
+    assert sorted(got) == [(i, t.rsplit("\n", 1)[0]) for i, t in rows]
+    assert sum(n for f, n in seen[0].items() if f not in before) < 150 * 10 * 200 * 4  # bytes of the tokens of all lines
+    assert not [f for f in size() if "/table-" in f and f not in before]
