@@ -284,6 +284,8 @@ def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFra
     sizes = durable(keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"))
     members = durable(keyed.join(sizes, "key"))
     weight = durable(members.groupBy("node").agg(F.sum("n").alias("w")))
+    del keyed, sizes
+    tidy(nodes.sparkSession)
     ordered = lambda rows: rows.select(F.least("node", "v").alias("u"), F.greatest("node", "v").alias("v"))
 
     def leaders(rows):
@@ -292,10 +294,14 @@ def similar_links(nodes: DataFrame, least: float, keep: int = SKETCH) -> DataFra
 
     one = leaders(members).groupBy("node").agg(F.max("lead")["node"].alias("v"))
     linked = fingerprint_pairs(nodes).select(F.col("u").alias("node"), "v")
-    near = durable(similar(durable(ordered(linked.union(one)).distinct()), nodes, least, keep))
+    tried = durable(ordered(linked.union(one)).distinct())
+    del linked, one
+    tidy(nodes.sparkSession)
+    near = durable(similar(tried, nodes, least, keep))
+    del tried
     tidy(nodes.sparkSession)
     open_ = _rooted(members, near)
-    del keyed, sizes, members
+    del members
     tidy(nodes.sparkSession)
     if open_.isEmpty():
         return near
