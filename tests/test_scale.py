@@ -251,3 +251,17 @@ def test_tiled_entries_need_no_copies(spark):
         parts = [[sum(v * n // g == k for v in range(lo, hi + 1)) for k in range(n)] for (lo, hi), n, g in zip(ends, cut.counts, GRID.shape)]
         want += sum(p * q + t for p in parts[0] for q in parts[1] for t in parts[2] if p and q and t)
     assert made.first()[0] == want
+
+
+def test_event_driven_methods_use_all_workers(spark):
+    from cubedensity.operators import relational
+    from cubedensity.spec import Bandwidth, GridSpec
+
+    few = spark.range(50).coalesce(1).selectExpr("id as event_id", "id % 40 as x", "id % 30 as y", "id % 20 as t", "1L as w")
+    grid, bw, deals = GridSpec(4, 4, 4), Bandwidth(1, 1), []
+    for name in ("scatter", "disk_scatter", "bar_scatter", "product_scatter"):
+        plan = getattr(relational, name)(few, grid, bw)._jdf.queryExecution().optimizedPlan().toString()
+        deals.append("RepartitionByExpression" in plan)
+    assert all(deals)
+    rows = [sorted(map(tuple, getattr(relational, name)(few, grid, bw).collect())) for name in ("scatter", "product_scatter")]
+    assert rows[0] == rows[1] and rows[0]
