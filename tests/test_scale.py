@@ -265,3 +265,67 @@ def test_event_driven_methods_use_all_workers(spark):
     assert all(deals)
     rows = [sorted(map(tuple, getattr(relational, name)(few, grid, bw).collect())) for name in ("scatter", "product_scatter")]
     assert rows[0] == rows[1] and rows[0]
+
+
+@pytest.mark.parametrize("kernel", ["printed", "mirrored", "epanechnikov", "uniform"])
+def test_events_by_place_equal_those_by_cell(kernel):
+    rng = np.random.default_rng(8)
+    n = 3000  # more than voxels, so that places share their disks; some events lie beyond the box and the grid
+    x, y, t = (rng.integers(-3 * GRID.sub, (g + 3) * GRID.sub, n) for g in GRID.shape)
+    for w in (np.ones(n, np.int64), rng.integers(-3, 4, n)):
+        for bw in (BW, Bandwidth(1, 1), Bandwidth(3.3, 5)):
+            for edge, anchor, mass in (("open", "corner", "long"), ("closed_time", "centre", "double")):
+                k, box = Kernel(GRID, bw, PlanOptions(kernel=kernel, edge=edge, anchor=anchor, mass=mass)), [(2, 9), (0, 10), (3, 14)]
+                placed, celled = k.empty(box), k.empty(box)
+                k._by_place(*placed, box, x, y, t, w)
+                k._by_cell(*celled, box, x, y, t, w, 3)
+                assert (placed[0] == celled[0]).all() and (placed[1] == celled[1]).all()
+
+
+def test_many_events_cost_little_each():
+    import time
+
+    grid, bw, rng = GridSpec(33, 15, 42), Bandwidth(5, 7), np.random.default_rng(9)
+    x, y, t = (rng.integers(0, g * grid.sub, 400_000) for g in grid.shape)
+    k, box = Kernel(grid, bw), [(0, g) for g in grid.shape]
+    arrays = k.empty(box)
+    began = time.process_time()
+    for at in range(0, len(x), 1 << 18):
+        part = slice(at, at + (1 << 18))
+        k.fill(*arrays, box, x[part], y[part], t[part], np.ones(len(x[part]), np.int64))
+    assert time.process_time() - began < 3
+
+
+def test_masses_beyond_a_long_are_refused():
+    k, box = Kernel(GRID, BW), [(0, g) for g in GRID.shape]
+    arrays, at = k.empty(box), np.full(2000, 100)
+    with pytest.raises(OverflowError):
+        for _ in range(100):
+            k.fill(*arrays, box, at, at, at, np.full(2000, 10**6))
+    double = Kernel(GRID, BW, PlanOptions(mass="double"))
+    more = double.empty(box)
+    for _ in range(100):
+        double.fill(*more, box, at, at, at, np.full(2000, 10**6))
+    assert more[0].max() > 2**63
+
+
+def test_events_travel_as_parcels(spark):
+    ev = crowd(spark, 6, 300)
+    for method in ("replica_sum", "tile_clip", "parity_sets", "loadaware_sets", "replicated_sets"):
+        plan = cube(ev, GRID, BW, method, tiles=TileSpec(2, 2, 2))._jdf.queryExecution().optimizedPlan().toString()
+        assert "places" in plan and "Generate" not in plan
+
+
+def test_groups_of_arrays_equal_those_of_columns(spark):
+    from cubedensity.operators.pointsets import _owners
+    from cubedensity.operators.tiles import copies, meeting, owner
+
+    for tiles in (TileSpec(1, 1, 1), TileSpec(5, 3, 4), TileSpec(12, 10, 14)):
+        rows = crowd(spark, 7, 200).collect()
+        event = [np.array([r[c] for r in rows]) for c in "xyt"]
+        at, keys = meeting(GRID, BW, tiles)(*event)
+        got = sorted(zip((rows[k].event_id for k in at), *(k.tolist() for k in keys)))
+        assert got == sorted(map(tuple, copies(crowd(spark, 7, 200), GRID, BW, tiles).select("event_id", "a", "b", "c").collect()))
+        assert sorted(zip((r.event_id for r in rows), *(k.tolist() for k in _owners(GRID, tiles, *event)))) == sorted(
+            map(tuple, owner(crowd(spark, 7, 200), GRID, tiles).select("event_id", "a", "b", "c").collect())
+        )
