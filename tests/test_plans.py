@@ -96,3 +96,12 @@ def test_queries_take_their_data_from_a_given_table(spark, tmp_path, name):
     want = con.execute(entry.oracle_sql()[name]).fetchall()
     assert sorted(got) == sorted(want) and got
     assert sorted(got) != sorted(tuple(r) for r in entry.queries()[name](spark, SF).collect())
+
+
+def test_sequential_methods_run_on_every_workload(spark, monkeypatch):
+    from cubedensity.plans import measures, workloads
+
+    monkeypatch.setattr(measures, "seconds", lambda df: 0.0 if df.columns == ["vx", "vy", "vt", "hits", "mass"] else None)
+    for family, names in workloads.FAMILIES.items():
+        made = entry.queries()[f"x01_sequential_{family}"](spark, SF).collect()
+        assert [(r.workload, r.method, r.seconds) for r in made] == [(w, m, 0.0) for w in names for m in workloads.SEQUENTIAL]
