@@ -329,3 +329,54 @@ def test_groups_of_arrays_equal_those_of_columns(spark):
         assert sorted(zip((r.event_id for r in rows), *(k.tolist() for k in _owners(GRID, tiles, *event)))) == sorted(
             map(tuple, owner(crowd(spark, 7, 200), GRID, tiles).select("event_id", "a", "b", "c").collect())
         )
+
+
+@pytest.mark.parametrize("kernel", ["printed", "mirrored", "epanechnikov", "uniform"])
+def test_sequential_methods_over_arrays_equal_the_dense_kernel(kernel):
+    from cubedensity.operators.sequential import Private
+
+    rng = np.random.default_rng(11)
+    box = [(0, g) for g in GRID.shape]
+    x, y, t = (rng.integers(-2 * GRID.sub, (g + 2) * GRID.sub, 500) for g in GRID.shape)
+    x[:300], y[:300], t[:300] = 100, 90, 110 + np.arange(300) % 9  # a crowded voxel
+    for w in (np.ones(500, np.int64), rng.integers(-3, 4, 500)):
+        for bw in (BW, Bandwidth(1, 1), Bandwidth(2.3, 3)):
+            reach = [h * GRID.sub for h in (bw.whole[0], bw.whole[0], bw.whole[1])]
+            keep = np.all([(c > -h) & (c < g * GRID.sub + h) for c, h, g in zip((x, y, t), reach, GRID.shape)], axis=0)
+            event = [c[keep] for c in (x, y, t, w)]
+            for edge, anchor, mass in (("open", "corner", "long"), ("closed_time", "centre", "double")):
+                options = PlanOptions(kernel=kernel, edge=edge, anchor=anchor, mass=mass)
+                want = Kernel(GRID, bw, options).empty(box)
+                Kernel(GRID, bw, options).fill(*want, box, *event)
+                for method in ("voxel_scan", "block_scan", "scatter", "disk_scatter", "bar_scatter", "product_scatter"):
+                    made = Private(method, GRID, bw, options)
+                    made.add(*event)
+                    assert (made.cube()[0] == want[0]).all() and (made.cube()[1] == want[1]).all(), (method, bw, edge)
+
+
+def test_sequential_methods_take_arrays_for_many_events(spark, monkeypatch):
+    from cubedensity.operators import sequential
+
+    ev = crowd(spark, 12, 300)
+    want = rows_of(relational.scatter(ev, GRID, BW))
+    monkeypatch.setattr(sequential, "MANY_PAIRS", 1000)
+    monkeypatch.setattr(sequential, "HELD", 1 << 10)
+    for method in ("voxel_scan", "block_scan", "scatter", "disk_scatter", "bar_scatter", "product_scatter"):
+        made = cube(ev, GRID, BW, method)
+        plan = made._jdf.queryExecution().optimizedPlan().toString()
+        assert "places" in plan and "Generate" not in plan
+        assert rows_of(made) == want
+    for options in (PlanOptions(outside="halo"), PlanOptions(mass="decimal"), PlanOptions(kernel="mirrored", mass="double")):
+        plain = [tuple(map(int, r)) for r in rows_of(relational.two_pass(ev, GRID, BW, options))]
+        assert all([tuple(map(int, r)) for r in rows_of(cube(ev, GRID, BW, m, options))] == plain for m in ("voxel_scan", "block_scan", "scatter"))
+
+
+def test_masses_beyond_a_long_are_refused_by_sequential_methods():
+    from cubedensity.operators.sequential import Private
+
+    at, heavy = np.full(2000, 100), np.full(2000, 10**6)
+    for method in ("voxel_scan", "block_scan", "scatter"):
+        one = Private(method, GRID, BW, PlanOptions())
+        with pytest.raises(OverflowError):
+            for _ in range(100):
+                one.add(at, at, at, heavy)
