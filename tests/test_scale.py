@@ -380,3 +380,12 @@ def test_masses_beyond_a_long_are_refused_by_sequential_methods():
         with pytest.raises(OverflowError):
             for _ in range(100):
                 one.add(at, at, at, heavy)
+
+
+def test_shares_of_events_have_a_partition_each(spark):
+    from cubedensity.operators.blocks import parcels
+
+    deal = lambda x, y, t, whole: (np.arange(len(x)), [np.mod(whole, 8)])
+    made = parcels(crowd(spark, 13), 8, "replica", place=deal, hashed=True, own_partition=True)
+    found = made.select("replica", F.spark_partition_id().alias("p")).distinct().collect()
+    assert sorted((r.replica, r.p) for r in found) == [(k, k) for k in range(8)]
